@@ -45,7 +45,8 @@ def repeated_words(w: Column, window: int = WINDOW) -> Column:
         return F.aggregate(steps, F.lit(0).cast("bigint"), lambda a, x: a + x)
 
     hashes = lambda x: F.transform(F.sequence(F.lit(1), F.size(x) - F.lit(window - 1)), lambda i: F.xxhash64(F.slice(x, i, window)))
-    return F.when(n < 1, F.lit(0).cast("bigint")).otherwise(bound(w, lambda x: bound(hashes(x), from_hashes)))
+    # Words become numbers first: windows of them are cut without a copy of the words' bytes.
+    return F.when(n < 1, F.lit(0).cast("bigint")).otherwise(bound(F.transform(w, lambda x: F.xxhash64(x)), lambda x: bound(hashes(x), from_hashes)))
 
 
 def base_counts(df: DataFrame, text: str = "text") -> DataFrame:
