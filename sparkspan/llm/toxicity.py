@@ -46,20 +46,23 @@ def kernel(codes: np.ndarray, z: str) -> np.ndarray:
     """k(u, z) of each row u of a matrix of code points, padded by zeros."""
     n, width = codes.shape
     hit = [codes == ord(c) for c in z]
-    state = [h.astype(np.float32) for h in hit]  # sums that end at this place with this character of z
-    for _ in range(P - 1):
-        new = []
-        for j in range(len(z)):
+    spare = len(z) - P
+    # state[j]: sums that end at this place with character j of z. Only those j count which leave
+    # enough of z before and behind.
+    state = {j: hit[j].astype(np.float32) for j in range(spare + 1)}
+    for q in range(1, P):
+        new = {}
+        for j in range(q, q + spare + 1):
             total = np.zeros((n, width), np.float32)
             for back in range(1, Z_GAP + 2):
-                if j - back < 0:
+                src = state.get(j - back)
+                if src is None:
                     continue
-                src = state[j - back]
                 for step in range(1, U_GAP + 2):
                     total[:, step:] += src[:, :-step] * np.float32(DECAY ** (step - 1 + back - 1))
-            new.append(total * hit[j])
+            new[j] = total * hit[j]
         state = new
-    return sum(state).sum(1)
+    return sum(state.values()).sum(1)
 
 
 def matrix(strings: list[str]) -> np.ndarray:
