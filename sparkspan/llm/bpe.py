@@ -27,7 +27,7 @@ OTHER, LETTER, NUMBER, SPACE = 0, 1, 2, 3
 WHITE = [*range(9, 14), 32, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
 ENDINGS = ("s", "t", "re", "ve", "m", "ll", "d")
 #: Pieces that the cache holds before it starts anew, and code points handled at once.
-CACHE, BLOCK = 1 << 20, 1 << 21
+CACHE, BLOCK = 1 << 18, 1 << 19
 
 
 @cache
@@ -207,8 +207,8 @@ def _map(df: DataFrame, sent, schema: pa.Schema, id_col: str, text_col: str, wit
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec, names = Codec(sent.value), [str(i) for i in range(max(sent.value.values()) + 1)]
         for whole in batches:
-            for part in range(0, whole.num_rows, 500):
-                batch = whole.slice(part, 500)
+            for part in range(0, whole.num_rows, 200):
+                batch = whole.slice(part, 200)
                 rows: list[list] = [[], [], [], [], []]
                 for ids in codec.encode_batch(batch.column(1).to_pylist()):
                     rows[1].append(len(ids))

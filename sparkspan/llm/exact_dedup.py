@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from .common import fold
 
 #: Bytes of text that a combiner holds before it passes its groups on, and a trie before it spills.
-COMBINER_BYTES, TRIE_BYTES = 48 << 20, 96 << 20
+COMBINER_BYTES, TRIE_BYTES = 32 << 20, 64 << 20
 
 
 class Node:

@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 P, PIECE, DECAY, U_GAP, Z_GAP = 4, 5, 0.5, 2, 1
 #: Landmarks, bound on labelled rows that a fit uses, characters of a word looked at in one piece.
 LANDMARKS, MOST_ROWS, WIDTH = 48, 8000, 40
-CACHE = 1 << 20
+CACHE = 1 << 19
 EDGE = "^"
 APART = re.compile(r"(?<!\S)(?:[^\W\d_]\s+){3,}[^\W\d_](?!\S)")
 
@@ -262,8 +262,7 @@ def scorer(model: Model):
     def run(it: Iterator[pa.Array]) -> Iterator[pa.Array]:
         e = Embedder(model.landmarks)
         for texts in it:
-            values = [x or "" for x in texts.to_pylist()]
-            parts = [model.score(e.values(values[i : i + 256])) for i in range(0, len(values), 256)]
+            parts = [model.score(e.values([x or "" for x in texts.slice(i, 256).to_pylist()])) for i in range(0, len(texts), 256)]
             yield pa.array(np.concatenate(parts) if parts else np.zeros(0), pa.float64())
 
     run.__annotations__ = {"it": Iterator[pa.Array], "return": Iterator[pa.Array]}
