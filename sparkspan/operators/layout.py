@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from sparkspan.functions.geometry import AXIS_BITS, morton, morton_wide
 from sparkspan.session import Workspace
-from sparkspan.sources.points import axes
+from sparkspan.sources.points import RANGE, axes
 
 FAN = 4  # bits of a tile number that one level drops
 
@@ -70,6 +70,8 @@ def with_codes(points: DataFrame, bits: int = 63) -> DataFrame:
     ends = p.agg(*[F.min(x).alias(f"a{x}") for x in xs], *[F.max(x).alias(f"b{x}") for x in xs]).first()
     low = {x: ends[f"a{x}"] or 0 for x in xs}
     width = max([(ends[f"b{x}"] or 0) - low[x] for x in xs] + [1])
+    if not real and width > RANGE:
+        raise ValueError("coordinates lie too far apart for exact squared distances")
     have = AXIS_BITS[len(xs)] * (2 if bits > 63 else 1)
     shift = max(0, width.bit_length() - have)
     cols = scaled(p, xs, low, shift)

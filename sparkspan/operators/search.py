@@ -21,6 +21,8 @@ from . import kernels
 from .layout import FAN, Layout
 
 PACK = ("n", "pid", "x", "comp", "core")
+#: Tiles of a layout (counted when it is built) up to which their boxes are sent to every task.
+BROADCAST_TILES = 100_000
 
 
 def edge_ddl(layout: Layout) -> str:
@@ -103,15 +105,16 @@ def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual
         return queries.groupBy(F.shiftright("q", FAN * level).alias("q")).agg(*boxes, F.min("lab_min").alias("lab_min"), F.max("lab_max").alias("lab_max"), F.max("radius").alias("radius"))
 
     named = lambda df, p: df.select(*[F.col(c).alias(p + c) for c in df.columns])
+    few = F.broadcast if layout.count <= BROADCAST_TILES else (lambda df: df)
     front = None
     for level in range(layout.levels, -1, -1):
         nodes = named(layout.nodes(level), "r_")
         if front is None:
             step = named(query_level(level), "q_").crossJoin(F.broadcast(nodes))  # the root: one row
         elif dual:
-            step = front.join(named(query_level(level), "q_"), F.shiftright("q_q", FAN) == F.col("fq")).join(nodes, F.shiftright("r_node", FAN) == F.col("fr"))
+            step = front.join(named(query_level(level), "q_"), F.shiftright("q_q", FAN) == F.col("fq")).join(few(nodes), F.shiftright("r_node", FAN) == F.col("fr"))
         else:
-            step = front.join(nodes, F.shiftright("r_node", FAN) == F.col("fr"))
+            step = front.join(few(nodes), F.shiftright("r_node", FAN) == F.col("fr"))
         gap = box_gap_d2([F.col(f"q_{c}") for c in lo], [F.col(f"q_{c}") for c in hi], [F.col(f"r_{c}") for c in lo], [F.col(f"r_{c}") for c in hi])
         keep = gap <= F.col("q_radius")
         if skip_subtrees:

@@ -7,8 +7,9 @@ from pyspark.sql import functions as F
 
 from sparkspan.functions.geometry import point_d2
 
-#: Largest difference along an axis for which three squared differences fit 63 bits.
-RANGE = 1_200_000_000
+#: Largest difference along an axis for which three squared differences fit 63 bits (checked where the
+#: ranges are known, in layout.with_codes), and largest coordinate that a double still holds exactly.
+RANGE, LARGEST = 1_700_000_000, 1 << 53
 
 
 def axes(points: DataFrame) -> list[str]:
@@ -25,7 +26,7 @@ def validate_points(points: DataFrame, policy: str = "error") -> DataFrame:
     bad = F.col("pid").isNull()
     for c in axes(points):
         x = F.col(c)
-        odd = F.isnan(x) | (F.abs(x) == float("inf")) if dict(points.dtypes)[c] in ("double", "float") else F.abs(x) > RANGE // 2
+        odd = F.isnan(x) | (F.abs(x) == float("inf")) if dict(points.dtypes)[c] in ("double", "float") else F.abs(x) > LARGEST
         bad = bad | x.isNull() | F.coalesce(odd, F.lit(False))
     if policy == "drop":
         return points.where(~bad)
