@@ -143,8 +143,57 @@ def pair_kernel(layout: Layout, pairs: DataFrame, out: str, body) -> DataFrame:
     return joined.mapInArrow(run, out)
 
 
-def cross_edges(layout: Layout, pairs: DataFrame) -> DataFrame:
-    return pair_kernel(layout, pairs, edge_ddl(layout), lambda a, b: edge_batch(kernels.cross(a, b)))
+def near(points: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """Squared gaps from points to a box, over the axes that the box has."""
+    g = np.maximum(np.maximum(lo - points[:, : len(lo)], points[:, : len(lo)] - hi), 0)
+    return sum(g[:, k] * g[:, k] for k in range(len(lo)))
+
+
+def cross_edges(layout: Layout, pairs: DataFrame, bounds: DataFrame | None = None) -> DataFrame:
+    """Best edges of the pairs' tiles. With ``bounds`` only points whose component's bound reaches the
+    other tile's box take part: the point-wise radius that tiles had to widen."""
+    if bounds is None:
+        return pair_kernel(layout, pairs, edge_ddl(layout), lambda a, b: edge_batch(kernels.cross(a, b)))
+    d, real, boxed = layout.d, layout.real, layout.boxed
+    own = tile_comps(layout).join(bounds.select("comp", "w"), "comp").groupBy(F.col("tile").alias("q")).agg(F.sort_array(F.collect_list(F.struct("comp", "w"))).alias("ub"))
+    lo, hi = layout.box
+    a = layout.tiles.select(F.col("tile").alias("q"), *PACK).join(own, "q")
+    boxes = layout.tiles.select(F.col("tile").alias("r"), F.array(*lo).alias("lo"), F.array(*hi).alias("hi"))
+    asked = pairs.join(boxes, "r").join(a, "q").select("r", "lo", "hi", "ub", *PACK)
+    kind = np.float64 if real else np.int64
+    schema = pa.schema([("r", pa.int64()), ("pid", pa.binary()), ("x", pa.binary()), ("comp", pa.binary()), ("core", pa.binary()), ("far", pa.binary())])
+
+    def ask(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 64):
+                rows = []
+                for row in batch.slice(at, 64).to_pylist():
+                    pid, x, comp, core = kernels.unpack(row, d, real)
+                    names, w = np.array([u["comp"] for u in row["ub"]]), np.array([u["w"] for u in row["ub"]], kind)
+                    reach = w[np.searchsorted(names, comp)]
+                    keep = (near(x, np.array(row["lo"], kind), np.array(row["hi"], kind)) <= reach) & (core <= reach)
+                    if keep.any():
+                        rows.append({"r": row["r"], "pid": pid[keep].tobytes(), "x": x[keep].tobytes(), "comp": comp[keep].tobytes(), "core": core[keep].tobytes(), "far": reach[keep].max().tobytes()})
+                if rows:
+                    yield pa.RecordBatch.from_pylist(rows, schema=schema)
+
+    # Only pairs with points in reach go on, with those points alone.
+    some = asked.mapInArrow(ask, "r bigint, pid binary, x binary, comp binary, core binary, far binary")
+    b = layout.tiles.select(F.col("tile").alias("r"), *[F.col(c).alias(f"b_{c}") for c in PACK])
+
+    def meet(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 64):
+                for row in batch.slice(at, 64).to_pylist():
+                    p = kernels.unpack(row, d, real)
+                    q = kernels.unpack({c: row[f"b_{c}"] for c in PACK}, d, real)
+                    far = np.frombuffer(row["far"], kind)[0]
+                    box = p[1][:, :boxed]
+                    keep = (near(q[1], box.min(0), box.max(0)) <= far) & (q[3] <= far)
+                    if keep.any():
+                        yield edge_batch(kernels.cross(p, tuple(c[keep] for c in q)))
+
+    return some.join(b, "r").mapInArrow(meet, edge_ddl(layout))
 
 
 def query_tiles(layout: Layout, bounds: DataFrame | None) -> DataFrame:

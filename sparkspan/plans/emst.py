@@ -7,11 +7,12 @@ import time
 from dataclasses import dataclass, field
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sparkspan.operators import layout as lay
 from sparkspan.operators import search
+from sparkspan.operators.held import HELD_POINTS, Held, as_edges, cores
 from sparkspan.operators.merge import merge_arrays, pointer_doubling
 from sparkspan.session import Workspace
 from sparkspan.sources.points import axes, collapse_duplicates
@@ -42,7 +43,7 @@ def core_distances(layout: lay.Layout, k_pts: int) -> DataFrame:
 
 def emst(
     points: DataFrame, k_pts: int = 1, skip_subtrees: bool = True, curve_bounds: bool = True, index: str = "rank", curve_bits: int = 63, frontier: str = "tile",
-    tile_rows: int = 512, block_rows: int = 1 << 20, prefix_shift: int | None = None, measure: bool = False, driver_components: int = DRIVER_COMPONENTS,
+    tile_rows: int = 512, block_rows: int = 1 << 20, prefix_shift: int | None = None, measure: bool = False, driver_components: int = DRIVER_COMPONENTS, held_points: int = HELD_POINTS,
 ) -> Result:
     """n - 1 tree edges under the order (w, d2, lo, hi), w = d2 for Euclid (k_pts = 1) and the largest of
     d2 and both core distances otherwise; the order makes the tree unique, whatever the options.
@@ -50,6 +51,8 @@ def emst(
     frontier: ``tile`` (query tiles descend from the root), ``point`` (tiles of one point, the literal
     single-tree search) or ``dual`` (query nodes descend too, with bounds of whole subtrees). Empty and
     single-point inputs give no edge. Copies of a place are tied to its smallest pid first.
+    With frontier ``tile`` and at most ``held_points`` points every task holds the layout and rounds need
+    no exchange; 0 forces the joins.
     """
     spark = points.sparkSession
     work = Workspace(spark, "emst")
@@ -67,10 +70,17 @@ def emst(
         prefix_shift = max(0, total - d * max(1, math.ceil(math.log2(max(2, points.count() / tile_rows)) / d)))
     layout = lay.build(points, work, tile_rows, block_rows, index, curve_bits, prefix_shift or 0)
     result.phases["tree"] = time.perf_counter() - began
+    held = Held(layout) if frontier == "tile" and 1 < layout.n <= held_points else None
     if k_pts > 1:
         t = time.perf_counter()
-        layout = lay.attach(layout, core_distances(layout, k_pts).select("pid", F.col("core_d2").alias("value")), "core", work)
+        core = core_distances(layout, k_pts)
+        if held:
+            held.set_cores(cores(core, held))
+        else:
+            layout = lay.attach(layout, core.select("pid", F.col("core_d2").alias("value")), "core", work)
         result.phases["core"] = time.perf_counter() - t
+    if held:
+        return _held_rounds(held, result, star, skip_subtrees, curve_bounds)
     t = time.perf_counter()
     comps, edges, most = layout.n, [], math.ceil(math.log2(max(2, layout.n)))
     while comps > 1:
@@ -86,7 +96,7 @@ def emst(
             size = layout.tiles.select("tile", "n")
             got = pairs.join(size.withColumnsRenamed({"tile": "q", "n": "a"}), "q").join(size.withColumnsRenamed({"tile": "r", "n": "b"}), "r").agg(F.count(F.lit(1)).alias("p"), F.sum(F.col("a").cast("bigint") * F.col("b")).alias("d")).first()
             row |= {"tile_pairs": got["p"], "distances": got["d"] or 0}
-        best = work.save(search.least(search.cross_edges(layout, pairs).union(bounds)))
+        best = work.save(search.least(search.cross_edges(layout, pairs, bounds if curve_bounds else None).union(bounds)))
         new = best.select("lo", "hi", "d2", "w").distinct()
         edges.append(new)
         if comps <= driver_components:
@@ -107,16 +117,33 @@ def emst(
         row["seconds"] = time.perf_counter() - start
         result.rounds.append(row)
     result.phases["mst"] = time.perf_counter() - t
-    kind = layout.kind
     out = None
     for e in edges:
         out = e if out is None else out.unionByName(e)
-    zero = F.lit(0).cast(kind)
+    result.edges = _with_star(out, star, spark, layout.kind)
+    return result
+
+
+def _held_rounds(held: Held, result: Result, star: DataFrame | None, skip: bool, curve: bool) -> Result:
+    t, parts = time.perf_counter(), []
+    while held.labels.max() > 0:
+        if len(parts) > math.ceil(math.log2(held.layout.n)):
+            raise RuntimeError("more rounds than a Borůvka tree can need")
+        start = time.perf_counter()
+        new, row = held.round(skip, curve)
+        parts.append(new)
+        result.rounds.append({"round": len(parts), **row, "seconds": time.perf_counter() - start})
+    result.phases["mst"] = time.perf_counter() - t
+    result.edges = _with_star(as_edges(held.spark, parts), star, held.spark, held.layout.kind)
+    return result
+
+
+def _with_star(edges: DataFrame | None, star: DataFrame | None, spark: SparkSession, kind: str) -> DataFrame:
     if star is not None:
+        zero = F.lit(0).cast(kind)
         tied = star.select("lo", "hi", zero.alias("d2"), zero.alias("w"))
-        out = tied if out is None else out.unionByName(tied)
-    result.edges = out if out is not None else spark.createDataFrame([], f"lo bigint, hi bigint, d2 {kind}, w {kind}")
-    return result
+        edges = tied if edges is None else edges.unionByName(tied)
+    return edges if edges is not None else spark.createDataFrame([], f"lo bigint, hi bigint, d2 {kind}, w {kind}")
 
 
 def _labels(batches):

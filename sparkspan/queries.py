@@ -41,8 +41,8 @@ def add(name: str, query: Query, sql: str | None = None) -> None:
 
 
 def tree(name: str, **options) -> Query:
-    """Tree of a whole set. Tiles of small sets hold few points, so that the distributed search runs."""
-    options = {"tile_rows": ROWS if name in SMALL else 512} | options
+    """Tree of a whole set. Tiles of small sets hold few points, so that the search meets many of them."""
+    options = {"tile_rows": ROWS if name in SMALL else 256} | options
     return lambda spark, sf: finished(emst(P(spark, sf, name), **options).edges, "w")
 
 
@@ -52,7 +52,7 @@ for w in workloads.NAMES:
 for w, d in SMALL.items():
     add(f"emst_{w}", tree(w), O.tree_sql(workloads.points_sql(w), d))
 for w in CHAINS:
-    add(f"emst_{w}", tree(w, tile_rows=512), O.chain_sql(workloads.points_sql(w)))
+    add(f"emst_{w}", tree(w, tile_rows=256), O.chain_sql(workloads.points_sql(w)))
 for w in LARGE:
     add(f"emst_{w}", tree(w))
 Q["emst_real_embeddings64"] = lambda spark, sf: _real(spark, sf)
@@ -60,14 +60,14 @@ Q["emst_real_embeddings64"] = lambda spark, sf: _real(spark, sf)
 ROAD, ROAD_SQL = "road2d", O.tree_sql(workloads.points_sql("road2d"), 2)
 for label, options in {
     "noskip": {"skip_subtrees": False}, "nobounds": {"curve_bounds": False}, "plain": {"skip_subtrees": False, "curve_bounds": False}, "pointfrontier": {"frontier": "point"},
-    "wide": {"curve_bits": 126}, "prefix": {"index": "prefix"}, "joins_only": {"driver_components": 0},
+    "wide": {"curve_bits": 126}, "prefix": {"index": "prefix"}, "joins": {}, "joins_only": {"driver_components": 0},
 }.items():
-    add(f"emst_{label}_road2d", tree(ROAD, **options), ROAD_SQL)
+    add(f"emst_{label}_road2d", tree(ROAD, held_points=0, **options), ROAD_SQL)  # by joins
 add("dual_tree_road2d", tree(ROAD, frontier="dual"), ROAD_SQL)
 for k in (1, 2, 4, 8, 16):
     add(f"mreach_k{k}_road2d", tree(ROAD, k_pts=k), O.tree_sql(workloads.points_sql(ROAD), 2, k))
 MREACH3 = O.tree_sql(workloads.points_sql("varied3d"), 3, 4)
-add("mreach_k4_varied3d", tree("varied3d", k_pts=4), MREACH3)
+add("mreach_k4_varied3d", tree("varied3d", k_pts=4, held_points=0), MREACH3)
 add("dual_tree_mreach_k4_varied3d", tree("varied3d", k_pts=4, frontier="dual"), MREACH3)
 add("wspd_mreach_k4_varied3d", lambda spark, sf: finished(baselines.emst_wspd(P(spark, sf, "varied3d"), k_pts=4).edges, "w"), MREACH3)
 
@@ -126,17 +126,17 @@ add("curve_neighbours_road2d", lambda spark, sf: pieces.curve_pairs(coded2(spark
 add("tile_boxes_prefix_cosmo3d", lambda spark, sf: pieces.cell_boxes(_coded3(spark, sf), 45),
     f"select code >> 45 as node, {', '.join(f'min(x{i}) as lo{i}, max(x{i}) as hi{i}' for i in range(3))}, count(*) as n from ({CODE3}) group by 1")
 NATION = "cast(floor(x1 / 10000) as bigint)"
-nation = F.floor(F.col("x1") / 10000).cast("bigint")
-add("reduce_labels_prefix_road2d", lambda spark, sf: pieces.reduce_labels(coded2(spark, sf), nation, 62, 3, 18),
+nation = lambda: F.floor(F.col("x1") / 10000).cast("bigint")
+add("reduce_labels_prefix_road2d", lambda spark, sf: pieces.reduce_labels(coded2(spark, sf), nation(), 62, 3, 18),
     " union all ".join(f"select {l} as level, code >> {18 * l} as node, case when min({NATION}) = max({NATION}) then min({NATION}) end as label from ({CODE2}) group by 2" for l in (1, 2, 3)))
-add("curve_upper_bounds_road2d", lambda spark, sf: pieces.curve_upper_bounds(coded2(spark, sf), nation),
+add("curve_upper_bounds_road2d", lambda spark, sf: pieces.curve_upper_bounds(coded2(spark, sf), nation()),
     f"with c as (select *, {NATION} as comp from ({CODE2})), n as (select comp as ca, x0, x1, lead(comp) over o as cb, lead(x0) over o as y0, lead(x1) over o as y1 from c window o as (order by code, pid)), e as (select ca, cb, cast((x0 - y0) * (x0 - y0) + (x1 - y1) * (x1 - y1) as bigint) as d2 from n where cb is not null and ca <> cb) select comp, min(d2) as ub_d2 from (select ca as comp, d2 from e union all select cb, d2 from e) group by comp")
 
 
 def _given(spark: SparkSession, sf: str, own: bool = False) -> tuple[lay.Layout, Workspace]:
     """Layout whose labels are the nations as a given partition, named by their smallest pid."""
     work = Workspace(spark, "given")
-    p = P(spark, sf, ROAD).withColumn("g", nation)
+    p = P(spark, sf, ROAD).withColumn("g", nation())
     low = p.groupBy("g").agg(F.min("pid").alias("value"))
     base = lay.build(p.drop("g"), work, ROWS)
     return (base if own else lay.attach(base, p.join(low, "g").select("pid", "value"), "comp", work)), work
@@ -146,7 +146,7 @@ def _outgoing(spark: SparkSession, sf: str, own: bool = False) -> DataFrame:
     layout, work = _given(spark, sf, own)
     bounds = work.save(search.least(search.own_edges(layout).union(search.seam_edges(layout))))
     pairs = search.descend(layout, search.query_tiles(layout, bounds)).where("q <> r")
-    return search.least(search.cross_edges(layout, pairs).union(bounds)).select("comp", "d2", "lo", "hi")
+    return search.least(search.cross_edges(layout, pairs, bounds).union(bounds)).select("comp", "d2", "lo", "hi")
 
 
 BEST = f"row_number() over (partition by a.comp order by {GAP2}, least(a.pid, b.pid), greatest(a.pid, b.pid)) as r"
@@ -192,10 +192,10 @@ add("mst_weight_summary", lambda spark, sf: road_tree(spark, sf).agg(F.count(F.l
     over(f"select count(*) as edges, cast(sum({LEN}) as bigint) as millis, cast(max(d2) as bigint) as longest from tree"))
 add("mst_degree_hist", lambda spark, sf: road_tree(spark, sf).select(F.explode(F.array("lo", "hi")).alias("pid")).groupBy("pid").count().groupBy(F.col("count").alias("degree")).agg(F.count(F.lit(1)).alias("points")),
     over("select degree, count(*) as points from (select pid, count(*) as degree from (select lo as pid from tree union all select hi from tree) group by pid) group by degree"))
-edge_order = Window.orderBy("d2", "lo", "hi")
-add("mst_edge_ranks", lambda spark, sf: road_tree(spark, sf).select("lo", "hi", F.row_number().over(edge_order).cast("bigint").alias("place"), F.dense_rank().over(Window.orderBy("d2")).cast("bigint").alias("level")),
+edge_order = lambda: Window.orderBy("d2", "lo", "hi")
+add("mst_edge_ranks", lambda spark, sf: road_tree(spark, sf).select("lo", "hi", F.row_number().over(edge_order()).cast("bigint").alias("place"), F.dense_rank().over(Window.orderBy("d2")).cast("bigint").alias("level")),
     over("select cast(lo as bigint) as lo, cast(hi as bigint) as hi, row_number() over (order by d2, lo, hi) as place, dense_rank() over (order by d2) as level from tree"))
-add("mst_cumulative_length", lambda spark, sf: road_tree(spark, sf).select("lo", "hi", F.sum(trees.millis(F.col("length"))).over(edge_order.rowsBetween(Window.unboundedPreceding, 0)).alias("millis")),
+add("mst_cumulative_length", lambda spark, sf: road_tree(spark, sf).select("lo", "hi", F.sum(trees.millis(F.col("length"))).over(edge_order().rowsBetween(Window.unboundedPreceding, 0)).alias("millis")),
     over(f"select cast(lo as bigint) as lo, cast(hi as bigint) as hi, cast(sum({LEN}) over (order by d2, lo, hi rows unbounded preceding) as bigint) as millis from tree"))
 add("longest_edges", lambda spark, sf: road_tree(spark, sf).orderBy(F.desc("d2"), "lo", "hi").limit(20).select("lo", "hi", "d2"), over("select cast(lo as bigint) as lo, cast(hi as bigint) as hi, cast(d2 as bigint) as d2 from tree order by d2 desc, lo, hi limit 20"))
 
@@ -267,8 +267,8 @@ def _close(spark: SparkSession, sf: str) -> DataFrame:
     return a.join(b, near).select(F.col("a.event_id").cast("bigint").alias("a"), F.col("b.event_id").cast("bigint").alias("b"))
 
 
-BOX = [F.lit(0), F.lit(50000)], [F.lit(500000), F.lit(150000)]
-add("point_box_d2", lambda spark, sf: P(spark, sf, ROAD).select("pid", point_box_d2([F.col("x0"), F.col("x1")], *BOX).cast("bigint").alias("d2")),
+box = lambda: ([F.lit(0), F.lit(50000)], [F.lit(500000), F.lit(150000)])
+add("point_box_d2", lambda spark, sf: P(spark, sf, ROAD).select("pid", point_box_d2([F.col("x0"), F.col("x1")], *box()).cast("bigint").alias("d2")),
     f"select pid, cast(power(greatest(0 - x0, x0 - 500000, 0), 2) + power(greatest(50000 - x1, x1 - 150000, 0), 2) as bigint) as d2 from ({ROAD_PTS})")
 CELLS = f"select code >> 36 as node, min(x0) as lo0, min(x1) as lo1, max(x0) as hi0, max(x1) as hi1 from ({CODE2}) group by 1"
 
@@ -285,9 +285,9 @@ add("tiles_touched", lambda spark, sf: pieces.cell_boxes(coded2(spark, sf), 36).
     f"select code >> 36 as node, count(*) as n from ({CODE2}) group by 1 having max(x0) > 500000")
 add("block_ends", lambda spark, sf: coded2(spark, sf).groupBy(F.shiftright("code", 36).alias("block")).agg(F.min_by("pid", F.struct("code", "pid")).alias("first"), F.max_by("pid", F.struct("code", "pid")).alias("last")),
     f"select code >> 36 as block, arg_min(pid, (code, pid)) as first, arg_max(pid, (code, pid)) as last from ({CODE2}) group by 1")
-add("label_rollup", lambda spark, sf: coded2(spark, sf).withColumns({"a": F.shiftright("code", 40), "b": F.shiftright("code", 36)}).rollup("a", "b").agg(F.min(nation).alias("lab_min"), F.max(nation).alias("lab_max")),
+add("label_rollup", lambda spark, sf: coded2(spark, sf).withColumns({"a": F.shiftright("code", 40), "b": F.shiftright("code", 36)}).rollup("a", "b").agg(F.min(nation()).alias("lab_min"), F.max(nation()).alias("lab_max")),
     f"select code >> 40 as a, code >> 36 as b, min({NATION}) as lab_min, max({NATION}) as lab_max from ({CODE2}) group by rollup (1, 2)")
-add("pair_batches", lambda spark, sf: graphs.complete_graph(P(spark, sf, "supplier2d")).select("lo", "hi", F.ntile(4).over(edge_order).cast("bigint").alias("batch")),
+add("pair_batches", lambda spark, sf: graphs.complete_graph(P(spark, sf, "supplier2d")).select("lo", "hi", F.ntile(4).over(edge_order()).cast("bigint").alias("batch")),
     f"with p as ({workloads.points_sql('supplier2d')}), e as (select a.pid as lo, b.pid as hi, {GAP2} as d2 from p a join p b on a.pid < b.pid) select lo, hi, ntile(4) over (order by d2, lo, hi) as batch from e")
 add("events_props_k", lambda spark, sf: spark.read.parquet(f"{sf}/events.parquet").groupBy(F.get_json_object("props", "$.k").cast("bigint").alias("k")).agg(F.count(F.lit(1)).alias("n")), "select cast(json_extract_string(props, '$.k') as bigint) as k, count(*) as n from events group by 1")
 add("embedding_l2", lambda spark, sf: spark.read.parquet(f"{sf}/embeddings.parquet").select("vec_id", F.round(F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))), 6).alias("l2")), "select vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: cast(x as double) * cast(x as double)))), 6) as l2 from embeddings")
