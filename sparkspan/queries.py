@@ -15,8 +15,9 @@ from sparkspan.operators.merge import pointer_doubling
 from sparkspan.plans import baselines, graphs
 from sparkspan.plans.emst import core_distances, emst, finished
 from sparkspan.session import Workspace
-from sparkspan.sources import workloads
+from sparkspan.sources import tables, workloads
 from sparkspan.sources.points import axes, validate_points
+from sparkspan.streaming import events
 
 Query = Callable[[SparkSession, str], DataFrame]
 ROWS = 64
@@ -303,6 +304,37 @@ add("scale_sample", lambda spark, sf: workloads.scale_sample(P(spark, sf, "unifo
 add("validate_points", lambda spark, sf: validate_points(P(spark, sf, ROAD).withColumn("x0", F.when(F.col("pid") % 7 == 0, F.lit(None)).otherwise(F.col("x0"))), "drop"), f"select * from ({ROAD_PTS}) where pid % 7 <> 0")
 
 
+# Streams over the events, run to the end of what there is.
+def _stream(make, mode: str) -> Query:
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        return events.run_to_table(make(events.event_stream(spark, sf)), Workspace(spark, "stream"), mode)
+
+    return run
+
+
+MICROS = "(epoch_us(ts) // 86400000000)"
+add("stream_daily_counts", _stream(events.daily_counts, "complete"), f"select cast({MICROS} * 86400 as bigint) as day, event_type, count(*) as n from events group by 1, 2")
+add("stream_sliding_counts", _stream(events.sliding_counts, "complete"), f"select cast(({MICROS} - k) * 86400 as bigint) as start, count(*) as n from events, (select unnest([0, 1]) as k) group by 1")
+add("stream_dedup_events", _stream(lambda s: events.dedup_events(s).select("event_id"), "append"), "select distinct event_id from events")
+add("incremental_emst", lambda spark, sf: _incremental(spark, sf), ROAD_SQL)
+
+
+def _incremental(spark: SparkSession, sf: str) -> DataFrame:
+    p = P(spark, sf, ROAD)
+    old, new = p.where("pid % 10 <> 0"), p.where("pid % 10 = 0")
+    return finished(events.grow_tree(emst(old, tile_rows=ROWS).edges, old, new))
+
+
+def _table_function(spark: SparkSession, sf: str) -> DataFrame:
+    tables.register_functions(spark)
+    users = spark.read.parquet(f"{sf}/events.parquet").select(F.col("event_id").alias("pid"), F.col("user_id").alias("grp"))
+    P(spark, sf, "taxi2d").join(users, "pid").createOrReplaceTempView("taxi_points")
+    return spark.sql("select * from emst_table(table(select grp, pid, x0, x1 from taxi_points) partition by grp)")
+
+
+Q["emst_table_function"] = _table_function
+
+
 def queries() -> dict[str, Query]:
     return dict(Q)
 
