@@ -22,6 +22,8 @@ from .common import Written, fold
 from .components import components
 
 WORDS, SEED = 4, 42
+#: Distinct fingerprints that one group may hold in a task.
+MOST = 1 << 15
 
 
 def fingerprint(text: str) -> int:
@@ -61,26 +63,31 @@ def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     return df.select(F.col(id_col).cast("bigint").alias("id"), fold(F.col(text_col)).alias("t")).mapInArrow(run, "id bigint, fp bigint")
 
 
-def layout(n: int, k: int) -> list[tuple[int, int]]:
+def layout(n: int, k: int, width: int = 64) -> list[tuple[int, int]]:
     """(lowest bit, width) of the blocks. More fingerprints need longer keys: with n of them a key of
     about log2(n) bits keeps the chance meetings per row constant. Every layout is exact."""
     agree = 1
-    while (agree + 1) * 64 // (agree + 1 + k) <= 30 and agree * 64 // (agree + k) < np.log2(max(n, 2)):
+    while (agree + 1) * width // (agree + 1 + k) <= 30 and agree * width // (agree + k) < np.log2(max(n, 2)):
         agree += 1
     m = agree + k
-    edges = [64 * i // m for i in range(m + 1)]
+    edges = [width * i // m for i in range(m + 1)]
     return [(a, b - a) for a, b in zip(edges, edges[1:])]
 
 
-def _keys(blocks: list[tuple[int, int]], k: int) -> Column:
-    take = lambda lo, width: F.shiftrightunsigned("fp", lo).bitwiseAND(F.lit((1 << width) - 1))
+def _packed(blocks: Iterable[tuple[int, int]]) -> Column:
+    out = F.lit(0).cast("bigint")
+    for lo, width in blocks:
+        out = F.shiftleft(out, width).bitwiseOR(F.shiftrightunsigned("rest", lo).bitwiseAND(F.lit((1 << width) - 1)))
+    return out
+
+
+def _split(rows: DataFrame, blocks: list[tuple[int, int]], k: int) -> DataFrame:
+    """rows (g, fp, rest), ``rest`` the bits in which members of group g may still differ, under every
+    choice of blocks that agree. A group's name is a hash: groups that share one are only compared more."""
     out = []
     for t, chosen in enumerate(combinations(blocks, len(blocks) - k)):
-        key = F.lit(0).cast("bigint")
-        for lo, width in chosen:
-            key = F.shiftleft(key, width).bitwiseOR(take(lo, width))
-        out.append(F.struct(F.lit(t).alias("t"), key.alias("key")))
-    return F.array(*out)
+        out.append(F.struct(F.xxhash64("g", F.lit(t), _packed(chosen)).alias("g"), _packed([b for b in blocks if b not in chosen]).alias("rest")))
+    return rows.select("fp", F.explode(F.array(*out)).alias("x")).select("x.g", "fp", "x.rest")
 
 
 def forest(fps: np.ndarray, k: int) -> list[tuple[int, int]]:
@@ -100,46 +107,81 @@ def forest(fps: np.ndarray, k: int) -> list[tuple[int, int]]:
     return out
 
 
-def links(distinct: DataFrame, k: int = 4, n: int | None = None) -> DataFrame:
-    """(u, v): fingerprint pairs within k bits whose closure is that of all such pairs."""
-    blocks = layout(distinct.count() if n is None else n, k)
-    keyed = distinct.select("fp", F.explode(_keys(blocks, k)).alias("x")).select("x.t", "x.key", "fp")
+def _meet(rows: DataFrame, k: int, most: int | None) -> DataFrame:
+    """(u, v, rest) of rows (g, fp, rest): links of each group, with a null rest, as a spanning forest. A
+    group of more than ``most`` members is not held: its rows come back as they are, (g, fp, rest)."""
 
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: np.ndarray = np.zeros((0, 3), np.int64)
+    def batch(u: np.ndarray, v: np.ndarray, rest: np.ndarray | None) -> pa.RecordBatch:
+        last = pa.nulls(len(u), pa.int64()) if rest is None else pa.array(rest)
+        return pa.RecordBatch.from_arrays([pa.array(u), pa.array(v), last], names=["u", "v", "rest"])
 
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def close(rows: np.ndarray) -> Iterator[pa.RecordBatch]:
-            """rows: whole groups, sorted by (t, key)."""
-            new = np.flatnonzero(np.append(True, (rows[1:, :2] != rows[:-1, :2]).any(1)))
+            """rows: whole groups, sorted by g."""
+            new = np.flatnonzero(np.append(True, rows[1:, 0] != rows[:-1, 0]))
             size = np.diff(np.append(new, len(rows)))
-            u, v = [], []
             at = new[size == 2]
-            pair = rows[at, 2], rows[at + 1, 2]
+            pair = rows[at, 1], rows[at + 1, 1]
             near = np.bitwise_count((pair[0] ^ pair[1]).view(np.uint64)) <= k
-            u.append(pair[0][near])
-            v.append(pair[1][near])
+            u, v = [pair[0][near]], [pair[1][near]]
             for a, s in zip(new[size > 2].tolist(), size[size > 2].tolist(), strict=True):
-                fps = rows[a : a + s, 2]
-                if e := forest(fps.view(np.uint64), k):
+                fps = rows[a : a + s, 1]
+                if most is not None and s > most:
+                    yield batch(*np.ascontiguousarray(rows[a : a + s].T))
+                elif e := forest(fps.view(np.uint64), k):
                     i, j = np.array(e).T
                     u.append(fps[i])
                     v.append(fps[j])
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(u)), pa.array(np.concatenate(v))], names=["u", "v"])
+            yield batch(np.concatenate(u), np.concatenate(v), None)
 
+        held, passing = np.zeros((0, 3), np.int64), None  # passing: a group that goes through unheld
         for b in batches:
             rows = np.stack([c.to_numpy(zero_copy_only=False).astype(np.int64) for c in b.columns], 1)
+            if passing is not None:
+                n = int((rows[:, 0] == passing).sum())
+                if n:
+                    yield batch(*np.ascontiguousarray(rows[:n].T))
+                rows = rows[n:]
             rows = np.concatenate([held, rows])
             if not len(rows):
                 continue
-            same = (rows[:, :2] == rows[-1, :2]).all(1)
-            cut = len(rows) - int(same.sum())  # the last group may go on in the next batch
+            passing = None
+            cut = len(rows) - int((rows[:, 0] == rows[-1, 0]).sum())  # the last group may go on in the next batch
             if cut:
                 yield from close(rows[:cut])
             held = np.ascontiguousarray(rows[cut:])
+            if most is not None and len(held) > most:
+                yield batch(*np.ascontiguousarray(held.T))
+                held, passing = held[:0], held[0, 0]
         if len(held):
             yield from close(held)
 
-    return keyed.repartition("t", "key").sortWithinPartitions("t", "key").mapInArrow(run, "u bigint, v bigint")
+    return rows.repartition("g").sortWithinPartitions("g").select("g", "fp", "rest").mapInArrow(run, "u bigint, v bigint, rest bigint")
+
+
+def links(distinct: DataFrame, written: Written, k: int = 4, n: int | None = None, most: int = MOST) -> DataFrame:
+    """(u, v): fingerprint pairs within k bits whose closure is that of all such pairs.
+
+    A group of more than ``most`` fingerprints is cut by blocks of the bits that its key left open, which
+    thins it out unless its members are alike. A group that is still as large is dealt into parts, and
+    each two parts meet in a group of their own, so that no task holds more than about ``most``."""
+    n = distinct.count() if n is None else n
+    rows, width, out = distinct.select(F.lit(0).cast("bigint").alias("g"), "fp", F.col("fp").alias("rest")), 64, None
+    for _ in range(2):
+        blocks = layout(n, k, width)
+        found = written.save(_meet(_split(rows, blocks, k), k, most))
+        width -= sum(sorted(w for _, w in blocks)[: len(blocks) - k])
+        now = found.where("rest is null").select("u", "v")
+        out = now if out is None else out.union(now)
+        rows = found.where("rest is not null").select(F.col("u").alias("g"), F.col("v").alias("fp"), "rest")
+        n = rows.groupBy("g").count().agg(F.max("count")).first()[0]
+        if n is None:
+            return out
+    sizes = rows.groupBy(F.col("g").alias("of")).agg(F.ceil(2 * F.count(F.lit(1)) / F.lit(most)).cast("bigint").alias("parts"))
+    dealt = rows.join(sizes, F.col("g") == F.col("of")).withColumn("a", F.pmod(F.xxhash64("fp"), F.col("parts")))
+    dealt = dealt.withColumn("b", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("parts") - 1))).where("a <> b")
+    met = dealt.select(F.xxhash64("g", F.least("a", "b"), F.greatest("a", "b")).alias("g"), "fp", "rest")
+    return out.union(_meet(met, k, None).select("u", "v"))
 
 
 def near_duplicates(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", k: int = 4) -> DataFrame:
@@ -152,7 +194,7 @@ def near_duplicates(df: DataFrame, written: Written, id_col: str = "doc_id", tex
     """
     fps = written.save(fingerprints(df, id_col, text_col))
     distinct = written.save(fps.groupBy("fp").agg(F.min("id").alias("least")))
-    comp = components(links(distinct.select("fp"), k), written)
+    comp = components(links(distinct.select("fp"), written, k), written)
     rooted = distinct.join(comp, distinct.fp == comp.id, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     low = rooted.groupBy("root").agg(F.min("least").alias("component"))
     named = written.save(rooted.join(low, "root").select("fp", "component"))

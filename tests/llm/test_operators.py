@@ -153,13 +153,14 @@ def test_simhash(spark, odd, none):
     assert kept.columns == odd.columns and kept.count() == kept.select("doc_id").distinct().count()
 
 
-@pytest.mark.parametrize("n", [10, 1 << 23, 1 << 28, 1 << 40])
-def test_every_layout_finds_all_links(spark, n):
+@pytest.mark.parametrize("n, most", [(10, simhash.MOST), (1 << 23, simhash.MOST), (1 << 28, simhash.MOST), (1 << 40, simhash.MOST), (10, 6), (1 << 20, 4)])
+def test_every_layout_finds_all_links(spark, n, most):
     rng = np.random.default_rng(2)
     base = rng.integers(-(1 << 63), (1 << 63) - 1, 30)
+    base[:10] = base[0] ^ (base[:10] & 0xFFFFFFFF)  # large groups in which little links
     near = [int(x) ^ int(sum(1 << int(b) for b in rng.choice(63, rng.integers(0, 6), replace=False))) for x in base for _ in range(4)]
     fps = sorted({*map(int, base), *near})
-    links = simhash.links(spark.createDataFrame([(x,) for x in fps], "fp bigint"), 4, n).collect()
+    links = simhash.links(spark.createDataFrame([(x,) for x in fps], "fp bigint"), Written(spark, "t"), 4, n, most).collect()
     for pairs in ([(r["u"], r["v"]) for r in links],):
         parent = {x: x for x in fps}
 
