@@ -117,3 +117,16 @@ def prim(x: np.ndarray, pid: np.ndarray, core: np.ndarray | None = None) -> list
         now = int(at[0])
         out_.append((int(best[2][now]), int(best[3][now]), best[0][now].item(), best[1][now].item()))
     return out_
+
+
+def grow(pid: np.ndarray, x: np.ndarray, tree: np.ndarray, new_pid: np.ndarray, new_x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(pid, x, tree) after new points: the old tree's edges and those that touch a new point hold the
+    new tree. A tree has rows (i, j, d2), the ends as places in ``pid``."""
+    n, pid, x = len(pid), np.concatenate([pid, new_pid]), np.concatenate([x, new_x])
+    i, j = np.nonzero(np.arange(n, len(pid))[:, None] > np.arange(len(pid))[None, :])
+    d2 = pair_d2(new_x, x)[i, j]
+    u, v, d2 = np.concatenate([tree[:, 0], i + n]), np.concatenate([tree[:, 1], j]), np.concatenate([tree[:, 2], d2])
+    order = np.lexsort((np.maximum(pid[u], pid[v]), np.minimum(pid[u], pid[v]), d2))
+    u, v, d2 = u[order], v[order], d2[order]
+    keep = union_find(len(pid), u, v)
+    return pid, x, np.stack([u[keep], v[keep], d2[keep]], 1)

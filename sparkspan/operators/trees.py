@@ -28,6 +28,19 @@ def edge_diff(a: DataFrame, b: DataFrame) -> DataFrame:
     return x.join(y, ["lo", "hi"], "full").where("in_a is null or in_b is null")
 
 
+def cut_check(edges: DataFrame, best: DataFrame) -> DataFrame:
+    """Least edges that leave the components of some partition, (comp, lo, hi, ..), which the tree lacks.
+    By the cut property there are none."""
+    return best.join(edges.select("lo", "hi"), ["lo", "hi"], "left_anti")
+
+
+def bound_tightness(bounds: DataFrame, best: DataFrame) -> DataFrame:
+    """(comp, ub_d2, d2, ratio): a component's bound over its shortest edge out; 1 is tight, null for an
+    edge of length 0."""
+    ratio = F.when(F.col("d2") > 0, F.round(F.sqrt(F.col("ub_d2").cast("double")) / F.sqrt(F.col("d2").cast("double")), 6))
+    return bounds.join(best.select("comp", "d2"), "comp").select("comp", "ub_d2", "d2", ratio.alias("ratio"))
+
+
 def single_linkage(edges: DataFrame, points: DataFrame, cut_d2, work: Workspace) -> DataFrame:
     """(pid, cluster): components left by tree edges of squared length at most ``cut_d2``; the smallest pid
     names a cluster. With a linking length this gives friends-of-friends groups."""

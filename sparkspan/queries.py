@@ -335,6 +335,53 @@ def _table_function(spark: SparkSession, sf: str) -> DataFrame:
 Q["emst_table_function"] = _table_function
 
 
+add("stream_session_counts", _stream(events.session_counts, "complete"),
+    "with e as (select user_id, epoch_us(ts) as t, case when epoch_us(ts) - lag(epoch_us(ts)) over (partition by user_id order by ts) <= 1800000000 then 0 else 1 end as fresh from events), s as (select *, sum(fresh) over (partition by user_id order by t rows unbounded preceding) as k from e) select user_id, min(t) as start, count(*) as n from s group by user_id, k")
+add("click_then_purchase", _stream(events.click_then_purchase, "append"),
+    "select a.event_id as click, b.event_id as purchase from events a join events b on a.user_id = b.user_id and a.event_type = 'click' and b.event_type = 'purchase' and b.ts between a.ts and a.ts + interval 1 hour")
+add("stream_with_cells", lambda spark, sf: _cells_of_events(spark, sf),
+    "with c as (select cast(floor(c_acctbal / 100) as bigint) as cell, count(*) as customers from customer group by 1) select event_id, cast(floor(value) as bigint) as cell, customers from events left join c on cast(floor(value) as bigint) = cell")
+
+
+def _cells_of_events(spark: SparkSession, sf: str) -> DataFrame:
+    cells = spark.read.parquet(f"{sf}/customer.parquet").groupBy(F.floor(F.col("c_acctbal") / 100).cast("bigint").alias("cell")).agg(F.count(F.lit(1)).alias("customers"))
+    joined = lambda s: events.with_cells(s, cells, F.floor("value").cast("bigint")).select("event_id", "cell", "customers")
+    return _stream(joined, "append")(spark, sf)
+
+
+def _trajectories(spark: SparkSession, sf: str) -> DataFrame:
+    def made(stream: DataFrame) -> DataFrame:
+        xy = stream.select("user_id", F.col("event_id").cast("bigint").alias("pid"), F.unix_seconds("ts").alias("x0"), F.round(F.col("value") * 1000).cast("bigint").alias("x1"))
+        return events.trajectory_trees(xy)
+
+    return _stream(made, "update")(spark, sf).groupBy("user_id").agg(F.max(F.struct("points", "edges", "millis")).alias("r")).select("user_id", "r.*")
+
+
+Q["trajectory_tree_state"] = _trajectories
+add("edges_per_workload_cube", lambda spark, sf: _cube(spark, sf),
+    "with r as (select 'customer' as workload, m as method, (select count(*) - 1 from customer) as n from (values ('reference'), ('prim')) t(m) union all select 'supplier', m, (select count(*) - 1 from supplier) from (values ('reference'), ('prim')) t(m)) select workload, method, cast(sum(n) as bigint) as edges from r group by cube (workload, method)")
+
+
+def _cube(spark: SparkSession, sf: str) -> DataFrame:
+    out = None
+    for workload, name in (("customer", ROAD), ("supplier", "supplier2d")):
+        for method, e in (("reference", tree(name)(spark, sf)), ("prim", baselines.emst_local(P(spark, sf, name)))):
+            rows = e.select(F.lit(workload).alias("workload"), F.lit(method).alias("method"), "lo")
+            out = rows if out is None else out.union(rows)
+    return out.cube("workload", "method").agg(F.count("lo").alias("edges"))
+
+
+add("cut_check_road2d", lambda spark, sf: trees.cut_check(road_tree(spark, sf), _outgoing(spark, sf)).agg(F.count(F.lit(1)).alias("missing")), "select cast(0 as bigint) as missing")
+TIGHT = f"c as (select c.*, comp from ({CODE2}) c join (select pid, comp from p) using (pid)), n as (select comp as ca, x0, x1, lead(comp) over o as cb, lead(x0) over o as y0, lead(x1) over o as y1 from c window o as (order by code, pid)), e as (select ca, cb, cast((x0 - y0) * (x0 - y0) + (x1 - y1) * (x1 - y1) as bigint) as d2 from n where cb is not null and ca <> cb), ub as (select comp, min(d2) as ub_d2 from (select ca as comp, d2 from e union all select cb, d2 from e) group by comp), b as ({OUT_SQL})"
+add("bound_tightness_road2d", lambda spark, sf: _tightness(spark, sf), f"{GIVEN}, {TIGHT} select comp, ub_d2, d2, case when d2 > 0 then round(sqrt(cast(ub_d2 as double)) / sqrt(cast(d2 as double)), 6) end as ratio from ub join b using (comp)")
+
+
+def _tightness(spark: SparkSession, sf: str) -> DataFrame:
+    low = P(spark, sf, ROAD).groupBy(nation().alias("g")).agg(F.min("pid").alias("low"))
+    bounds = pieces.curve_upper_bounds(coded2(spark, sf), nation()).join(low, F.col("comp") == F.col("g")).select(F.col("low").alias("comp"), "ub_d2")
+    return trees.bound_tightness(bounds, _outgoing(spark, sf))
+
+
 def queries() -> dict[str, Query]:
     return dict(Q)
 

@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from collections.abc import Iterable, Iterator
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from sparkspan.operators.kernels import grow
 from sparkspan.plans.baselines import emst_local
 from sparkspan.plans.graphs import kruskal
 from sparkspan.session import Workspace
@@ -25,6 +30,46 @@ def sliding_counts(stream: DataFrame, late: str = "1 hour") -> DataFrame:
     return stream.withWatermark("ts", late).groupBy(F.window("ts", "2 days", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_seconds("w.start").alias("start"), "n")
 
 
+def session_counts(stream: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
+    """(user_id, start, n): a user's session ends when nothing follows within ``gap``."""
+    return stream.withWatermark("ts", late).groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.unix_micros("w.start").alias("start"), "n")
+
+
+def click_then_purchase(stream: DataFrame, within: str = "1 hour", late: str = "1 hour") -> DataFrame:
+    """(click, purchase): purchases of the same user at most ``within`` after a click. Watermarks on both
+    sides and the interval bound what either side keeps."""
+    side = lambda kind, p: stream.where(F.col("event_type") == kind).select(F.col("event_id").alias(kind), F.col("user_id").alias(f"{p}u"), F.col("ts").alias(f"{p}t")).withWatermark(f"{p}t", late)
+    near = F.expr(f"cu = pu and pt between ct and ct + interval {within}")
+    return side("click", "c").join(side("purchase", "p"), near).select("click", "purchase")
+
+
+def with_cells(stream: DataFrame, cells: DataFrame, cell: Column) -> DataFrame:
+    """Each event with the row of a static table of cells (cell, ...) that it falls into; events outside
+    all cells stay, with nulls."""
+    return stream.withColumn("cell", cell).join(cells, "cell", "left")
+
+
+STATE = "pid array<bigint>, x array<bigint>, tree array<bigint>"
+TRAJECTORY = "user_id bigint, points bigint, edges bigint, millis bigint"
+
+
+def trajectory_trees(points: DataFrame) -> DataFrame:
+    """(user_id, points, edges, millis) of every user that a batch of (user_id, pid, x0, x1) touches. The
+    state holds a user's points and tree, which grows by the cycle property; it is bounded by the
+    length of one trajectory."""
+
+    def step(key: tuple, frames: Iterable[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        got = [np.asarray(a, np.int64) for a in state.get] if state.exists else [np.zeros(0, np.int64)] * 3
+        pid, x, tree = got[0], got[1].reshape(-1, 2), got[2].reshape(-1, 3)
+        for f in frames:
+            pid, x, tree = grow(pid, x, tree, f["pid"].to_numpy(np.int64), f[["x0", "x1"]].to_numpy(np.int64))
+        state.update((pid.tolist(), x.ravel().tolist(), tree.ravel().tolist()))
+        millis = int(np.round(np.sqrt(tree[:, 2].astype(float)) * 1000).sum())
+        yield pd.DataFrame({"user_id": [key[0]], "points": [len(pid)], "edges": [len(tree)], "millis": [millis]})
+
+    return points.groupBy("user_id").applyInPandasWithState(step, TRAJECTORY, STATE, "update", "NoTimeout")
+
+
 def dedup_events(stream: DataFrame, late: str = "1 hour") -> DataFrame:
     return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 

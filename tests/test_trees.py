@@ -11,8 +11,9 @@ from sparkspan.operators.merge import merge_arrays, pointer_doubling
 from sparkspan.plans import baselines, graphs
 from sparkspan.plans.emst import core_distances, emst
 from sparkspan.session import Workspace
-from sparkspan.sources import synthetic, workloads
+from sparkspan.sources import files, synthetic, workloads
 from sparkspan.sources.points import collapse_duplicates, validate_points
+from sparkspan.streaming import events
 from sparkspan.streaming.events import grow_tree
 
 SF = "/root/testdata/sf0.001"
@@ -204,3 +205,45 @@ def test_measures(spark):
     assert trees.growth(runs).first()["exponent"] == pytest.approx(1.0) and trees.saturation(runs).first()["n"] == 1000
     assert {r["method"]: r["speedup"] for r in trees.speedup(runs, "b").collect()}["a"] == 10 and trees.feature_rate(10**6, 3, 3.0) == 1.0
     assert kernels.prim(np.zeros((1, 2), np.int64), np.array([4])) == []
+
+
+@pytest.mark.parametrize("fmt", sorted(files.FORMATS))
+def test_files_round_trip(spark, tmp_path, fmt):
+    p = table(spark, [(1, -5, 7), (2, 0, 1 << 40), (3, 9, 9)])
+    files.write_table(p, f"file://{tmp_path}/{fmt}", fmt)
+    assert sorted(files.read_points(spark, f"file://{tmp_path}/{fmt}", fmt).collect()) == sorted(p.collect())
+
+
+def test_bucketed_layout_needs_no_exchange(spark, tmp_path):
+    p = workloads.points(spark, SF, "road2d").withColumn("code", F.col("pid"))
+    kept = files.save_bucketed(p, "bucketed_points", F.shiftright("code", 4), 4, f"file://{tmp_path}/b")
+    plan = kept.groupBy("block").count()._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and kept.count() == p.count()
+    spark.sql("drop table bucketed_points")
+
+
+def test_trees_of_trajectories_grow_over_batches(spark, tmp_path):
+    pts = np.random.default_rng(4).integers(0, 30, (90, 2))
+    rows = [(i % 3, i, int(x), int(y)) for i, (x, y) in enumerate(pts)]
+    ddl = "user_id bigint, pid bigint, x0 bigint, x1 bigint"
+    for k in range(3):
+        spark.createDataFrame(rows[30 * k : 30 * k + 30], ddl).coalesce(1).write.mode("append").parquet(f"file://{tmp_path}/s")
+    stream = spark.readStream.schema(ddl).option("maxFilesPerTrigger", 1).parquet(f"file://{tmp_path}/s")
+    got = events.run_to_table(events.trajectory_trees(stream), Workspace(spark, "t"), "update").collect()
+    last = {u: max((r for r in got if r["user_id"] == u), key=lambda r: r["points"]) for u in range(3)}
+    assert len(got) == 9
+    for u, r in last.items():
+        mine = [t[1:] for t in rows if t[0] == u]
+        want = kernels.prim(np.array([t[1:] for t in mine]), np.array([t[0] for t in mine]))
+        assert (r["points"], r["edges"], r["millis"]) == (30, 29, int(np.round(np.sqrt([e[3] for e in want]) * 1000).sum()))
+
+
+def test_late_rows_are_dropped(spark, tmp_path):
+    ddl = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
+    for k, day in enumerate(("2024-01-01", "2024-03-01", "2024-04-01", "2024-01-01", "2024-05-01")):
+        spark.createDataFrame([(k,)], "k bigint").selectExpr("k as event_id", f"timestamp_ntz'{day} 10:00:00' as ts", "1L as user_id", "'click' as event_type", "1.0d as value", "'{}' as props").coalesce(1).write.parquet(f"file://{tmp_path}/s/events{k}.parquet")
+    stream = spark.readStream.schema(ddl).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(f"file://{tmp_path}/s").withColumn("ts", F.col("ts").cast("timestamp"))
+    got = events.run_to_table(events.daily_counts(stream), Workspace(spark, "t"), "append").collect()
+    # Rows are held against the watermark of the batch before the last: the second of January comes late,
+    # and May stays open.
+    assert [r["n"] for r in got] == [1, 1, 1]
