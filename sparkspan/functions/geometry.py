@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -35,24 +36,24 @@ def edge_key(w: Column, u: Column, v: Column) -> Column:
     return F.struct(w.alias("d2"), F.least(u, v).alias("lo"), F.greatest(u, v).alias("hi"))
 
 
+def comb(step: int, axes: int, bits: int) -> int:
+    """Mask of ``bits`` bits in groups of ``step``, a group every ``step * axes`` bits."""
+    mask, at, left = 0, 0, bits
+    while left > 0:
+        mask |= ((1 << min(step, left)) - 1) << at
+        at, left = at + step * axes, left - step
+    return mask & ((1 << 63) - 1)
+
+
 def spread(x: Column, axes: int, bits: int) -> Column:
     """Puts ``axes - 1`` empty bits between the low ``bits`` of x, by halving: each step moves the upper
     half of every group of bits away from the lower half."""
     if axes == 1:
         return x
-    group = 1
-    while group < bits:
-        group *= 2
-    while group > 1:
-        half = group // 2
-        # Groups of `half` bits end up at distance half * axes.
-        mask, at, left = 0, 0, bits
-        while left > 0:
-            mask |= ((1 << min(half, left)) - 1) << at
-            at, left = at + half * axes, left - half
-        mask &= (1 << 63) - 1
-        x = x.bitwiseOR(F.shiftleft(x, half * (axes - 1))).bitwiseAND(F.lit(mask))
-        group = half
+    step = 1 << (bits - 1).bit_length()
+    while step > 1:
+        step //= 2
+        x = x.bitwiseOR(F.shiftleft(x, step * (axes - 1))).bitwiseAND(F.lit(comb(step, axes, bits)))
     return x
 
 
@@ -63,6 +64,20 @@ def morton(axes: list[Column], bits: int | None = None) -> Column:
     return reduce(lambda a, b: a.bitwiseOR(b), [F.shiftleft(spread(x.cast("bigint"), d, bits), i) if i else spread(x.cast("bigint"), d, bits) for i, x in enumerate(axes)])
 
 
+def morton_array(axes: list[np.ndarray]) -> np.ndarray:
+    """The same codes of arrays, for kernels."""
+    d, bits = len(axes), AXIS_BITS[len(axes)]
+    out = np.zeros(len(axes[0]), np.int64)
+    for k, x in enumerate(axes):
+        step = 1 << (bits - 1).bit_length()  # halve groups as ``spread`` does
+        x = x.astype(np.int64)
+        while d > 1 and step > 1:
+            step //= 2
+            x = (x | (x << (step * (d - 1)))) & comb(step, d, bits)
+        out |= x << k
+    return out
+
+
 def morton_wide(axes: list[Column]) -> tuple[Column, Column]:
     """Code of twice the width, as (high, low): the codes of the upper and of the lower half of each axis."""
     half = AXIS_BITS[len(axes)]

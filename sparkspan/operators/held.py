@@ -24,9 +24,11 @@ HELD_POINTS = 4_000_000
 
 
 class Held:
-    def __init__(self, layout: Layout):
+    """With ``still``, the uncertain edges of contracted blocks, only other blocks are searched."""
+
+    def __init__(self, layout: Layout, still: DataFrame | None = None):
         self.spark, self.layout = layout.tiles.sparkSession, layout
-        t = layout.tiles.select("tile", "n", "pid", "x", "core").orderBy("tile").toArrow()
+        t = layout.tiles.select("tile", "block", "n", "pid", "x", "comp", "core").orderBy("tile").toArrow()
         kind = np.float64 if layout.real else np.int64
         join = lambda c, k: np.frombuffer(b"".join(t[c].to_pylist()), k)
         self.pid, self.x, self.core = join("pid", np.int64), join("x", kind).reshape(-1, layout.d), join("core", kind)
@@ -35,8 +37,12 @@ class Held:
         at = self.starts[:-1]
         lo, hi = np.minimum.reduceat(b, at), np.maximum.reduceat(b, at)
         self.fixed = self.spark.sparkContext.broadcast((self.pid, self.x, self.core, self.starts, lo, hi))
-        self.labels = np.searchsorted(np.sort(self.pid), self.pid)  # components as 0 .. s - 1
-        self.names = np.sort(self.pid)
+        own, self.labels = np.unique(join("comp", np.int64), return_inverse=True)
+        self.block = self.open = None
+        if still is not None:
+            self.block = t["block"].to_numpy()
+            e = still.toArrow()
+            self.open = {c: e[c].to_numpy() for c in ("w", "d2", "lo", "hi")} | {c: np.searchsorted(own, e[c].to_numpy()) for c in ("comp", "to")}
 
     def set_cores(self, core: np.ndarray) -> None:
         self.core = core
@@ -59,7 +65,9 @@ class Held:
         return out
 
     def bounds(self) -> tuple[np.ndarray, ...]:
-        """Best edges within tiles and between curve neighbours, per component."""
+        """Best edges within tiles (or blocks) and between curve neighbours, per component."""
+        if self.open is not None:
+            return self._open_bounds()
 
         def body(t, pid, x, core, starts, lo, hi, labels):
             a, z = starts[t], starts[t + 1]
@@ -73,57 +81,31 @@ class Held:
 
         return self._least(self._run(body))
 
+    def _open_bounds(self) -> tuple[np.ndarray, ...]:
+        o = self.open
+        z = self.starts[1:-1][self.block[1:] != self.block[:-1]]  # first points of blocks
+        z = z[self.labels[z - 1] != self.labels[z]]
+        d2 = sum((self.x[z - 1, k] - self.x[z, k]) ** 2 for k in range(self.x.shape[1]))
+        w = np.maximum(np.maximum(self.core[z - 1], self.core[z]), d2)
+        p, q = self.pid[z - 1], self.pid[z]
+        lo, hi = np.minimum(p, q), np.maximum(p, q)
+        u, v = np.concatenate([o["comp"], self.labels[z - 1]]), np.concatenate([o["to"], self.labels[z]])
+        w, d2, lo, hi = (np.concatenate(c) for c in ((o["w"], w), (o["d2"], d2), (o["lo"], lo), (o["hi"], hi)))
+        return kernels.least_keys(*[np.concatenate(c) for c in ((u, v), (w, w), (d2, d2), (lo, lo), (hi, hi), (v, u))])
+
     def search(self, bound: np.ndarray, skip: bool) -> tuple[tuple[np.ndarray, ...], int, int]:
         """Best edges into other tiles within ``bound`` (per component), and tile pairs and distances."""
 
-        def body(t, pid, x, core, starts, lo, hi, labels, bound):
-            a, z = int(starts[t]), int(starts[t + 1])
-            p, px, pc, pk = pid[a:z], x[a:z], labels[a:z], core[a:z]
-            names, idx = np.unique(pc, return_inverse=True)
-            ub = bound[names]
-            boxed = lo.shape[1]
-            g = np.maximum(np.maximum(lo - hi[t], lo[t] - hi), 0)
-            gap = sum(g[:, k] * g[:, k] for k in range(boxed))
-            near = np.flatnonzero(gap <= ub.max())
-            near = near[near != t]
-            near = near[np.argsort(gap[near], kind="stable")]
-            pairs, dists, found = 0, 0, []
-            for r in near.tolist():
-                if gap[r] > ub.max():
-                    break
-                i, j = int(starts[r]), int(starts[r + 1])
-                rc = labels[i:j]
-                gp = np.maximum(np.maximum(lo[r] - px[:, :boxed], px[:, :boxed] - hi[r]), 0)
-                reach = ub[idx]
-                keep = sum(gp[:, k] * gp[:, k] for k in range(boxed)) <= reach
-                keep &= pk <= reach
-                if skip and (rc == rc[0]).all():
-                    keep &= pc != rc[0]
-                if not keep.any():
-                    continue
-                qx = px[keep]
-                ql, qh = qx[:, :boxed].min(0), qx[:, :boxed].max(0)
-                rx = x[i:j, :boxed]
-                gr = np.maximum(np.maximum(ql - rx, rx - qh), 0)
-                far = reach[keep].max()
-                s = (sum(gr[:, k] * gr[:, k] for k in range(boxed)) <= far) & (core[i:j] <= far)
-                if not s.any():
-                    continue
-                pairs, dists = pairs + 1, dists + int(keep.sum()) * int(s.sum())
-                e = kernels.cross((p[keep], qx, pc[keep], pk[keep]), (pid[i:j][s], x[i:j][s], rc[s], core[i:j][s]))
-                if len(e[0]):
-                    at = np.searchsorted(names, e[0])
-                    good = e[1] <= ub[at]
-                    if good.any():
-                        e = tuple(c[good] for c in e)
-                        ub[at[good]] = e[1]
-                        found.append(e)
-            if found:
-                yield edge_batch(kernels.least_keys(*[np.concatenate(c) for c in zip(*found, strict=True)]))
+        block = self.block
+
+        def body(t, pid, x, core, starts, lo, hi, labels, bound, flat):
+            e, pairs, dists = kernels.search_tile(t, pid, x, core, starts, lo, hi, labels, bound, flat, block)
+            if e is not None:
+                yield edge_batch(e)
             if pairs:  # counters travel as a row of no component
                 yield edge_batch(tuple(np.array([v], k) for v, k in zip((-1, pairs, dists, 0, 0, 0), (np.int64, x.dtype, x.dtype, np.int64, np.int64, np.int64), strict=True)))
 
-        out = self._run(body, bound)
+        out = self._run(body, bound, kernels.uniform_labels(self.labels, self.starts) if skip else None)
         count = out.filter(pc_.equal(out["comp"], -1))
         return self._least(out.filter(pc_.greater_equal(out["comp"], 0))), int(sum(count["w"].to_pylist())), int(sum(count["d2"].to_pylist()))
 
@@ -146,7 +128,11 @@ class Held:
         old, new, doublings = merge_arrays(best[0], best[5])
         fresh = np.arange(s)
         fresh[old] = new
-        self.labels = np.unique(fresh[self.labels], return_inverse=True)[1]
+        left, self.labels = np.unique(fresh[self.labels], return_inverse=True)
+        if self.open is not None:
+            o = self.open | {c: np.searchsorted(left, fresh[self.open[c]]) for c in ("comp", "to")}
+            live = o["comp"] != o["to"]
+            self.open = {c: v[live] for c, v in o.items()}
         order = np.lexsort((best[4], best[3]))
         keep = order[np.append(True, (best[3][order][1:] != best[3][order][:-1]) | (best[4][order][1:] != best[4][order][:-1]))]
         return tuple(best[c][keep] for c in (3, 4, 2, 1)), {"comps": s, "tile_pairs": pairs, "distances": dists, "doublings": doublings}

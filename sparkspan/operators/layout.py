@@ -8,7 +8,7 @@ with one range exchange, the only exchange of all points; the rounds work on pac
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -16,10 +16,12 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sparkspan.functions.geometry import AXIS_BITS, morton, morton_wide
+from sparkspan.functions.geometry import AXIS_BITS, morton, morton_array, morton_wide
 from sparkspan.session import Workspace
 from sparkspan.sources.points import RANGE, axes
 
+#: Points below which blocks are not made smaller for the sake of more tasks.
+LEAST_BLOCK = 16_384
 FAN = 4  # bits of a tile number that one level drops
 
 
@@ -34,6 +36,9 @@ class Layout:
     real: bool
     levels: int
     count: int
+    low_bits: int = 0  # a tile number's bits below its block's, 0 if tiles are not numbered by block
+    blocks: tuple[int, int] = (0, 0)  # first and last block
+    grid: Grid | None = None
 
     @property
     def kind(self) -> str:
@@ -59,26 +64,48 @@ def scaled(points: DataFrame, xs: list[str], low: dict, shift: int) -> list[Colu
     return [F.shiftright(F.col(x) - F.lit(low[x]), shift) if shift >= 0 else F.shiftleft(F.col(x) - F.lit(low[x]), -shift) for x in xs]
 
 
-def with_codes(points: DataFrame, bits: int = 63) -> DataFrame:
-    """Adds code (and code_hi for 126 bits). One aggregation finds the range of the axes."""
+@dataclass
+class Grid:
+    """Where codes lie: the first axes moved by ``low``, coarsened by ``shift`` bits; ``top`` is the largest
+    place of each axis. Axes of doubles are first cut to a grid of 2**20 steps a unit."""
+
+    low: list[int]
+    top: list[int]
+    shift: int
+    real: bool
+
+    def codes(self, x: np.ndarray) -> np.ndarray:
+        """Codes of whole coordinates or of doubles, places outside the grid moved to its rim."""
+        g = np.floor(x[:, : len(self.low)] * float(1 << 20)).astype(np.int64) if self.real else x[:, : len(self.low)]
+        cols = [np.clip((g[:, k] - low) >> self.shift, 0, top) for k, (low, top) in enumerate(zip(self.low, self.top, strict=True))]
+        return morton_array(cols)
+
+
+def grid(points: DataFrame, bits: int = 63) -> Grid:
+    """One aggregation finds the range of the axes."""
     xs = axes(points)[:3]
     real = dict(points.dtypes)[xs[0]] in ("double", "float")
+    at = lambda x: F.floor(F.col(x) * float(1 << 20)).cast("bigint") if real else F.col(x)
+    ends = points.agg(*[F.min(at(x)).alias(f"a{x}") for x in xs], *[F.max(at(x)).alias(f"b{x}") for x in xs]).first()
+    low, high = [ends[f"a{x}"] or 0 for x in xs], [ends[f"b{x}"] or 0 for x in xs]
+    width = max([h - a for a, h in zip(low, high, strict=True)] + [1])
+    if not real and width > RANGE:
+        raise ValueError("coordinates lie too far apart for exact squared distances")
+    shift = max(0, width.bit_length() - AXIS_BITS[len(xs)] * (2 if bits > 63 else 1))
+    return Grid(low, [(h - a) >> shift for a, h in zip(low, high, strict=True)], shift, real)
+
+
+def with_codes(points: DataFrame, bits: int = 63, at: Grid | None = None) -> DataFrame:
+    """Adds code and code_hi (0 but for 126 bits)."""
+    at = at or grid(points, bits)
+    xs = axes(points)[:3]
     p = points
-    if real:  # codes of doubles need a grid of whole numbers; distances stay those of the doubles
+    if at.real:  # codes of doubles need a grid of whole numbers; distances stay those of the doubles
         p = points.withColumns({f"g{x}": F.floor(F.col(x) * float(1 << 20)).cast("bigint") for x in xs})
         xs = [f"g{x}" for x in xs]
-    ends = p.agg(*[F.min(x).alias(f"a{x}") for x in xs], *[F.max(x).alias(f"b{x}") for x in xs]).first()
-    low = {x: ends[f"a{x}"] or 0 for x in xs}
-    width = max([(ends[f"b{x}"] or 0) - low[x] for x in xs] + [1])
-    if not real and width > RANGE:
-        raise ValueError("coordinates lie too far apart for exact squared distances")
-    have = AXIS_BITS[len(xs)] * (2 if bits > 63 else 1)
-    shift = max(0, width.bit_length() - have)
-    cols = scaled(p, xs, low, shift)
-    if bits > 63:
-        high, lower = morton_wide(cols)
-        return points.select(*points.columns, high.alias("code_hi"), lower.alias("code")) if not real else p.select(*points.columns, high.alias("code_hi"), lower.alias("code"))
-    return p.select(*points.columns, F.lit(0).cast("bigint").alias("code_hi"), morton(cols).alias("code"))
+    cols = scaled(p, xs, dict(zip(xs, at.low, strict=True)), at.shift)
+    high, lower = morton_wide(cols) if bits > 63 else (F.lit(0).cast("bigint"), morton(cols))
+    return p.select(*points.columns, high.alias("code_hi"), lower.alias("code"))
 
 
 def build(points: DataFrame, work: Workspace, tile_rows: int = 512, block_rows: int = 1 << 20, index: str = "rank", bits: int = 63, prefix_shift: int = 0) -> Layout:
@@ -86,9 +113,11 @@ def build(points: DataFrame, work: Workspace, tile_rows: int = 512, block_rows:
     neighbouring codes is ``radix_tree``)."""
     xs = axes(points)
     d, boxed, real = len(xs), min(3, len(xs)), dict(points.dtypes)[axes(points)[0]] in ("double", "float")
-    coded = with_codes(points, bits)
+    at = grid(points, bits)
+    coded = with_codes(points, bits, at)
     n = coded.count()
-    parts = max(1, -(-n // block_rows))
+    # Blocks are bounded; smaller sets still give every core two, unless those would be tiny.
+    parts = max(1, -(-n // block_rows), min(2 * points.sparkSession.sparkContext.defaultParallelism, n // LEAST_BLOCK))
     key = [F.shiftright("code", prefix_shift)] if index == "prefix" else []
     ranged = coded.repartitionByRange(parts, *(key or ["code_hi", "code", "pid"])).sortWithinPartitions("code_hi", "code", "pid")
     kind = np.float64 if real else np.int64
@@ -130,14 +159,15 @@ def build(points: DataFrame, work: Workspace, tile_rows: int = 512, block_rows:
 
     ddl = ", ".join(f"{f.name} {'bigint' if f.type == pa.int64() else 'int' if f.type == pa.int32() else 'double' if f.type == pa.float64() else 'binary'}" for f in schema)
     packed = work.save(ranged.select("pid", *xs, "code").mapInArrow(pack, ddl))
-    top = packed.agg(F.max("tile").alias("t"), F.max("block").alias("b"), F.count(F.lit(1)).alias("k")).first()
-    last, blocks, count = top["t"] or 0, top["b"] or 0, top["k"]
+    top = packed.agg(F.max("tile").alias("t"), F.max("block").alias("b"), F.min("block").alias("f"), F.count(F.lit(1)).alias("k")).first()
+    last, blocks, count, low = top["t"] or 0, top["b"] or 0, top["k"], 0
     if index != "prefix":  # number tiles across blocks, each block on a boundary of whole levels
         low = FAN * -(-max(1, int(last).bit_length()) // FAN)
         packed = packed.withColumn("tile", F.shiftleft("block", low).bitwiseOR(F.col("tile")))
         last = (int(blocks) << low) | int(last)
     levels = -(-int(last).bit_length() // FAN)
-    return Layout(packed, n, d, boxed, real, levels, count)
+    narrow = at if bits <= 63 else grid(points)
+    return Layout(packed, n, d, boxed, real, levels, count, low, (int(top["f"] or 0), int(blocks)), narrow)
 
 
 def relabel(layout: Layout, mapping, work: Workspace) -> Layout:
@@ -156,7 +186,7 @@ def relabel(layout: Layout, mapping, work: Workspace) -> Layout:
             cols[at["lab_max"]] = pa.array([int(c.max()) for c in comps], pa.int64())
             yield pa.RecordBatch.from_arrays(cols, names=b.schema.names)
 
-    return Layout(work.save(layout.tiles.mapInArrow(run, schema)), layout.n, layout.d, layout.boxed, layout.real, layout.levels, layout.count)
+    return replace(layout, tiles=work.save(layout.tiles.mapInArrow(run, schema)))
 
 
 def attach(layout: Layout, table: DataFrame, column: str, work: Workspace) -> Layout:
@@ -181,7 +211,7 @@ def attach(layout: Layout, table: DataFrame, column: str, work: Workspace) -> La
                 out.append({k: r[k] for k in names})
             yield pa.RecordBatch.from_pylist(out, schema=pa.schema([b.schema.field(k) for k in names]))
 
-    return Layout(work.save(joined.mapInArrow(run, schema)), layout.n, layout.d, layout.boxed, layout.real, layout.levels, layout.count)
+    return replace(layout, tiles=work.save(joined.mapInArrow(run, schema)))
 
 
 def _pids(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

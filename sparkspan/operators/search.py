@@ -52,9 +52,10 @@ def own_edges(layout: Layout) -> DataFrame:
     return layout.tiles.select(*PACK, "lab_min", "lab_max").mapInArrow(run, edge_ddl(layout))
 
 
-def seam_edges(layout: Layout) -> DataFrame:
+def seam_edges(layout: Layout, within: bool = True) -> DataFrame:
     """Edges between the ends of tiles that follow each other on the curve, so that every component has
-    one. Within a block by a window over its tiles, between blocks over one row per block."""
+    one. Within a block by a window over its tiles, between blocks over one row per block; contracted
+    blocks need only the latter."""
     d, real = layout.d, layout.real
     tiles = layout.tiles.select("block", "tile", *PACK)
 
@@ -73,7 +74,7 @@ def seam_edges(layout: Layout) -> DataFrame:
     inside = e.select(F.col("z").alias("u"), F.lead("a").over(Window.partitionBy("block").orderBy("tile")).alias("v"))
     blocks = e.groupBy("block").agg(F.min_by("a", "tile").alias("a"), F.max_by("z", "tile").alias("z"))
     between = blocks.select(F.col("z").alias("u"), F.lead("a").over(Window.orderBy("block")).alias("v"))
-    pairs = inside.union(between).where("v is not null and u.comp <> v.comp")
+    pairs = (inside.union(between) if within else between).where("v is not null and u.comp <> v.comp")
     zero = F.lit(0.0 if real else 0).cast(layout.kind)
     d2 = F.aggregate(F.zip_with("u.x", "v.x", lambda a, b: (a - b) * (a - b)), zero, lambda a, b: a + b)
     w = F.greatest(d2, F.col("u.core"), F.col("v.core"))
@@ -93,9 +94,10 @@ def tile_comps(layout: Layout) -> DataFrame:
     return layout.tiles.select("tile", "comp").mapInArrow(run, "tile bigint, comp bigint")
 
 
-def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual: bool = False) -> DataFrame:
+def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual: bool = False, other_blocks: bool = False) -> DataFrame:
     """(q, r): query tiles and the tiles within their radius. queries: (q, lo.., hi.., lab_min, lab_max,
-    radius). With ``dual`` the queries descend too, as nodes that carry the largest radius below."""
+    radius). With ``dual`` the queries descend too, as nodes that carry the largest radius below. With
+    ``other_blocks`` nodes of the query's own block are not entered."""
     lo, hi = layout.box
     boxes = [F.min(c).alias(c) for c in lo] + [F.max(c).alias(c) for c in hi]
 
@@ -119,6 +121,8 @@ def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual
         keep = gap <= F.col("q_radius")
         if skip_subtrees:
             keep = keep & ~((F.col("r_lab_min") == F.col("r_lab_max")) & (F.col("q_lab_min") == F.col("q_lab_max")) & (F.col("r_lab_min") == F.col("q_lab_min")))
+        if other_blocks and FAN * level <= layout.low_bits:
+            keep = keep & (F.shiftright("r_node", layout.low_bits - FAN * level) != F.shiftright("q_q", layout.low_bits))
         step = step.where(keep)
         if dual:
             front = step.select(F.col("q_q").alias("fq"), F.col("r_node").alias("fr"))

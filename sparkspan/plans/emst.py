@@ -10,6 +10,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from sparkspan.operators import contract as con
 from sparkspan.operators import layout as lay
 from sparkspan.operators import search
 from sparkspan.operators.held import HELD_POINTS, Held, as_edges, cores
@@ -19,6 +20,8 @@ from sparkspan.sources.points import axes, collapse_duplicates
 
 #: Components whose best edges may come to the driver; beyond it labels are merged by joins.
 DRIVER_COMPONENTS = 1_000_000
+#: Points from which blocks are contracted before the rounds, unless asked otherwise.
+CONTRACT_FROM = 32_768
 
 
 @dataclass
@@ -43,7 +46,7 @@ def core_distances(layout: lay.Layout, k_pts: int) -> DataFrame:
 
 def emst(
     points: DataFrame, k_pts: int = 1, skip_subtrees: bool = True, curve_bounds: bool = True, index: str = "rank", curve_bits: int = 63, frontier: str = "tile",
-    tile_rows: int = 512, block_rows: int = 1 << 20, prefix_shift: int | None = None, measure: bool = False, driver_components: int = DRIVER_COMPONENTS, held_points: int = HELD_POINTS,
+    tile_rows: int = 512, block_rows: int = 1 << 20, prefix_shift: int | None = None, measure: bool = False, driver_components: int = DRIVER_COMPONENTS, held_points: int = HELD_POINTS, contract: bool | None = None,
 ) -> Result:
     """n - 1 tree edges under the order (w, d2, lo, hi), w = d2 for Euclid (k_pts = 1) and the largest of
     d2 and both core distances otherwise; the order makes the tree unique, whatever the options.
@@ -52,7 +55,9 @@ def emst(
     single-tree search) or ``dual`` (query nodes descend too, with bounds of whole subtrees). Empty and
     single-point inputs give no edge. Copies of a place are tied to its smallest pid first.
     With frontier ``tile`` and at most ``held_points`` points every task holds the layout and rounds need
-    no exchange; 0 forces the joins.
+    no exchange; 0 forces the joins. ``contract`` settles each block by itself first, so that the rounds
+    meet only what crosses blocks; by default for larger sets with all else at its default, since it
+    leaves nothing to ablate or count within blocks.
     """
     spark = points.sparkSession
     work = Workspace(spark, "emst")
@@ -70,7 +75,12 @@ def emst(
         prefix_shift = max(0, total - d * max(1, math.ceil(math.log2(max(2, points.count() / tile_rows)) / d)))
     layout = lay.build(points, work, tile_rows, block_rows, index, curve_bits, prefix_shift or 0)
     result.phases["tree"] = time.perf_counter() - began
-    held = Held(layout) if frontier == "tile" and 1 < layout.n <= held_points else None
+    if contract is None:
+        contract = layout.n >= CONTRACT_FROM and frontier == "tile" and index != "prefix" and skip_subtrees and curve_bounds and not measure
+    elif contract and (frontier != "tile" or index == "prefix"):
+        raise ValueError("blocks are contracted under the tile frontier and tiles of equal count only")
+    hold = frontier == "tile" and 1 < layout.n <= held_points
+    held = Held(layout) if hold and not contract else None
     if k_pts > 1:
         t = time.perf_counter()
         core = core_distances(layout, k_pts)
@@ -79,18 +89,25 @@ def emst(
         else:
             layout = lay.attach(layout, core.select("pid", F.col("core_d2").alias("value")), "core", work)
         result.phases["core"] = time.perf_counter() - t
+    edges, comps, still = [], layout.n, None
+    if contract and layout.n > 1:
+        t = time.perf_counter()
+        whole = con.contract(layout, work)
+        layout, still, comps, edges = whole.layout, whole.open, whole.comps, [whole.done]
+        result.phases["blocks"] = time.perf_counter() - t
+        held = Held(layout, still) if hold and comps > 1 else None
     if held:
-        return _held_rounds(held, result, star, skip_subtrees, curve_bounds)
+        return _held_rounds(held, result, star, skip_subtrees, curve_bounds, edges)
     t = time.perf_counter()
-    comps, edges, most = layout.n, [], math.ceil(math.log2(max(2, layout.n)))
+    most = math.ceil(math.log2(max(2, comps)))
     while comps > 1:
         start = time.perf_counter()
-        if len(edges) > most:
+        if len(result.rounds) > most:
             raise RuntimeError("more rounds than a Borůvka tree can need")
-        seams = search.own_edges(layout).union(search.seam_edges(layout))
-        bounds = work.save(search.least(seams))
-        pairs = search.descend(layout, search.query_tiles(layout, bounds if curve_bounds else None), skip_subtrees, frontier == "dual").where("q <> r")
-        row: dict = {"round": len(edges) + 1, "comps": comps}
+        own = search.own_edges(layout) if still is None else con.both_ways(still)
+        bounds = work.save(search.least(own.union(search.seam_edges(layout, still is None))))
+        pairs = search.descend(layout, search.query_tiles(layout, bounds if curve_bounds else None), skip_subtrees, frontier == "dual", still is not None).where("q <> r")
+        row: dict = {"round": len(result.rounds) + 1, "comps": comps}
         if measure:
             pairs = work.save(pairs)
             size = layout.tiles.select("tile", "n")
@@ -106,13 +123,15 @@ def emst(
             sent = spark.sparkContext.broadcast((old, fresh))
             if comps > 1:
                 before, layout = layout, lay.relabel(layout, sent, work)
-                if len(edges) > 1:
-                    work.drop(before.tiles) if hasattr(before.tiles, "_at") else None
+                still = con.relabel_open(still, sent, work) if still is not None else None
+                if result.rounds and hasattr(before.tiles, "_at"):
+                    work.drop(before.tiles)
             row["doublings"] = doublings
         else:
             roots = work.save(pointer_doubling(best.select("comp", F.col("to").alias("target")), work))
             comps = roots.select("root").distinct().count()
             pids = layout.tiles.select("pid", "comp").mapInArrow(_labels, "pid bigint, comp bigint")
+            still = con.rejoin_open(still, roots, work) if still is not None else None
             layout = lay.attach(layout, pids.join(roots, "comp").select("pid", F.col("root").alias("value")), "comp", work)
         row["seconds"] = time.perf_counter() - start
         result.rounds.append(row)
@@ -124,7 +143,7 @@ def emst(
     return result
 
 
-def _held_rounds(held: Held, result: Result, star: DataFrame | None, skip: bool, curve: bool) -> Result:
+def _held_rounds(held: Held, result: Result, star: DataFrame | None, skip: bool, curve: bool, done: list[DataFrame]) -> Result:
     t, parts = time.perf_counter(), []
     while held.labels.max() > 0:
         if len(parts) > math.ceil(math.log2(held.layout.n)):
@@ -134,7 +153,10 @@ def _held_rounds(held: Held, result: Result, star: DataFrame | None, skip: bool,
         parts.append(new)
         result.rounds.append({"round": len(parts), **row, "seconds": time.perf_counter() - start})
     result.phases["mst"] = time.perf_counter() - t
-    result.edges = _with_star(as_edges(held.spark, parts), star, held.spark, held.layout.kind)
+    found = as_edges(held.spark, parts)
+    for e in done:
+        found = e.unionByName(found)
+    result.edges = _with_star(found, star, held.spark, held.layout.kind)
     return result
 
 
