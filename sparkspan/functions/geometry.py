@@ -31,6 +31,12 @@ def box_gap_d2(alo: list[Column], ahi: list[Column], blo: list[Column], bhi: lis
     return add([g * g for g in gaps])
 
 
+def box_far_d2(alo: list[Column], ahi: list[Column], blo: list[Column], bhi: list[Column]) -> Column:
+    """Squared distance that no two points of the boxes exceed."""
+    wide = [F.greatest(d - a, b - c) for a, b, c, d in zip(alo, ahi, blo, bhi, strict=True)]
+    return add([g * g for g in wide])
+
+
 def edge_key(w: Column, u: Column, v: Column) -> Column:
     """Total order of edges: weight, smaller end, larger end."""
     return F.struct(w.alias("d2"), F.least(u, v).alias("lo"), F.greatest(u, v).alias("hi"))

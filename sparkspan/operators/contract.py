@@ -24,6 +24,8 @@ from . import kernels
 from .layout import Grid, Layout
 
 LAST = np.iinfo(np.int64).max
+#: Tasks of the pass over blocks; a task takes more than one block after another beyond it.
+MOST_TASKS = 100_000
 
 
 @dataclass
@@ -90,13 +92,13 @@ def block_tree(pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts: np.ndar
 
 
 def contract(layout: Layout, work: Workspace) -> Contracted:
-    """One exchange of packed tiles by block, one task a block, whose size the layout bounds."""
+    """One exchange of packed tiles by block; a task holds one block at a time, whose size the layout
+    bounds. Tiles also get (first, last), the codes that bound their block."""
     d, real, boxed, grid, ends = layout.d, layout.real, layout.boxed, layout.grid, layout.blocks
     kind = np.float64 if real else np.int64
     names = layout.tiles.columns
 
-    def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by("tile")
+    def settle(table: pa.Table) -> pa.Table:
         column = lambda c, k: np.frombuffer(b"".join(table[c].to_pylist()), k)
         pid, x, core = column("pid", np.int64), column("x", kind).reshape(-1, d), column("core", kind)
         starts = np.concatenate([[0], np.cumsum(table["n"].to_numpy())]).astype(np.int64)
@@ -109,14 +111,32 @@ def contract(layout: Layout, work: Workspace) -> Contracted:
         comp = low[root]
         rows = np.stack([np.minimum(pid[a], pid[b]), np.maximum(pid[a], pid[b]), w.view(np.int64), d2.view(np.int64), sure.astype(np.int64), comp[a], comp[b]], 1)
         tiles = [comp[s:e] for s, e in zip(starts[:-1], starts[1:], strict=True)]
+        same = lambda v: pa.array(np.full(len(tiles), v, np.int64))
         new = {
+            "first": same(first), "last": same(last),
             "comp": pa.array([c.tobytes() for c in tiles], pa.binary()), "lab_min": pa.array([int(c.min()) for c in tiles], pa.int64()), "lab_max": pa.array([int(c.max()) for c in tiles], pa.int64()),
             "tree": pa.array([np.ascontiguousarray(r).tobytes() for r in np.array_split(rows, len(tiles))], pa.binary()),
         }
-        return pa.table({c: new.get(c, table[c] if c in table.column_names else None) for c in [*names, "tree"]})
+        return pa.table({c: new[c] if c in new else table[c] for c in [*names, *extra]})
 
-    ddl = ", ".join(f"{c} {t}" for c, t in layout.tiles.dtypes) + ", tree binary"
-    saved = work.save(layout.tiles.groupBy("block").applyInArrow(run, ddl))
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.Table] = []
+        for batch in batches:
+            t = pa.table(batch)
+            at = t["block"].to_numpy()
+            for part in np.split(np.arange(len(at)), np.flatnonzero(at[1:] != at[:-1]) + 1):
+                if held and held[0]["block"][0] != t["block"][int(part[0])]:
+                    yield from settle(pa.concat_tables(held)).combine_chunks().to_batches()
+                    held = []
+                held.append(t.slice(int(part[0]), len(part)))
+        if held:
+            yield from settle(pa.concat_tables(held)).combine_chunks().to_batches()
+
+    extra = ["first", "last", "tree"]
+    ddl = ", ".join(f"{c} {t}" for c, t in layout.tiles.dtypes) + ", first bigint, last bigint, tree binary"
+    tasks = min(ends[1] + 1, MOST_TASKS)
+    by_block = layout.tiles.repartitionById(tasks, (F.col("block") % tasks).cast("int")).sortWithinPartitions("block", "tile")
+    saved = work.save(by_block.mapInArrow(run, ddl))
 
     def edges(certain: bool, columns: list[str]):
         def unpack(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -132,7 +152,26 @@ def contract(layout: Layout, work: Workspace) -> Contracted:
 
     done = edges(True, ["lo", "hi", "d2", "w"])
     still = work.save(edges(False, ["comp", "w", "d2", "lo", "hi", "to"]))
-    return Contracted(replace(layout, tiles=saved.select(*names)), done, still, layout.n - done.count())
+    return Contracted(replace(layout, tiles=saved.drop("tree")), done, still, layout.n - done.count())
+
+
+def reaching(layout: Layout, queries: DataFrame) -> DataFrame:
+    """Query tiles that come within their radius of another block's stretch of the curve; most lie deep
+    in their block and need no search."""
+    lo, hi = layout.box
+    kind, real, grid = np.float64 if layout.real else np.int64, layout.real, layout.grid
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            box = lambda cs: np.stack([b[c].to_numpy() for c in cs], 1).astype(kind)  # noqa: E731, B023
+            r = np.sqrt(b["radius"].to_numpy().astype(float)) * (1 + 1e-9)
+            r = (np.nextafter(r, np.inf) if real else np.ceil(r).astype(np.int64) + 1)[:, None]
+            out = (grid.codes(box(lo) - r) <= b["first"].to_numpy()) | (grid.codes(box(hi) + r) >= b["last"].to_numpy())
+            yield b.filter(pa.array(out))
+
+    span = layout.tiles.select(F.col("tile").alias("q"), "first", "last")
+    joined = queries.join(span, "q")
+    return joined.mapInArrow(run, joined.schema).drop("first", "last")
 
 
 def both_ways(edges: DataFrame) -> DataFrame:

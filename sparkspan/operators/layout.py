@@ -73,6 +73,7 @@ class Grid:
     top: list[int]
     shift: int
     real: bool
+    n: int = 0
 
     def codes(self, x: np.ndarray) -> np.ndarray:
         """Codes of whole coordinates or of doubles, places outside the grid moved to its rim."""
@@ -82,17 +83,17 @@ class Grid:
 
 
 def grid(points: DataFrame, bits: int = 63) -> Grid:
-    """One aggregation finds the range of the axes."""
+    """One aggregation finds the range of the axes and the number of points."""
     xs = axes(points)[:3]
     real = dict(points.dtypes)[xs[0]] in ("double", "float")
     at = lambda x: F.floor(F.col(x) * float(1 << 20)).cast("bigint") if real else F.col(x)
-    ends = points.agg(*[F.min(at(x)).alias(f"a{x}") for x in xs], *[F.max(at(x)).alias(f"b{x}") for x in xs]).first()
+    ends = points.agg(*[F.min(at(x)).alias(f"a{x}") for x in xs], *[F.max(at(x)).alias(f"b{x}") for x in xs], F.count(F.lit(1)).alias("n")).first()
     low, high = [ends[f"a{x}"] or 0 for x in xs], [ends[f"b{x}"] or 0 for x in xs]
     width = max([h - a for a, h in zip(low, high, strict=True)] + [1])
     if not real and width > RANGE:
         raise ValueError("coordinates lie too far apart for exact squared distances")
     shift = max(0, width.bit_length() - AXIS_BITS[len(xs)] * (2 if bits > 63 else 1))
-    return Grid(low, [(h - a) >> shift for a, h in zip(low, high, strict=True)], shift, real)
+    return Grid(low, [(h - a) >> shift for a, h in zip(low, high, strict=True)], shift, real, ends["n"])
 
 
 def with_codes(points: DataFrame, bits: int = 63, at: Grid | None = None) -> DataFrame:
@@ -115,7 +116,7 @@ def build(points: DataFrame, work: Workspace, tile_rows: int = 512, block_rows:
     d, boxed, real = len(xs), min(3, len(xs)), dict(points.dtypes)[axes(points)[0]] in ("double", "float")
     at = grid(points, bits)
     coded = with_codes(points, bits, at)
-    n = coded.count()
+    n = at.n
     # Blocks are bounded; smaller sets still give every core two, unless those would be tiny.
     parts = max(1, -(-n // block_rows), min(2 * points.sparkSession.sparkContext.defaultParallelism, n // LEAST_BLOCK))
     key = [F.shiftright("code", prefix_shift)] if index == "prefix" else []

@@ -15,7 +15,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from sparkspan.functions.geometry import box_gap_d2
+from sparkspan.functions.geometry import box_far_d2, box_gap_d2
+from sparkspan.session import Workspace
 
 from . import kernels
 from .layout import FAN, Layout
@@ -94,10 +95,12 @@ def tile_comps(layout: Layout) -> DataFrame:
     return layout.tiles.select("tile", "comp").mapInArrow(run, "tile bigint, comp bigint")
 
 
-def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual: bool = False, other_blocks: bool = False) -> DataFrame:
+def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual: bool = False, other_blocks: bool = False, tighten: Workspace | None = None) -> DataFrame:
     """(q, r): query tiles and the tiles within their radius. queries: (q, lo.., hi.., lab_min, lab_max,
     radius). With ``dual`` the queries descend too, as nodes that carry the largest radius below. With
-    ``other_blocks`` nodes of the query's own block are not entered."""
+    ``other_blocks`` nodes of the query's own block are not entered. With ``tighten`` (Euclid, query tiles)
+    each level lowers the radii: a node that holds another component lies at most its farthest corner
+    away, which bounds the whole component of a uniform tile."""
     lo, hi = layout.box
     boxes = [F.min(c).alias(c) for c in lo] + [F.max(c).alias(c) for c in hi]
 
@@ -124,6 +127,13 @@ def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual
         if other_blocks and FAN * level <= layout.low_bits:
             keep = keep & (F.shiftright("r_node", layout.low_bits - FAN * level) != F.shiftright("q_q", layout.low_bits))
         step = step.where(keep)
+        if tighten:
+            step = tighten.save(step)
+            mine = F.when(F.col("q_lab_min") == F.col("q_lab_max"), F.col("q_lab_min"))
+            other = (F.col("r_lab_min") != mine) | (F.col("r_lab_max") != mine)
+            far = box_far_d2([F.col(f"q_{c}") for c in lo], [F.col(f"q_{c}") for c in hi], [F.col(f"r_{c}") for c in lo], [F.col(f"r_{c}") for c in hi])
+            least_far = step.where(other).groupBy(mine.alias("_mine")).agg(F.min(far).alias("_far"))
+            step = step.withColumn("_gap", gap).withColumn("_mine", mine).join(least_far, "_mine", "left").withColumn("q_radius", F.least("q_radius", "_far")).where("_gap <= q_radius").drop("_gap", "_mine", "_far")
         if dual:
             front = step.select(F.col("q_q").alias("fq"), F.col("r_node").alias("fr"))
         else:

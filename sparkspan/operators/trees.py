@@ -5,10 +5,14 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType
 
+from sparkspan.operators import kernels
+from sparkspan.operators.merge import pointer_doubling
 from sparkspan.plans.baselines import component_labels
 from sparkspan.session import Workspace
 
@@ -34,6 +38,47 @@ def cut_check(edges: DataFrame, best: DataFrame) -> DataFrame:
     return best.join(edges.select("lo", "hi"), ["lo", "hi"], "left_anti")
 
 
+def path_max(edges: DataFrame, pairs: DataFrame, work: Workspace) -> DataFrame:
+    """pairs(lo, hi, ...) with ``top``, the largest key (w, d2, lo, hi) on the tree's path between both ends;
+    null where no path is. Rounds of merging along the tree's own edges keep path maxima: an end climbs
+    from component to component with the edge that each chose. One pair of joins a round, at most
+    log2(n) rounds."""
+    key = ["w", "d2", "lo", "hi"]
+    now = work.save(edges.select(F.col("lo").alias("a"), F.col("hi").alias("b"), *key))
+    kind = dict(now.dtypes)
+    none = F.lit(None).cast("struct<" + ",".join(f"{c}:{kind[c]}" for c in key) + ">")
+    asked = work.save(pairs.withColumns({"_u": F.col("lo"), "_v": F.col("hi"), "top": none}))
+    while now.limit(1).count():
+        both = now.select(F.col("a").alias("comp"), F.col("b").alias("to"), *key).union(now.select(F.col("b").alias("comp"), F.col("a").alias("to"), *key))
+        best = work.save(both.groupBy("comp").agg(F.min(F.struct(*key, "to")).alias("e")).select("comp", "e.*"))
+        roots = pointer_doubling(best.select("comp", F.col("to").alias("target")), work)
+        up = work.save(best.join(roots, "comp").select("comp", "root", F.struct(*key).alias("key")))
+        side = lambda c: up.select(F.col("comp").alias(c), F.col("root").alias(f"{c}r"), F.col("key").alias(f"{c}k"))  # noqa: E731, B023
+        climbed = asked.join(side("_u"), "_u", "left").join(side("_v"), "_v", "left")
+        apart = F.col("_u") != F.col("_v")
+        before, asked = asked, work.save(climbed.select(
+            *pairs.columns, F.when(apart, F.greatest("top", "_uk", "_vk")).otherwise(F.col("top")).alias("top"), F.coalesce("_ur", "_u").alias("_u"), F.coalesce("_vr", "_v").alias("_v"),
+        ))
+        work.drop(before)
+        ra, rb = up.select(F.col("comp").alias("a"), F.col("root").alias("ra")), up.select(F.col("comp").alias("b"), F.col("root").alias("rb"))
+        before, now = now, work.save(now.join(ra, "a").join(rb, "b").where("ra <> rb").select(F.col("ra").alias("a"), F.col("rb").alias("b"), *key))
+        work.drop(before)
+    return asked.select(*pairs.columns, F.when(F.col("_u") == F.col("_v"), F.col("top")).alias("top"))
+
+
+def cycle_check(edges: DataFrame, pairs: DataFrame, work: Workspace) -> DataFrame:
+    """Pairs (lo, hi, w, d2) outside the tree that are less than some edge on the tree's path between them.
+    By the cycle property there are none."""
+    return path_max(edges, pairs, work).where(F.struct("w", "d2", "lo", "hi") < F.col("top"))
+
+
+@F.pandas_udf(LongType())
+def tree_length(pid: pd.Series, x0: pd.Series, x1: pd.Series) -> int:
+    """Length of a group's tree in thousandths, as an aggregate; a group is held by one task."""
+    x = np.stack([x0.to_numpy(np.int64), x1.to_numpy(np.int64)], 1)
+    return int(np.round(sum(math.sqrt(e[3]) for e in kernels.prim(x, pid.to_numpy(np.int64))) * 1000))
+
+
 def bound_tightness(bounds: DataFrame, best: DataFrame) -> DataFrame:
     """(comp, ub_d2, d2, ratio): a component's bound over its shortest edge out; 1 is tight, null for an
     edge of length 0."""

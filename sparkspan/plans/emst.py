@@ -15,7 +15,7 @@ from sparkspan.operators import layout as lay
 from sparkspan.operators import search
 from sparkspan.operators.held import HELD_POINTS, Held, as_edges, cores
 from sparkspan.operators.merge import merge_arrays, pointer_doubling
-from sparkspan.session import Workspace
+from sparkspan.session import Workspace, shuffled_bytes
 from sparkspan.sources.points import axes, collapse_duplicates
 
 #: Components whose best edges may come to the driver; beyond it labels are merged by joins.
@@ -46,7 +46,7 @@ def core_distances(layout: lay.Layout, k_pts: int) -> DataFrame:
 
 def emst(
     points: DataFrame, k_pts: int = 1, skip_subtrees: bool = True, curve_bounds: bool = True, index: str = "rank", curve_bits: int = 63, frontier: str = "tile",
-    tile_rows: int = 512, block_rows: int = 1 << 20, prefix_shift: int | None = None, measure: bool = False, driver_components: int = DRIVER_COMPONENTS, held_points: int = HELD_POINTS, contract: bool | None = None,
+    tile_rows: int = 512, block_rows: int = 1 << 20, prefix_shift: int | None = None, measure: bool = False, driver_components: int = DRIVER_COMPONENTS, held_points: int = HELD_POINTS, contract: bool | None = None, tighten: bool = False,
 ) -> Result:
     """n - 1 tree edges under the order (w, d2, lo, hi), w = d2 for Euclid (k_pts = 1) and the largest of
     d2 and both core distances otherwise; the order makes the tree unique, whatever the options.
@@ -57,9 +57,12 @@ def emst(
     With frontier ``tile`` and at most ``held_points`` points every task holds the layout and rounds need
     no exchange; 0 forces the joins. ``contract`` settles each block by itself first, so that the rounds
     meet only what crosses blocks; by default for larger sets with all else at its default, since it
-    leaves nothing to ablate or count within blocks.
+    leaves nothing to ablate or count within blocks. ``tighten`` lowers component bounds at every level of
+    a descent by joins (Euclid, up to three axes).
     """
     spark = points.sparkSession
+    if tighten and (k_pts > 1 or frontier == "dual" or len(axes(points)) > 3):
+        raise ValueError("bounds tighten by levels for Euclid, query tiles and up to three axes only")
     work = Workspace(spark, "emst")
     result, began = Result(None), time.perf_counter()
     star = None
@@ -101,12 +104,15 @@ def emst(
     t = time.perf_counter()
     most = math.ceil(math.log2(max(2, comps)))
     while comps > 1:
-        start = time.perf_counter()
+        start, sent_before = time.perf_counter(), shuffled_bytes(spark) if measure else None
         if len(result.rounds) > most:
             raise RuntimeError("more rounds than a Borůvka tree can need")
         own = search.own_edges(layout) if still is None else con.both_ways(still)
         bounds = work.save(search.least(own.union(search.seam_edges(layout, still is None))))
-        pairs = search.descend(layout, search.query_tiles(layout, bounds if curve_bounds else None), skip_subtrees, frontier == "dual", still is not None).where("q <> r")
+        queries = search.query_tiles(layout, bounds if curve_bounds else None)
+        if still is not None and curve_bounds:
+            queries = con.reaching(layout, queries)
+        pairs = search.descend(layout, queries, skip_subtrees, frontier == "dual", still is not None, work if tighten else None).where("q <> r")
         row: dict = {"round": len(result.rounds) + 1, "comps": comps}
         if measure:
             pairs = work.save(pairs)
@@ -134,6 +140,8 @@ def emst(
             still = con.rejoin_open(still, roots, work) if still is not None else None
             layout = lay.attach(layout, pids.join(roots, "comp").select("pid", F.col("root").alias("value")), "comp", work)
         row["seconds"] = time.perf_counter() - start
+        if sent_before is not None:
+            row["shuffled"] = shuffled_bytes(spark) - sent_before
         result.rounds.append(row)
     result.phases["mst"] = time.perf_counter() - t
     out = None

@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+from py4j.protocol import Py4JError
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -30,3 +31,15 @@ class Workspace:
     def drop(self, df: DataFrame) -> None:
         path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(df._at)
         path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def shuffled_bytes(spark: SparkSession) -> int | None:
+    """Bytes that finished stages of this session have written to shuffles, from the status store; None
+    where there is none to ask."""
+    try:
+        sc, jvm = spark.sparkContext, spark.sparkContext._jvm
+        none = jvm.java.util.ArrayList()
+        stages = sc._jsc.sc().statusStore().stageList(none, False, False, sc._gateway.new_array(jvm.double, 0), none)
+        return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))
+    except (AttributeError, Py4JError):
+        return None

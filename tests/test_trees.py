@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from sparkspan.functions.geometry import morton, morton_wide
-from sparkspan.operators import kernels, layout, search, trees
+from sparkspan.operators import contract, kernels, layout, search, trees
 from sparkspan.operators.merge import merge_arrays, pointer_doubling
 from sparkspan.plans import baselines, graphs
 from sparkspan.plans.emst import core_distances, emst
@@ -50,7 +50,8 @@ def got(edges):
 
 LATTICE = [(5 * i + j, i, j) for i in range(5) for j in range(5)]
 RANDOM = [(i, *p) for i, p in enumerate(np.random.default_rng(3).integers(0, 12, (70, 2)).tolist())]
-OPTIONS = [{}, {"held_points": 0}, {"held_points": 0, "frontier": "dual"}, {"held_points": 0, "index": "prefix"}, {"skip_subtrees": False, "curve_bounds": False}, {"held_points": 0, "driver_components": 0}]
+OPTIONS = [{}, {"held_points": 0}, {"held_points": 0, "frontier": "dual"}, {"held_points": 0, "index": "prefix"}, {"skip_subtrees": False, "curve_bounds": False}, {"held_points": 0, "driver_components": 0},
+    {"contract": True}, {"contract": True, "held_points": 0}, {"contract": True, "held_points": 0, "driver_components": 0}, {"contract": True, "curve_bits": 126}, {"held_points": 0, "tighten": True}]
 
 
 @pytest.mark.parametrize("options", OPTIONS, ids=str)
@@ -65,6 +66,54 @@ def test_mutual_reachability(spark, k, held):
     assert got(emst(table(spark, RANDOM), k_pts=k, tile_rows=16, held_points=held).edges) == brute(RANDOM, k)
 
 
+@pytest.mark.parametrize("held", [0, 1000])
+def test_contracted_blocks_with_core_distances_and_doubles(spark, held):
+    options = {"tile_rows": 4, "block_rows": 12, "held_points": held, "contract": True}
+    assert got(emst(table(spark, RANDOM), k_pts=3, **options).edges) == brute(RANDOM, 3)
+    real = [(i, x / 7, y / 7) for i, x, y in RANDOM]
+    df = spark.createDataFrame(real, "pid bigint, x0 double, x1 double")
+    assert {e[:2] for e in got(emst(df, **options).edges)} == {e[:2] for e in got(emst(df, tile_rows=8, contract=False).edges)}
+
+
+def test_block_trees_and_what_is_certain():
+    rng = np.random.default_rng(1)
+    for _ in range(60):
+        n, d, k = int(rng.integers(1, 90)), int(rng.integers(1, 4)), int(rng.choice([1, 3]))
+        x, pid = rng.integers(0, int(rng.choice([3, 8, 1000])), (n, d)), rng.permutation(n)
+        core = np.sort(kernels.pair_d2(x, x), 1)[:, min(k, n) - 1] if k > 1 else np.zeros(n, np.int64)
+        grid = layout.Grid(x.min(0).tolist(), (x.max(0) - x.min(0)).tolist(), 0, False)
+        order = np.lexsort((pid, grid.codes(x)))
+        x, pid, core = x[order], pid[order], core[order]
+        whole = {e[:2] for e in kernels.prim(x, pid, core)}
+        cuts = sorted({0, n, *rng.integers(0, n + 1, 3).tolist()})
+        for s, e in zip(cuts, cuts[1:]):
+            codes = grid.codes(x[s:e])
+            ends = -1 if s == 0 else int(codes.min()), contract.LAST if e == n else int(codes.max())
+            a, b, _, _, sure = contract.block_tree(pid[s:e], x[s:e], core[s:e], np.append(np.arange(0, e - s, 7), e - s), d, grid, *ends)
+            found = [tuple(sorted((int(pid[s + i]), int(pid[s + j])))) for i, j in zip(a, b)]
+            assert sorted(found) == sorted(t[:2] for t in kernels.prim(x[s:e], pid[s:e], core[s:e]))
+            assert {f for f, c in zip(found, sure) if c} <= whole
+
+
+def test_path_maxima_and_cycles(spark):
+    work, p = Workspace(spark), table(spark, RANDOM)
+    tree = work.save(emst(p).edges)
+    pairs = graphs.complete_graph(p).join(tree.select("lo", "hi"), ["lo", "hi"], "left_anti")
+    assert trees.cycle_check(tree, pairs, work).count() == 0
+    line = spark.createDataFrame([(0, 1, 9, 9), (1, 2, 4, 4), (2, 3, 25, 25)], "lo bigint, hi bigint, d2 bigint, w bigint")
+    ask = spark.createDataFrame([(0, 3, 16, 16), (0, 2, 10, 10)], "lo bigint, hi bigint, d2 bigint, w bigint")
+    assert {(r["lo"], r["hi"], r["top"]["w"]) for r in trees.path_max(line, ask, work).collect()} == {(0, 3, 25), (0, 2, 9)}
+    assert [(r["lo"], r["hi"]) for r in trees.cycle_check(line, ask, work).collect()] == [(0, 3)]
+
+
+def test_length_as_an_aggregate(spark):
+    p = table(spark, RANDOM).withColumn("g", F.col("pid") % 3)
+    made = {r["g"]: r["millis"] for r in p.groupBy("g").agg(trees.tree_length("pid", "x0", "x1").alias("millis")).collect()}
+    for g in range(3):
+        own = [q for q in RANDOM if q[0] % 3 == g]
+        assert made[g] == round(sum(math.sqrt(e[2]) for e in brute([(i, *q[1:]) for i, q in enumerate(own)])) * 1000)
+
+
 def test_small_inputs(spark):
     assert got(emst(table(spark, []), tile_rows=8).edges) == [] and got(emst(table(spark, [(7, 1, 1)])).edges) == []
     assert got(emst(table(spark, [(7, 1, 1), (3, 1, 1)])).edges) == [(3, 7, 0, 0)]
