@@ -3,8 +3,8 @@
 Markup is stripped into lines, one per block element. The text length of a sliding window of lines is
 the block distribution; where it surges above the threshold the main text begins, where it dives to
 nothing it ends. Elements that never hold main text (menus, forms, adverts, ...) are dropped while
-stripping, and the span found is widened to the article or main element that holds its densest line,
-so that short closing paragraphs are not lost.
+stripping. The span found decides; it is widened to the whole of each article or main element that it
+reaches, so that short closing paragraphs are not lost, and never narrowed to one.
 """
 
 from __future__ import annotations
@@ -48,7 +48,7 @@ def marked(attributes: str) -> bool:
 
 def lines(page: str) -> list[tuple[str, int]]:
     """(text, holder) of each block in page order: references decoded, white space made one blank,
-    empty blocks left out; holder numbers the innermost article or main element, or is -1."""
+    empty blocks left out; holder numbers the outermost article or main element, or is -1."""
     out: list[tuple[str, int]] = []
     parts: list[str] = []
     stack: list[tuple[str, int]] = []  # open elements, and the holder outside each
@@ -100,7 +100,7 @@ def lines(page: str) -> list[tuple[str, int]]:
         stack.append((tag, holder))
         if drop_from < 0 and tag not in ("html", "body") and (tag in DROPPED and not (tag == "header" and holder >= 0 and not marked(m[3])) or tag not in HOLDERS and marked(m[3])):
             drop_from = len(stack) - 1
-        if drop_from < 0 and tag in HOLDERS:
+        if drop_from < 0 and tag in HOLDERS and holder < 0:
             holder, holders = holders, holders + 1
     end_line()
     return out
@@ -129,10 +129,14 @@ def main_text(page: str | None, window: int = WINDOW, surge: int = SURGE) -> str
     start, end = span([len(t) for t, _ in found], window, surge)
     if start == end:
         return ""
-    densest = max(range(start, end), key=lambda i: len(found[i][0]))
-    if (h := found[densest][1]) >= 0:
-        return "\n".join(t for t, own in found if own == h)
-    return "\n".join(t for t, _ in found[start:end])
+    held = {h for _, h in found[start:end]} - {-1}
+    if held:  # an element gives the edge: short lines outside it, at the ends of the span, are the windows' slack
+        slack = lambda i: found[i][1] < 0 and len(found[i][0]) < surge
+        while slack(start):
+            start += 1
+        while slack(end - 1):
+            end -= 1
+    return "\n".join(t for i, (t, h) in enumerate(found) if start <= i < end or h in held)
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:

@@ -224,6 +224,21 @@ def test_extraction():
     assert html_extract.main_text("<p>" + "y" * 200_000 + "</p>") == "y" * 200_000
 
 
+def para(n, k=4):
+    return f"{n} " + "text of many words " * k * 4
+
+
+def test_extraction_span_decides_and_holders_widen_it():
+    texts = [para(i).strip() for i in range(3)]
+    p = [f"<p>{t}</p>" for t in texts]
+    for page in (
+        f"<main>{p[0]}<article>{p[1]}<p>Short.</p></article>{p[2]}</main>",
+        f"<article>{p[0]}</article><article>{p[1]}<p>Short.</p></article>{p[2]}",
+        f"{p[0]}<article>{p[1]}<p>Short.</p></article><article>{p[2]}</article>",
+    ):
+        assert html_extract.main_text(f"<body><p>Site</p>{page}<p>Go</p></body>") == "\n".join([*texts[:2], "Short.", texts[2]])
+
+
 def test_extract_query(spark):
     pages = spark.createDataFrame([(1, None, PAGE, 5), (2, "u", None, 6), (2, "u", None, 6)], "page_id bigint, url string, html string, n_chars int")
     got = rows(html_extract.extract(pages))
