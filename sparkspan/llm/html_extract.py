@@ -1,10 +1,10 @@
 """Main-text extraction by the distribution of text over line blocks.
 
 Markup is stripped into lines, one per block element. The text length of a sliding window of lines is
-the block distribution; where it surges above the threshold the main text begins, where it dives to
-nothing it ends. Elements that never hold main text (menus, forms, adverts, ...) are dropped while
-stripping. The span found decides; it is widened to the whole of each article or main element that it
-reaches, so that short closing paragraphs are not lost, and never narrowed to one.
+the block distribution; where it surges above the threshold main text begins, where it dives below it
+ends, as often as a page does so. Elements that never hold main text (menus, forms, adverts, ...) are dropped while
+stripping. The spans found decide; they are widened to the whole of each article or main element that they
+reach, so that short closing paragraphs are not lost, and never narrowed to one.
 """
 
 from __future__ import annotations
@@ -106,37 +106,43 @@ def lines(page: str) -> list[tuple[str, int]]:
     return out
 
 
-def span(sizes: list[int], window: int = WINDOW, surge: int = SURGE) -> tuple[int, int]:
-    """First and last line (one past) between the surge and the dive of the windowed sums around the
-    densest window; (0, 0) if no line has text."""
+def spans(sizes: list[int], window: int = WINDOW, surge: int = SURGE) -> list[tuple[int, int]]:
+    """First and last line (one past) of every stretch between a surge and a dive of the windowed sums. A
+    stretch holds all lines of its windows, so that short first and last lines stay. Two of them are one
+    if the gap between holds less text than either. Where nothing surges no dive can be told: all
+    lines are one stretch; none if no line has text."""
     if not sizes or not max(sizes):
-        return 0, 0
+        return []
     sums = np.convolve(np.array(sizes), np.ones(window, np.int64))[window - 1 :]  # of lines i .. i + window - 1
-    peak = int(sums.argmax())
-    least = min(surge, int(sums[peak]))
-    low = sums < least
-    before = np.flatnonzero(low[:peak])
-    after = np.flatnonzero(low[peak:])
-    start = int(before[-1]) + 1 if len(before) else 0
-    end = peak + int(after[0]) if len(after) else len(sizes)
-    end = min(len(sizes), max(end, peak + 1))
-    return start, end
+    high = np.flatnonzero(sums >= surge)
+    if not len(high):
+        return [(0, len(sizes))]
+    out: list[tuple[int, int]] = []
+    for part in np.split(high, np.flatnonzero(np.diff(high) > window) + 1):
+        start, end = int(part[0]), min(len(sizes), int(part[-1]) + window)
+        while out and sum(sizes[out[-1][1] : start]) < min(sum(sizes[slice(*out[-1])]), sum(sizes[start:end])):
+            start = out.pop()[0]
+        out.append((start, end))
+    return out
 
 
 def main_text(page: str | None, window: int = WINDOW, surge: int = SURGE) -> str:
     """The main text: one line per block. Empty for null, empty and text-free pages."""
     found = lines(page or "")
-    start, end = span([len(t) for t, _ in found], window, surge)
-    if start == end:
-        return ""
-    held = {h for _, h in found[start:end]} - {-1}
-    if held:  # an element gives the edge: short lines outside it, at the ends of the span, are the windows' slack
-        slack = lambda i: found[i][1] < 0 and len(found[i][0]) < surge
-        while slack(start):
-            start += 1
-        while slack(end - 1):
-            end -= 1
-    return "\n".join(t for i, (t, h) in enumerate(found) if start <= i < end or h in held)
+    sizes = [len(t) for t, _ in found]
+    kept: set[int] = set()
+    held: set[int] = set()
+    for start, end in spans(sizes, window, surge):
+        reached = {h for _, h in found[start:end]} - {-1}
+        if reached:  # an element gives the edge: short lines outside it, at the ends of the span, are the windows' slack
+            slack = lambda i: found[i][1] < 0 and sizes[i] < surge
+            while slack(start):
+                start += 1
+            while slack(end - 1):
+                end -= 1
+        held |= reached
+        kept.update(range(start, end))
+    return "\n".join(t for i, (t, h) in enumerate(found) if i in kept or h in held)
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:

@@ -239,6 +239,16 @@ def test_extraction_span_decides_and_holders_widen_it():
         assert html_extract.main_text(f"<body><p>Site</p>{page}<p>Go</p></body>") == "\n".join([*texts[:2], "Short.", texts[2]])
 
 
+@pytest.mark.parametrize("items", [1, 3, 12])
+def test_extraction_keeps_every_surge(items):
+    texts = [para(0).strip(), *["item"] * items, para(1).strip(), "End."]
+    assert html_extract.main_text("<body>" + "".join(f"<p>{t}</p>" for t in texts)) == "\n".join(texts)
+    far = [para(0).strip(), *["a menu item"] * 100, para(1).strip()]
+    got = html_extract.main_text("".join(f"<p>{t}</p>" for t in far)).split("\n")
+    assert got[0] == far[0] and got[-1] == far[-1] and len(got) == 6  # a gap of more text than beside it goes
+    assert html_extract.main_text("<p>one</p><p>two</p><p>three</p><p>four</p><p>five</p>") == "one\ntwo\nthree\nfour\nfive"
+
+
 def test_extract_query(spark):
     pages = spark.createDataFrame([(1, None, PAGE, 5), (2, "u", None, 6), (2, "u", None, 6)], "page_id bigint, url string, html string, n_chars int")
     got = rows(html_extract.extract(pages))
