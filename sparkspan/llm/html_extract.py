@@ -2,8 +2,8 @@
 
 Markup is stripped into lines, one per block element. The text length of a sliding window of lines is
 the block distribution; where it surges above the threshold main text begins, where it dives below it
-ends, as often as a page does so. Elements that never hold main text (menus, forms, adverts, ...) are dropped while
-stripping. The spans found decide; they are widened to the whole of each article or main element that they
+ends, as often as a page does so. Elements that hold no main text (menus, forms, adverts, ...) are dropped before,
+unless size, links and the articles within tell that a mark misleads. The spans found decide; they are widened to the whole of each article or main element that they
 reach, so that short closing paragraphs are not lost, and never narrowed to one.
 """
 
@@ -18,8 +18,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Elements whose text is dropped, elements that have no end tag, elements that begin a line.
-DROPPED = frozenset("nav header footer aside form menu dialog button select option textarea label fieldset figure figcaption iframe object noscript template svg canvas head title".split())
+#: Elements whose text is always dropped, and by how readily other elements are (see
+#: ``doubt``); elements that have no end tag, elements that begin a line.
+DROPPED = frozenset("menu button select option textarea label iframe object noscript template svg canvas head title".split())
+TAGS = {"form": 0, "header": 0, "fieldset": 0, "aside": 1, "figure": 1, "figcaption": 1, "nav": 3, "footer": 3, "dialog": 3}
 RAW = frozenset("script style textarea title noscript template iframe".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCKS = frozenset("address article aside blockquote body br caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html li main nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
@@ -30,6 +32,9 @@ MARKS = frozenset(
     "nav navbar navigation menu menus breadcrumb breadcrumbs pagination pager sidebar side aside widget widgets header masthead footer foot topbar notice notices cookie cookies consent gdpr alert popup modal overlay "
     "newsletter subscribe signup login search share sharing social related recommended recommendations toolbar skip tags copyright legal disclaimer contentinfo complementary".split()
 )
+REPLIES = frozenset("comment comments commentlist respond replies reply discussion disqus".split())
+#: Words that make a header one of the text (article-header), not of the site.
+HEADED = frozenset("article post entry content story text title".split())
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][\w:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
 ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|$)|display\s*:\s*none|aria-hidden\s*=\s*[\"']?true", re.I)
@@ -37,73 +42,165 @@ HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|$)|display\s*:\s*none|aria-hidden\s*
 WINDOW, SURGE = 3, 80
 
 
-def marked(attributes: str) -> bool:
-    if not attributes:
-        return False
+def doubt(tag: str, attributes: str, inside: bool) -> int:
+    """How readily an element is dropped, -1 if not at all: 0 if small or mostly links (a mark within a
+    longer name, some tags), 1 unless it holds the main text (a mark as a whole name), 2 unless there
+    is no other text (replies), 3 unless it holds the main article (tags of navigation)."""
+    found = [] if tag == "header" and inside else [TAGS.get(tag, -1)]
     for _, *values in ATTRIBUTE.findall(attributes):
-        if any(x.lower() in MARKS for v in values if v for x in re.split(r"[^A-Za-z]+", v)):
-            return True
-    return bool(HIDDEN.search(attributes))
-
-
-def lines(page: str) -> list[tuple[str, int]]:
-    """(text, holder) of each block in page order: references decoded, white space made one blank,
-    empty blocks left out; holder numbers the outermost article or main element, or is -1."""
-    out: list[tuple[str, int]] = []
-    parts: list[str] = []
-    stack: list[tuple[str, int]] = []  # open elements, and the holder outside each
-    drop_from, holder, holders, at = -1, -1, 0, 0
-
-    def end_line() -> None:
-        if parts:
-            if text := " ".join(entities.unescape("".join(parts)).split()):
-                out.append((text, holder))
-            parts.clear()
-
-    n = len(page)
-    while at < n:
-        m = TOKEN.search(page, at)
-        if m is None:
-            rest = page[at:]
-            cut = re.search(r"<[a-zA-Z/!?]", rest)  # a tag that never ends
-            if drop_from < 0:
-                parts.append(rest[: cut.start()] if cut else rest)
-            break
-        if m.start() > at and drop_from < 0:
-            parts.append(page[at : m.start()])
-        at = m.end()
-        tag = (m[2] or "").lower()
-        if not tag:
-            continue
-        if tag in BLOCKS and drop_from < 0:
-            end_line()
-        if m[1]:
-            depth = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == tag), -1)
-            if depth >= 0:
-                holder = stack[depth][1]
-                del stack[depth:]
-                if drop_from >= depth:
-                    drop_from = -1
-            continue
-        if tag in RAW:
-            end = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at)
-            if end is None and tag in ("script", "style"):
+        for name in " ".join(values).lower().split():
+            runs = set(re.split(r"[^a-z]+", name))
+            if "header" in runs and (inside or runs & HEADED):
+                runs, name = runs - {"header"}, ""
+            found.append(2 if name in REPLIES else 1 if name in MARKS else 0 if runs & MARKS else -1)
+    return max(found, default=-1)
+
+
+class Page:
+    """Lines of a page, one per block: pieces (text, innermost doubtful element, in a link, innermost
+    holder) and the outermost holder, or -1. Holders are article and main elements."""
+
+    def __init__(self, page: str):
+        self.rows: list[tuple[list, int]] = []
+        self.doubts: list[tuple[int, int]] = []  # of each doubtful element, the next one outside and its degree
+        self.holders: list[int] = []  # of each holder, the innermost doubtful element around it
+        self._read(page)
+
+    def _read(self, page: str) -> None:
+        parts: list[tuple[str, int, bool, int]] = []
+        stack: list[tuple] = []  # open elements, and what held outside each
+        drop_from, outer, holder, mark, link, at = -1, -1, -1, -1, False, 0
+
+        def end_line() -> None:
+            if parts:
+                if any(x[0].strip() for x in parts):
+                    self.rows.append((parts.copy(), outer))
+                parts.clear()
+
+        n = len(page)
+        while at < n:
+            m = TOKEN.search(page, at)
+            if m is None:
+                rest = page[at:]
+                cut = re.search(r"<[a-zA-Z/!?]", rest)  # a tag that never ends
+                if drop_from < 0:
+                    parts.append((rest[: cut.start()] if cut else rest, mark, link, holder))
                 break
-            at = end.end() if end else at
-            continue
-        if tag in VOID or (m[3] or "").endswith("/") and tag not in BLOCKS:
-            continue
-        if tag in ("p", "li", "dt", "dd", "tr", "td", "th", "option") and stack and stack[-1][0] == tag:
-            holder = stack.pop()[1]  # these end where the next begins
-            if drop_from >= len(stack):
+            if m.start() > at and drop_from < 0:
+                parts.append((page[at : m.start()], mark, link, holder))
+            at = m.end()
+            tag, attributes = (m[2] or "").lower(), m[3] or ""
+            if not tag:
+                continue
+            if tag == "body" and drop_from >= 0 and stack[drop_from][0] == "head":
+                del stack[drop_from:]  # a head ends where the body begins
                 drop_from = -1
-        stack.append((tag, holder))
-        if drop_from < 0 and tag not in ("html", "body") and (tag in DROPPED and not (tag == "header" and holder >= 0 and not marked(m[3])) or tag not in HOLDERS and marked(m[3])):
-            drop_from = len(stack) - 1
-        if drop_from < 0 and tag in HOLDERS and holder < 0:
-            holder, holders = holders, holders + 1
-    end_line()
-    return out
+            if tag in BLOCKS and drop_from < 0:
+                end_line()
+            if m[1]:
+                depth = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == tag), -1)
+                if depth >= 0:
+                    _, outer, holder, mark, link = stack[depth]
+                    del stack[depth:]
+                    if drop_from >= depth:
+                        drop_from = -1
+                continue
+            if tag in RAW:
+                end = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at)
+                if end is None and tag in ("script", "style"):
+                    break
+                at = end.end() if end else at
+                continue
+            if tag in VOID or attributes.endswith("/") and tag not in BLOCKS:
+                continue
+            if tag in ("p", "li", "dt", "dd", "tr", "td", "th", "option") and stack and stack[-1][0] == tag:
+                _, outer, holder, mark, link = stack.pop()  # these end where the next begins
+                if drop_from >= len(stack):
+                    drop_from = -1
+            stack.append((tag, outer, holder, mark, link))
+            if drop_from >= 0 or tag in ("html", "body"):
+                continue
+            if tag in DROPPED or tag not in HOLDERS and HIDDEN.search(attributes):
+                drop_from = len(stack) - 1
+                continue
+            link = link or tag == "a"
+            if tag in HOLDERS:
+                holder = len(self.holders)
+                outer = holder if outer < 0 else outer
+                self.holders.append(mark)
+            elif (degree := doubt(tag, attributes, holder >= 0)) >= 0:
+                self.doubts.append((mark, degree))
+                mark = len(self.doubts) - 1
+        end_line()
+
+    def outwards(self, sizes: list[int]) -> None:
+        """Adds the size of each doubtful element to that of the one outside."""
+        for i in range(len(sizes) - 1, -1, -1):
+            if (out := self.doubts[i][0]) >= 0:
+                sizes[out] += sizes[i]
+
+    def text(self, kept: list[bool]) -> list[tuple[str, int]]:
+        """(text, outermost holder) of the lines: references decoded, white space made one blank, empty
+        lines left out. kept: of each doubtful element, whether its text counts."""
+        stays: list[bool] = []  # no element around it goes either; the one outside has the lower number
+        for (out, _), k in zip(self.doubts, kept, strict=True):
+            stays.append(k and (out < 0 or stays[out]))
+        whole = [(own, "".join(t for t, mark, _, _ in parts if mark < 0 or stays[mark])) for parts, own in self.rows]
+        return [(text, own) for own, raw in whole if (text := " ".join(entities.unescape(raw).split()))]
+
+    def keep(self, window: int, surge: int) -> list[bool]:
+        """Which doubtful elements are no clutter. Those around the largest article or main stay, and those
+        with most of the heaviest span if that is more text than this article; if then no text is
+        left, all but those of navigation stay."""
+        degree = [d for _, d in self.doubts]
+        worst: list[int] = []
+        for out, d in self.doubts:
+            worst.append(max(d, worst[out] if out >= 0 else -1))
+        worse = lambda mark: worst[mark] if mark >= 0 else -1
+        chars, links, own = [0] * len(degree), [0] * len(degree), [0] * len(self.holders)
+        open_sizes, pieces = [], []
+        for row, (parts, _) in enumerate(self.rows):
+            open_sizes.append(0)
+            for t, mark, link, holder in parts:
+                if not (size := len(" ".join(entities.unescape(t).split()))):
+                    continue
+                if mark >= 0:
+                    chars[mark] += size
+                    links[mark] += size * link
+                if holder >= 0 and not link:
+                    own[holder] += size
+                if worse(mark) < 2 and not link:
+                    open_sizes[row] += size
+                    pieces.append((row, mark, size))
+        self.outwards(chars)
+        self.outwards(links)
+        kept = [degree[i] == 0 and chars[i] >= window * surge and 2 * links[i] <= chars[i] for i in range(len(degree))]
+        # Replies and navigation hold the main article only where no other could surge.
+        able = [h for h in range(len(own)) if own[h] and worse(self.holders[h]) < 2]
+        if not any(own[h] >= surge for h in able):
+            able = [h for h in range(len(own)) if own[h] >= surge] or able
+        main = max(able, key=lambda h: own[h], default=-1)
+        mark = self.holders[main] if able else -1
+        while mark >= 0:
+            kept[mark], mark = True, self.doubts[mark][0]
+        start, end = max(spans(open_sizes, window, surge), key=lambda s: sum(open_sizes[slice(*s)]), default=(0, 0))
+        within = [0] * len(degree)
+        for row, mark, size in pieces:
+            if mark >= 0 and start <= row < end:
+                within[mark] += size
+        self.outwards(within)
+        least = max(surge - 1, own[main] if able else 0, sum(open_sizes[start:end]) // 2)
+        kept = [k or w > least for k, w in zip(kept, within, strict=True)]
+        if not self.text(kept):
+            kept = [k or d < 3 for k, d in zip(kept, degree, strict=True)]
+        return kept
+
+
+def lines(page: str, window: int = WINDOW, surge: int = SURGE) -> list[tuple[str, int]]:
+    """(text, holder) of each block in page order that is no clutter; holder numbers the outermost
+    article or main element, or is -1."""
+    read = Page(page)
+    return read.text(read.keep(window, surge))
 
 
 def spans(sizes: list[int], window: int = WINDOW, surge: int = SURGE) -> list[tuple[int, int]]:
@@ -114,13 +211,14 @@ def spans(sizes: list[int], window: int = WINDOW, surge: int = SURGE) -> list[tu
     if not sizes or not max(sizes):
         return []
     sums = np.convolve(np.array(sizes), np.ones(window, np.int64))[window - 1 :]  # of lines i .. i + window - 1
+    upto = np.append(0, np.cumsum(sizes)).tolist()
     high = np.flatnonzero(sums >= surge)
     if not len(high):
         return [(0, len(sizes))]
     out: list[tuple[int, int]] = []
     for part in np.split(high, np.flatnonzero(np.diff(high) > window) + 1):
         start, end = int(part[0]), min(len(sizes), int(part[-1]) + window)
-        while out and sum(sizes[out[-1][1] : start]) < min(sum(sizes[slice(*out[-1])]), sum(sizes[start:end])):
+        while out and upto[start] - upto[out[-1][1]] < min(upto[out[-1][1]] - upto[out[-1][0]], upto[end] - upto[start]):
             start = out.pop()[0]
         out.append((start, end))
     return out
@@ -128,7 +226,7 @@ def spans(sizes: list[int], window: int = WINDOW, surge: int = SURGE) -> list[tu
 
 def main_text(page: str | None, window: int = WINDOW, surge: int = SURGE) -> str:
     """The main text: one line per block. Empty for null, empty and text-free pages."""
-    found = lines(page or "")
+    found = lines(page or "", window, surge)
     sizes = [len(t) for t, _ in found]
     kept: set[int] = set()
     held: set[int] = set()

@@ -249,6 +249,29 @@ def test_extraction_keeps_every_surge(items):
     assert html_extract.main_text("<p>one</p><p>two</p><p>three</p><p>four</p><p>five</p>") == "one\ntwo\nthree\nfour\nfive"
 
 
+MAIN = "\n".join(para(i).strip() for i in range(3))
+INNER = "".join(f"<p>{t}</p>" for t in MAIN.split("\n"))
+
+
+@pytest.mark.parametrize("page", [
+    f"<div class='content with-sidebar'><article>{INNER}</article></div>", f"<div class='content with-sidebar'>{INNER}</div>",
+    f"<div id='page' class='has-header'>{INNER}<div class='sidebar'><p>Side</p></div></div>", f"<form><p>Name <input></p>{INNER}</form>",
+    f"<div class=widget><main>{INNER}</main></div><p>{'outside ' * 5}</p>", f"<div class='widget'>{INNER}</div><div class='comments'><p>{para(7)}</p></div>",
+    f"<header>Site</header><div class='sidebar'>Side</div><form><article>{INNER}</article></form><section class='comments'><article><p>{para(7, 40)}</p></article></section>",
+    f"<div class='comments'>{INNER}</div><nav>{para(8)}</nav>", f"<html><head><title>T</title><body>{INNER}</body></html>", f"<nav><p>Menu</p><article>{INNER}</article>",
+    f"<article><p>{'teaser ' * 15}</p></article><div class='side'>{INNER}</div>",
+])
+def test_marks_do_not_take_the_main_text(page):
+    got = html_extract.main_text(page)
+    assert MAIN in got and "Side" not in got and not got.startswith("Site") and "7 text" not in got and "8 text" not in got
+
+
+def test_marks_still_drop_clutter():
+    page = f"<div class='cookie-notice'>We use cookies</div><article><div class='article-header'><h1>Head</h1></div>{INNER}<div class='related-posts'>" + "<a href=x>Some other text to read now</a>" * 20 + "</div><div class='ad'>Buy</div><p hidden>No</p></article>"
+    assert html_extract.main_text(page) == "Head\n" + MAIN
+    assert html_extract.main_text("<nav><p>Only a menu</p></nav>") == ""
+
+
 def test_extract_query(spark):
     pages = spark.createDataFrame([(1, None, PAGE, 5), (2, "u", None, 6), (2, "u", None, 6)], "page_id bigint, url string, html string, n_chars int")
     got = rows(html_extract.extract(pages))
