@@ -20,8 +20,9 @@ from .common import SPACES
 SIZE = 3
 
 
-def _windows(text: Column) -> Column:
-    """Array of structs (p, a, b): position of the window's first line and its 128-bit hash."""
+def _windows(text: Column, short: bool = False) -> Column:
+    """Array of structs (p, a, b): position of the window's first line and its 128-bit hash. With ``short`` a
+    text of fewer lines than a window has one window of its own, which ends with the text."""
     keyed = F.transform(F.split(text, "\n"), lambda x: F.struct(F.xxhash64(x).alias("a"), F.xxhash64(x, F.lit(1)).alias("b"), (F.translate(x, SPACES, "") == "").alias("blank")))
     at = lambda k, i, f: F.get(k, i)[f]
 
@@ -34,31 +35,41 @@ def _windows(text: Column) -> Column:
         ))
         return F.filter(w, lambda x: ~x["blank"])
 
+    def whole(k: Column) -> Column:
+        line = lambda f: [at(k, i, f) for i in range(SIZE - 1)]
+        one = F.struct(F.lit(0).alias("p"), F.xxhash64(F.size(k), *line("a")).alias("a"), F.xxhash64(F.size(k), *line("b")).alias("b"), F.forall(k, lambda x: x["blank"]).alias("blank"))
+        return F.filter(F.array(one), lambda x: ~x["blank"])
+
+    if short:
+        return F.element_at(F.transform(F.array(keyed), lambda k: F.when(F.size(k) >= SIZE, build(k)).otherwise(whole(k))), 1)
     empty = F.array().cast("array<struct<p:int,a:bigint,b:bigint,blank:boolean>>")
     return F.when(F.size(F.split(text, "\n")) >= SIZE, F.element_at(F.transform(F.array(keyed), build), 1)).otherwise(empty)
 
 
-def repeated_starts(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def repeated_starts(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", short: bool = False) -> DataFrame:
     """(doc_id, starts): of each document with repeats, the first lines of its later occurrences."""
-    spans = df.select(F.col(id_col).alias("__id"), F.explode(_windows(F.coalesce(F.col(text_col), F.lit("")))).alias("w")).select("__id", "w.p", "w.a", "w.b")
+    spans = df.select(F.col(id_col).alias("__id"), F.explode(_windows(F.coalesce(F.col(text_col), F.lit("")), short)).alias("w")).select("__id", "w.p", "w.a", "w.b")
     first = spans.groupBy("a", "b").agg(F.min(F.struct("__id", "p")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
     later = spans.join(first, ["a", "b"]).where((F.col("__id") != F.col("first.__id")) | (F.col("p") != F.col("first.p")))
     return later.groupBy("__id").agg(F.collect_set("p").alias("starts"))
 
 
-def dedup_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def dedup_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", short: bool = False) -> DataFrame:
     """One row per document: its id, n_lines, n_removed (long) and the text that stays.
 
-    A null or empty text has one empty line and loses nothing; fewer than three lines lose nothing;
-    windows of blank lines only do not count. Repeated rows with one id share their marks: of rows
+    A null or empty text has one empty line and loses nothing; fewer than three lines lose nothing unless
+    ``short``, by which all lines of such a text go if an earlier text is the same; the SQL of the query
+    is without it. Shorter passages within a text are not seen. Windows of blank lines only do not count. Repeated rows with one id share their marks: of rows
     that repeat id and text both, both stay as they are (their windows have equal positions), which
     exact deduplication removes. An empty table gives an empty result. Other columns are not read.
     """
     docs = df.select(F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("__t"))
-    joined = docs.join(repeated_starts(df, id_col, text_col), "__id", "left")
+    joined = docs.join(repeated_starts(df, id_col, text_col, short), "__id", "left")
     lines = F.split(F.col("__t"), "\n")
     n = F.size(lines)
     gone = F.array_distinct(F.flatten(F.transform("starts", lambda p: F.array(*[p + j for j in range(SIZE)]))))
+    if short:
+        gone = F.filter(gone, lambda i: i < n)
     kept = F.array_except(F.sequence(F.lit(0), n - 1), gone)
     text = F.element_at(F.transform(F.array(lines), lambda all_: F.array_join(F.transform(kept, lambda i: F.get(all_, i)), "\n")), 1)
     return joined.select(

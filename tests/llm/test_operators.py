@@ -41,6 +41,14 @@ def test_line_dedup_keeps_first_and_every_line(spark, odd, none):
     assert lines == {x for r in kept.values() for x in r["text"].split("\n") if x}
 
 
+def test_line_dedup_of_short_texts(spark):
+    texts = ["a", "a", "a\nb", "a\nb", "b\na", "a\nb\nc", "x\na\nb\nc", None, "", " \n ", " \n "]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").repartition(3)
+    got = [(r["text"], r["n_removed"]) for r in sorted(rows(line_dedup.dedup_lines(docs, short=True)), key=lambda r: r["doc_id"])]
+    assert got == [("a", 0), ("", 1), ("a\nb", 0), ("", 2), ("b\na", 0), ("a\nb\nc", 0), ("x", 3), ("", 0), ("", 0), (" \n ", 0), (" \n ", 0)]
+    assert all(r["n_removed"] == 3 * (r["doc_id"] == 6) for r in rows(line_dedup.dedup_lines(docs)))
+
+
 def repeat_words(w, k=8):
     at = defaultdict(list)
     for i in range(len(w) - k + 1):
