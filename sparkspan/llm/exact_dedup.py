@@ -123,6 +123,11 @@ COMBINED = pa.schema([("doc", pa.int64()), ("rep", pa.int64()), ("len", pa.int64
 OWNED = pa.schema([("doc", pa.int64()), ("rep", pa.int64()), ("keep", pa.int64()), ("size", pa.int64()), ("sha", pa.string()), ("owns", pa.bool_())])
 
 
+def ordered(doc: int | None, largest: bool) -> int | float:
+    """A null identifier is worse than any other."""
+    return doc if doc is not None else float("-inf") if largest else float("inf")
+
+
 def _combine(largest: bool) -> Callable[[Iterable[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """A row with the text for each distinct text of the task, its document the task's best; a row
     without text for each other copy. ``rep`` is unique to the task's group."""
@@ -149,7 +154,7 @@ def _combine(largest: bool) -> Callable[[Iterable[pa.RecordBatch]], Iterator[pa.
                 if (g := groups.get(text)) is None:
                     groups[text] = [task + serial, doc, h, []]
                     serial, held = serial + 1, held + len(text) + 400
-                elif (doc > g[1]) == largest and doc != g[1]:
+                elif doc != g[1] and (ordered(doc, largest) > ordered(g[1], largest)) == largest:
                     g[3].append(g[1])
                     g[1] = doc
                     held += 40
@@ -178,7 +183,7 @@ def _own(largest: bool) -> Callable[[Iterable[pa.RecordBatch]], Iterator[pa.Reco
                 if text is None:
                     rows.append((doc, rep, None, None, None, False))
                 else:
-                    trie.insert(text, (doc, rep), n)
+                    trie.insert(text, (ordered(doc, largest), rep), n)
                     pickle.dump((hashlib.sha256(text).digest(), doc, rep), where)
             if len(rows) >= 2000:
                 yield batch_of(rows, OWNED)
@@ -191,7 +196,7 @@ def _own(largest: bool) -> Callable[[Iterable[pa.RecordBatch]], Iterator[pa.Reco
             except EOFError:
                 break
             (keep, owner), count = found[sha]
-            rows.append((doc, rep, keep, count, sha.hex(), owner == rep))
+            rows.append((doc, rep, None if isinstance(keep, float) else keep, count, sha.hex(), owner == rep))
             if len(rows) >= 2000:
                 yield batch_of(rows, OWNED)
                 rows = []
@@ -206,7 +211,7 @@ def owners(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", larges
 
     Texts are equal when identical after folding A-Z. Null counts as empty, and all empty texts are
     one group. Of equal texts that repeat the winning id too, one row is kept. Ids must be whole
-    numbers and not null. An empty table gives an empty result. Other columns are not read.
+    numbers; a null id wins only among null ids. An empty table gives an empty result. Other columns are not read.
     """
     text = fold(F.col(text_col))
     keyed = df.select(F.col(id_col).cast("bigint").alias("doc"), text.cast("binary").alias("text"), F.xxhash64(text).alias("h"))
@@ -225,10 +230,12 @@ def owners(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", larges
 
 
 def deduplicate(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", largest: bool = False) -> DataFrame:
-    """The rows that stay, with all their columns. Rows that repeat both id and text stay once."""
-    kept = owners(df, id_col, text_col, largest).where("kept").select(F.col(id_col).cast("bigint").alias("__id"), F.col("text_sha256").alias("__sha"))
-    rows = df.withColumn("__id", F.col(id_col).cast("bigint")).withColumn("__sha", F.sha2(fold(F.col(text_col)).cast("binary"), 256))
-    return rows.join(kept, ["__id", "__sha"], "left_semi").dropDuplicates(["__id", "__sha"]).select(*df.columns)
+    """The rows that stay, with all their columns. Rows that repeat both id and text stay once; a row
+    whose id is null stays if no other has its text."""
+    kept = owners(df, id_col, text_col, largest).where("kept").select(F.coalesce(F.col(id_col), F.lit(0)).alias("__id"), F.col(id_col).isNull().alias("__no"), F.col("text_sha256").alias("__sha"))
+    ident, key = F.col(id_col).cast("bigint"), ["__id", "__no", "__sha"]
+    rows = df.withColumns({"__id": F.coalesce(ident, F.lit(0)), "__no": ident.isNull(), "__sha": F.sha2(fold(F.col(text_col)).cast("binary"), 256)})
+    return rows.join(kept, key, "left_semi").dropDuplicates(key).select(*df.columns)
 
 
 SQL = """

@@ -68,17 +68,16 @@ def _cut(sized: DataFrame, rest: DataFrame) -> DataFrame:
     return at.select("g", F.when(F.col("upto") - F.col("rest") <= F.col("rest") - F.col("under"), F.col("within") + 1).otherwise(F.col("within")).alias("limit"))
 
 
-def mix(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", tilt: float = 0.5, seed: int = 11) -> DataFrame:
-    """One row per document: id, source, size, source_size, target (its source's), copies, taken.
+def _number(id_col: str, text_col: str) -> Column:
+    """What a document's random number comes from: its id, or its text where the id is null."""
+    return F.coalesce(F.col(id_col).cast("bigint"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
 
-    taken = copies * size, copies a whole number of at most 2. Null texts have size 0; a null source is
-    a source of its own, ordered last; rows that repeat the id share their rank and so their fate; a
-    table without words takes nothing; an empty table gives an empty result. Other columns are not
-    read. The texts are read once; ranks and sizes are written to the shared folder.
-    """
+
+def _mixed(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", tilt: float = 0.5, seed: int = 11) -> DataFrame:
+    """(id, s, size, rank, source_size, target, copies) of each document."""
     size = F.size(words(F.col(text_col))).cast("bigint")
-    keyed = df.select(F.col(id_col).cast("bigint").alias("id"), F.col(source_col).cast("string").alias("s"), size.alias("size"))
-    sized = written.save(keyed.withColumn("rank", rank(F.col("id"), F.col("size"), tilt, seed)))
+    keyed = df.select(F.col(id_col).cast("bigint").alias("id"), F.col(source_col).cast("string").alias("s"), size.alias("size"), _number(id_col, text_col).alias("u"))
+    sized = written.save(keyed.select("id", "s", "size", rank(F.col("u"), F.col("size"), tilt, seed).alias("rank")))
     goal = targets(sized)
     goal = goal.withColumn("whole", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("bigint"))
     goal = written.save(goal.withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size")))
@@ -87,13 +86,33 @@ def mix(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str =
     few = plan.limit(FEW_SOURCES + 1).count() <= FEW_SOURCES
     out = sized.join(F.broadcast(plan) if few else plan, F.col("s").eqNullSafe(F.col("of")))
     copies = F.when(F.col("size") > 0, F.least(F.lit(MOST_COPIES), F.col("whole") + (F.col("rank") < F.col("limit")).cast("bigint"))).otherwise(0)
-    return out.select(F.col("id").alias(id_col), F.col("s").alias(source_col), "size", "source_size", "target", copies.cast("bigint").alias("copies"), (copies * F.col("size")).cast("bigint").alias("taken"))
+    return out.select("id", "s", "size", "rank", "source_size", "target", copies.cast("bigint").alias("copies"))
 
 
-def mixed_rows(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
-    """The documents that the mix takes, each as often as it takes it, with all their columns."""
-    taken = mix(df, written, id_col, text_col, source_col, **options).where("copies > 0").groupBy(F.col(id_col).alias("__id"), F.col(source_col).alias("__s")).agg(F.max("copies").cast("int").alias("__n"))
-    rows = df.withColumn("__id", F.col(id_col).cast("bigint")).withColumn("__s", F.col(source_col).cast("string"))
-    rows = rows.where(F.size(words(F.col(text_col))) > 0)
-    joined = rows.join(taken, (rows["__id"] == taken["__id"]) & rows["__s"].eqNullSafe(taken["__s"])).withColumn("__k", F.explode(F.sequence(F.lit(1), taken["__n"])))
+def mix(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", tilt: float = 0.5, seed: int = 11) -> DataFrame:
+    """One row per document: id, source, size, source_size, target (its source's), copies, taken.
+
+    taken = copies * size, copies a whole number of at most 2. Null texts have size 0; a null source is
+    a source of its own, ordered last; rows that repeat id and size share their rank and so
+    their fate, where the id is null those that repeat the text; a
+    table without words takes nothing; an empty table gives an empty result. Other columns are not
+    read. The texts are read once; ranks and sizes are written to the shared folder.
+    """
+    out = _mixed(df, written, id_col, text_col, source_col, tilt, seed)
+    return out.select(F.col("id").alias(id_col), F.col("s").alias(source_col), "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+
+
+def mixed_rows(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", tilt: float = 0.5, seed: int = 11) -> DataFrame:
+    """The documents that the mix takes, each as often as it takes it, with all their columns. Copies follow
+    from source, size and rank, which with the id tell rows apart; ids and sources may be null."""
+    key = lambda i: {"__id": F.coalesce(i, F.lit(0)), "__no": i.isNull()}
+    taken = _mixed(df, written, id_col, text_col, source_col, tilt, seed).where("copies > 0").withColumns(key(F.col("id")))
+    taken = taken.groupBy("__id", "__no", F.col("s").alias("__s"), F.col("size").alias("__size"), F.col("rank").alias("__rank")).agg(F.max("copies").cast("int").alias("__n"))
+    size = F.size(words(F.col(text_col))).cast("bigint")
+    rows = df.withColumns(key(F.col(id_col).cast("bigint")) | {"__s": F.col(source_col).cast("string"), "__size": size, "__rank": rank(_number(id_col, text_col), size, tilt, seed)})
+    rows = rows.where("__size > 0")
+    same = rows["__s"].eqNullSafe(taken["__s"])
+    for c in ("__id", "__no", "__size", "__rank"):
+        same = same & (rows[c] == taken[c])
+    joined = rows.join(taken, same).withColumn("__k", F.explode(F.sequence(F.lit(1), taken["__n"])))
     return joined.select(*[rows[f"`{c}`"] for c in df.columns])

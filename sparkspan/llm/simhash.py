@@ -51,16 +51,24 @@ def _shingles(text: str) -> list[bytes]:
     return [buf[a:b] for a, b in zip(starts[: 1 - WORDS].tolist(), (ends[WORDS - 1 :] - 1).tolist(), strict=True)]
 
 
-def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", hashed: bool = False) -> DataFrame:
     """(id, fp): the signed 64-bit pattern of each document's fingerprint. Null, empty and blank texts
-    have fingerprint zero; repeated rows come back as often."""
+    have fingerprint zero; repeated rows come back as often. hashed: also a and b, a hash of the text."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             fps = np.fromiter((fingerprint(t) for t in b.column(1).to_pylist()), np.uint64, b.num_rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64))], names=["id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64)), *b.columns[2:]], names=["id", "fp", "a", "b"][: b.num_columns])
 
-    return df.select(F.col(id_col).cast("bigint").alias("id"), fold(F.col(text_col)).alias("t")).mapInArrow(run, "id bigint, fp bigint")
+    text = F.col(text_col)
+    rows = df.select(F.col(id_col).cast("bigint").alias("id"), fold(text).alias("t"), *(_text_hash(text) if hashed else []))
+    return rows.mapInArrow(run, "id bigint, fp bigint" + ", a bigint, b bigint" * hashed)
+
+
+def _text_hash(text: Column) -> list[Column]:
+    """128 bits of a text as it stands, null as the empty one."""
+    text = F.coalesce(text, F.lit(""))
+    return [F.xxhash64(text).alias("a"), F.xxhash64(text, F.lit(1)).alias("b")]
 
 
 def layout(n: int, k: int, width: int = 64) -> list[tuple[int, int]]:
@@ -184,6 +192,16 @@ def links(distinct: DataFrame, written: Written, k: int = 4, n: int | None = Non
     return out.union(_meet(met, k, None).select("u", "v"))
 
 
+def groups(fps: DataFrame, written: Written, k: int) -> DataFrame:
+    """(root, fp, least, component) of each distinct fingerprint: a name of its component that no other
+    has, its smallest id and that of its component, null if all are."""
+    distinct = written.save(fps.groupBy("fp").agg(F.min("id").alias("least")))
+    comp = components(links(distinct.select("fp"), written, k), written)
+    rooted = distinct.join(comp, distinct.fp == comp.id, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    low = rooted.groupBy("root").agg(F.min("least").alias("component"))
+    return rooted.join(low, "root")
+
+
 def near_duplicates(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", k: int = 4) -> DataFrame:
     """One row per document: its id, fingerprint (16 hexadecimal digits) and component_id, the
     smallest id reachable over links of at most k differing bits, itself included.
@@ -193,18 +211,20 @@ def near_duplicates(df: DataFrame, written: Written, id_col: str = "doc_id", tex
     holds distinct fingerprints only; a text that a third of all documents share counts once in it.
     """
     fps = written.save(fingerprints(df, id_col, text_col))
-    distinct = written.save(fps.groupBy("fp").agg(F.min("id").alias("least")))
-    comp = components(links(distinct.select("fp"), written, k), written)
-    rooted = distinct.join(comp, distinct.fp == comp.id, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    low = rooted.groupBy("root").agg(F.min("least").alias("component"))
-    named = written.save(rooted.join(low, "root").select("fp", "component"))
+    named = written.save(groups(fps, written, k).select("fp", "component"))
     return fps.join(named, "fp").select(F.col("id").alias(id_col), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), F.col("component").alias("component_id"))
 
 
 def keep_one(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", k: int = 4) -> DataFrame:
-    """The rows whose id is the smallest of its group, with all their columns; of rows that repeat the
-    winning id, the one with the first text in order stays."""
-    chosen = near_duplicates(df, written, id_col, text_col, k).select(F.col("component_id").alias("__id")).distinct()
-    rows = df.withColumn("__id", F.col(id_col).cast("bigint")).join(chosen, "__id", "left_semi")
-    first = rows.groupBy("__id").agg(F.min(F.struct(F.coalesce(F.col(text_col), F.lit("")).alias("t"), *[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(df.columns)])).alias("r"))
+    """One row of each component with all its columns: that of the smallest id, null after all others.
+    Rows are told apart by id and text, so one id may stay with several texts that are not near copies;
+    of near copies that share the smallest id, the one with the least hash stays."""
+    key = ["__id", "__no", "__a", "__b"]
+    fps = written.save(fingerprints(df, id_col, text_col, hashed=True))
+    named = written.save(groups(fps, written, k).select("fp", "root", "component"))
+    best = fps.join(named, "fp").where(F.col("id").eqNullSafe(F.col("component"))).groupBy("root").agg(F.min(F.struct("id", "a", "b")).alias("x"))
+    chosen = best.select(F.coalesce("x.id", F.lit(0)).alias("__id"), F.col("x.id").isNull().alias("__no"), F.col("x.a").alias("__a"), F.col("x.b").alias("__b"))
+    ident, (a, b) = F.col(id_col).cast("bigint"), _text_hash(F.col(text_col))
+    rows = df.withColumns({"__id": F.coalesce(ident, F.lit(0)), "__no": ident.isNull(), "__a": a, "__b": b}).join(chosen, key, "left_semi")
+    first = rows.groupBy(key).agg(F.min(F.struct(F.coalesce(F.col(text_col), F.lit("")).alias("t"), *[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(df.columns)])).alias("r"))
     return first.select(*[F.col(f"r.c{i}").alias(c) for i, c in enumerate(df.columns)])

@@ -1,6 +1,6 @@
 import corpus_pipeline as pipeline
 
-from sparkspan.llm import exact_dedup, simhash, toxicity
+from sparkspan.llm import exact_dedup, mixing, simhash, toxicity
 from sparkspan.llm.common import Written, table
 
 SF = "/root/testdata/sf0.001"
@@ -38,5 +38,23 @@ def test_stages_against_brute_force(spark):
     assert pipeline.run(spark, SF).count() == counts[-1]
 
 
+def test_rows_with_null_ids_and_ids_with_two_texts_stay(spark):
+    text = lambda n: " ".join(f"{n}word{(i * 7919 + n * 31) % 997}" for i in range(120))
+    data = [(1, text(1)), (1, text(2)), (2, text(2) + " end"), (None, text(3)), (None, text(4)), (5, text(5)), (None, text(5)), (None, text(6)), (None, text(6)), (7, text(1))]
+    docs = spark.createDataFrame([(i, t, None if n % 3 else "s") for n, (i, t) in enumerate(data)], "doc_id bigint, text string, source string").repartition(3)
+    for largest in (True, False):
+        exact = exact_dedup.deduplicate(docs, largest=largest)
+        want = {*data} - {(None, text(5))} - {(1, text(1)) if largest else (7, text(1))}
+        assert sorted(map(str, exact.select("doc_id", "text").collect())) == sorted(str(r) for r in spark.createDataFrame(list(want), "doc_id bigint, text string").collect())
+    near = simhash.keep_one(exact, Written(spark, "t"))
+    got = {(r["doc_id"], r["text"]) for r in near.collect()}
+    assert got == {(1, text(1)), (1, text(2)), (None, text(3)), (None, text(4)), (5, text(5)), (None, text(6))} and near.count() == 6
+    mixed = {(r["doc_id"], r["text"]) for r in mixing.mixed_rows(near, Written(spark, "t")).collect()}
+    taken = mixing.mix(near, Written(spark, "t")).where("copies > 0")
+    rows = mixing.mixed_rows(near, Written(spark, "t"))
+    assert mixed <= got and taken.count() == len(mixed) and any(i is None for i, _ in mixed)
+    assert sum(r["copies"] for r in taken.collect()) == rows.count()
+
+
 def test_imports():
     assert toxicity and exact_dedup and pipeline.ORACLE_SQL is None
