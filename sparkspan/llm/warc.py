@@ -102,12 +102,14 @@ def read_record(content: bytes, frame: int, start: int) -> tuple[dict[str, str],
 
 def with_revisits(pages: DataFrame, min_bytes: int = 1000) -> DataFrame:
     """(page_id, url, html, digest, refers_to). Digests are grouped first, without the payloads; a
-    hot payload is one row per task at the exchange."""
+    hot payload is one row per task at the exchange. A page_id may come with several payloads: each has
+    its own owner."""
     html = F.coalesce(F.col("html"), F.lit(""))
-    keyed = pages.select("page_id", F.sha1(html.cast("binary")).alias("digest"), F.xxhash64(html).alias("x"), F.octet_length(html).alias("n"))
+    payload = [F.sha1(html.cast("binary")).alias("digest"), F.xxhash64(html).alias("x"), F.octet_length(html).alias("n")]
+    keyed = pages.select("page_id", *payload)
     owners = keyed.where(F.col("n") >= min_bytes).groupBy("digest", "x", "n").agg(F.max("page_id").alias("owner"), F.count(F.lit(1)).alias("copies")).where("copies > 1")
-    revisits = keyed.where(F.col("n") >= min_bytes).join(owners, ["digest", "x", "n"]).where("page_id < owner").groupBy("page_id").agg(F.max("owner").alias("refers_to"))
-    return pages.select("page_id", "url", html.alias("html"), F.sha1(html.cast("binary")).alias("digest")).join(revisits, "page_id", "left")
+    revisits = keyed.where(F.col("n") >= min_bytes).join(owners, ["digest", "x", "n"]).where("page_id < owner").groupBy("page_id", "digest", "x", "n").agg(F.max("owner").alias("refers_to"))
+    return pages.select("page_id", "url", html.alias("html"), *payload).join(revisits, ["page_id", "digest", "x", "n"], "left").drop("x", "n")
 
 
 def write_bundles(pages: DataFrame, min_bytes: int = 1000, frame_bytes: int = 1 << 16, bundle_bytes: int = 16 << 20) -> DataFrame:

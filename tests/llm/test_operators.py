@@ -303,6 +303,17 @@ def test_warc(spark):
     assert warc.archive_round_trip(pages.limit(0), Written(spark, "t")).count() == 0
 
 
+def test_warc_page_ids_with_several_payloads(spark):
+    a, b, c = ("%s" % x * 2000 for x in "abc")
+    data = [(1, a), (1, b), (2, a), (3, c), (1, c), (1, None)]
+    bundles = Written(spark, "t").save(warc.write_bundles(spark.createDataFrame([(i, "u", h) for i, h in data], "page_id bigint, url string, html string").repartition(2)))
+    sha = lambda h: hashlib.sha1((h or "").encode()).hexdigest()
+    got = {(r["page_id"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in rows(warc.read_bundles(bundles))}
+    assert got == {(1, sha(a), "revisit", 2), (1, sha(b), "response", None), (2, sha(a), "response", None), (3, sha(c), "response", None), (1, sha(c), "revisit", 3), (1, sha(None), "response", None)}
+    found = {(r["page_id"], r["html"]) for r in rows(warc.lookup(bundles, spark.createDataFrame([(1,), (2,), (3,)], "page_id bigint")))}
+    assert found == {(1, b), (2, a), (3, c), (1, "")}
+
+
 def test_bundle_is_readable_by_any_decoder():
     import io
 
