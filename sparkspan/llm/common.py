@@ -3,12 +3,15 @@
 from __future__ import annotations
 
 import os
-import tempfile
-import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from sparkspan.session import Workspace as Written
+from sparkspan.session import shared_dir
+
+__all__ = ["Written", "shared_dir"]
+
 #: The white space that separates words, and the letters that are folded.
 SPACES = " \t\n\x0b\x0c\r"
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -29,35 +32,24 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``. Only where the session
-    names none (a single machine, as in tests) is one made and set."""
-    at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not at:
-        at = f"file://{tempfile.mkdtemp(prefix='sparkspan-')}"
-        spark.sparkContext.setCheckpointDir(at)
-    return at.rstrip("/")
+def column(name: str) -> Column:
+    """A column by its whole name, dots and backticks included."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
 
+def packed(df: DataFrame, **keys: Column) -> DataFrame:
+    """All columns of ``df`` as one struct ``row`` next to ``keys``, whose names can then meet none of theirs."""
+    return df.select(F.struct(*[column(c).alias(f"c{i}") for i, c in enumerate(df.columns)]).alias("row"), *[v.alias(k) for k, v in keys.items()])
 
-class Written:
-    """Intermediate tables in the shared folder. They survive lost executors and cut the lineage."""
 
-    def __init__(self, spark: SparkSession, name: str):
-        self.spark, self.base, self.n = spark, f"{shared_dir(spark)}/sparkspan/{name}-{uuid.uuid4().hex}", 0
+def unpacked(rows: DataFrame, like: DataFrame) -> DataFrame:
+    """The columns of ``like`` out of ``row``."""
+    return rows.select(*[F.col(f"row.c{i}").alias(c) for i, c in enumerate(like.columns)])
 
-    def save(self, df: DataFrame) -> DataFrame:
-        self.n += 1
-        path = f"{self.base}/{self.n}"
-        df.write.mode("overwrite").parquet(path)
-        out = self.spark.read.schema(df.schema).parquet(path)
-        out._sparkspan_path = path
-        return out
 
-    def drop(self, df: DataFrame) -> None:
-        """Removes a table that no later step reads."""
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(df._sparkspan_path)
-        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+def row_hash(df: DataFrame) -> Column:
+    """A number that depends on all columns of a row, maps included."""
+    return F.xxhash64(*[F.to_json(F.struct(column(c).alias("v"))) if "map<" in t else column(c) for c, t in df.dtypes], F.lit(0))
 
 
 def vocabulary_path(name: str) -> str:

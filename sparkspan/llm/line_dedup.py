@@ -5,9 +5,9 @@ occurrence but the first (by document id, then position) marks the lines it cove
 document are merged and the marked lines removed. By induction over (document, position) a copy of
 every removed line stays: a marked line has an equal line in an earlier window.
 
-What is shuffled: one row of two hashes and two numbers per window (partially aggregated per task
-before the exchange, so a passage that a third of all documents share is one row per task), the
-occurrences of repeated windows, and the texts once.
+What is shuffled: one row of hashes and numbers per window (partially aggregated per task before the
+exchange, so a passage that a third of all documents share is one row per task), the windows again
+but for the hot ones, and the texts once.
 """
 
 from __future__ import annotations
@@ -15,9 +15,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACES
+from .common import SPACES, Written, column
 
 SIZE = 3
+#: A window is hot if it makes up more than one in HOT of all windows.
+HOT = 1000
+#: What tells rows apart and orders them.
+KEY = ["no", "id", "x", "y"]
 
 
 def _windows(text: Column, short: bool = False) -> Column:
@@ -46,26 +50,44 @@ def _windows(text: Column, short: bool = False) -> Column:
     return F.when(F.size(F.split(text, "\n")) >= SIZE, F.element_at(F.transform(F.array(keyed), build), 1)).otherwise(empty)
 
 
-def repeated_starts(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", short: bool = False) -> DataFrame:
-    """(doc_id, starts): of each document with repeats, the first lines of its later occurrences."""
-    spans = df.select(F.col(id_col).alias("__id"), F.explode(_windows(F.coalesce(F.col(text_col), F.lit("")), short)).alias("w")).select("__id", "w.p", "w.a", "w.b")
-    first = spans.groupBy("a", "b").agg(F.min(F.struct("__id", "p")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
-    later = spans.join(first, ["a", "b"]).where((F.col("__id") != F.col("first.__id")) | (F.col("p") != F.col("first.p")))
-    return later.groupBy("__id").agg(F.collect_set("p").alias("starts"))
+def _key(id_col: str, text_col: str) -> list[Column]:
+    """KEY: null ids last, then the id, then two hashes of the text."""
+    ident, text = column(id_col), F.coalesce(column(text_col), F.lit(""))
+    return [v.alias(k) for k, v in zip(KEY, (ident.isNull(), F.coalesce(ident.cast("bigint"), F.lit(0)), F.xxhash64(text), F.xxhash64(text, F.lit(1))), strict=True)]
 
 
-def dedup_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", short: bool = False) -> DataFrame:
+def repeated_starts(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", short: bool = False) -> DataFrame:
+    """(no, id, x, y, starts): of each row with repeats, the first lines of its later occurrences.
+
+    Windows are made once and written. A window that more than one in ``HOT`` of all windows equal is hot: by
+    that definition there are fewer than ``HOT`` of them, so their first places go to every task
+    and no task has to hold all their occurrences; every other window is joined by its hash."""
+    text, key = F.coalesce(column(text_col), F.lit("")), KEY
+    rows = df.select(*_key(id_col, text_col), F.explode(_windows(text, short)).alias("w"))
+    spans = written.save(rows.select(*key, "w.p", "w.a", "w.b"))
+    total = spans.count()
+    first = spans.groupBy("a", "b").agg(F.min(F.struct(*key, "p")).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    first = written.save(first.select("a", "b", "first", (F.col("n") * HOT > total).alias("hot")))
+    hot, cold = first.where("hot").drop("hot"), first.where("not hot").drop("hot")
+    met = spans.join(F.broadcast(hot), ["a", "b"], "left")
+    later = met.where("first is not null").unionByName(met.where("first is null").drop("first").join(cold, ["a", "b"]))
+    return later.where(F.struct(*key, "p") != F.col("first")).groupBy(*key).agg(F.collect_set("p").alias("starts"))
+
+
+def dedup_lines(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", short: bool = False) -> DataFrame:
     """One row per document: its id, n_lines, n_removed (long) and the text that stays.
 
     A null or empty text has one empty line and loses nothing; fewer than three lines lose nothing unless
     ``short``, by which all lines of such a text go if an earlier text is the same; the SQL of the query
-    is without it. Shorter passages within a text are not seen. Windows of blank lines only do not count. Repeated rows with one id share their marks: of rows
-    that repeat id and text both, both stay as they are (their windows have equal positions), which
-    exact deduplication removes. An empty table gives an empty result. Other columns are not read.
+    is without it. Shorter passages within a text are not seen. Windows of blank lines only do not count.
+    Rows are told apart by id and text: rows of one id with several texts come in the order of a hash of
+    the text, rows with a null id after all others; rows that repeat id and text both have the same
+    marks (one is no repeat of the other, which exact deduplication is for). An empty table gives an empty
+    result. Other columns are not read.
     """
-    docs = df.select(F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("__t"))
-    joined = docs.join(repeated_starts(df, id_col, text_col, short), "__id", "left")
-    lines = F.split(F.col("__t"), "\n")
+    docs = df.select(column(id_col).alias("own"), *_key(id_col, text_col), F.coalesce(column(text_col), F.lit("")).alias("t"))
+    joined = docs.join(repeated_starts(df, written, id_col, text_col, short), KEY, "left")
+    lines = F.split(F.col("t"), "\n")
     n = F.size(lines)
     gone = F.array_distinct(F.flatten(F.transform("starts", lambda p: F.array(*[p + j for j in range(SIZE)]))))
     if short:
@@ -73,10 +95,10 @@ def dedup_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", s
     kept = F.array_except(F.sequence(F.lit(0), n - 1), gone)
     text = F.element_at(F.transform(F.array(lines), lambda all_: F.array_join(F.transform(kept, lambda i: F.get(all_, i)), "\n")), 1)
     return joined.select(
-        F.col("__id").alias(id_col),
+        F.col("own").alias(id_col),
         n.cast("bigint").alias("n_lines"),
         F.when(F.col("starts").isNull(), 0).otherwise(F.size(gone)).cast("bigint").alias("n_removed"),
-        F.when(F.col("starts").isNull(), F.col("__t")).otherwise(text).alias("text"),
+        F.when(F.col("starts").isNull(), F.col("t")).otherwise(text).alias("text"),
     )
 
 

@@ -11,7 +11,7 @@ RANKS = "byte_bpe_50k.tiktoken"
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_dedup.dedup_lines(table(spark, sf_dir, "documents"))
+    return line_dedup.dedup_lines(table(spark, sf_dir, "documents"), Written(spark, "lines"))
 
 
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

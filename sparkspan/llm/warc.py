@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import hashlib
 import struct
+import uuid
 from collections.abc import Iterable, Iterator
 from pathlib import Path
 
@@ -28,16 +29,25 @@ BUNDLES = "bundle string, content binary, records array<struct<page_id:bigint,fr
 READ = "page_id bigint, payload_bytes bigint, payload_digest string, record_type string, refers_to bigint"
 
 
-def record(page_id: int, url: str | None, payload: bytes, digest: str, refers_to: int | None, date: str = DATE) -> bytes:
+def urn(page_id: int | None) -> str:
+    return f"<urn:page:{'' if page_id is None else page_id}>"
+
+
+def page_of(name: str) -> int | None:
+    number = name.removeprefix("<urn:page:").removesuffix(">")
+    return int(number) if number else None
+
+
+def record(page_id: int | None, url: str | None, payload: bytes, digest: str, refers_to: int | None, date: str = DATE) -> bytes:
     """One WARC/1.1 record. A revisit carries no payload, but its digest and length."""
     kind, body = ("response", payload) if refers_to is None else ("revisit", b"")
     clean = " ".join((url or "").split())
     head = [
-        "WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: <urn:page:{page_id}>", f"WARC-Date: {date}", f"WARC-Target-URI: {clean}",
+        "WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: {urn(page_id)}", f"WARC-Date: {date}", f"WARC-Target-URI: {clean}",
         f"WARC-Payload-Digest: sha1:{digest}", f"WARC-Payload-Length: {len(payload)}", "Content-Type: text/html; charset=utf-8", f"Content-Length: {len(body)}",
     ]
     if refers_to is not None:
-        head += [f"WARC-Refers-To: <urn:page:{refers_to}>", f"WARC-Profile: {REVISIT_PROFILE}"]
+        head += [f"WARC-Refers-To: {urn(refers_to)}", f"WARC-Profile: {REVISIT_PROFILE}"]
     return "\r\n".join(head).encode() + b"\r\n\r\n" + body + b"\r\n\r\n"
 
 
@@ -102,21 +112,25 @@ def read_record(content: bytes, frame: int, start: int) -> tuple[dict[str, str],
 
 def with_revisits(pages: DataFrame, min_bytes: int = 1000) -> DataFrame:
     """(page_id, url, html, digest, refers_to). Digests are grouped first, without the payloads; a
-    hot payload is one row per task at the exchange. A page_id may come with several payloads: each has
-    its own owner."""
+    hot payload is one row per task at the exchange, and its join can be split. A page_id may come with several
+    payloads: each has its own owner. A page without an id revisits the owner, and owns only among its like."""
     html = F.coalesce(F.col("html"), F.lit(""))
     payload = [F.sha1(html.cast("binary")).alias("digest"), F.xxhash64(html).alias("x"), F.octet_length(html).alias("n")]
+    none = F.col("page_id").isNull().alias("none")
     keyed = pages.select("page_id", *payload)
     owners = keyed.where(F.col("n") >= min_bytes).groupBy("digest", "x", "n").agg(F.max("page_id").alias("owner"), F.count(F.lit(1)).alias("copies")).where("copies > 1")
-    revisits = keyed.where(F.col("n") >= min_bytes).join(owners, ["digest", "x", "n"]).where("page_id < owner").groupBy("page_id", "digest", "x", "n").agg(F.max("owner").alias("refers_to"))
-    return pages.select("page_id", "url", html.alias("html"), *payload).join(revisits, ["page_id", "digest", "x", "n"], "left").drop("x", "n")
+    revisits = keyed.where(F.col("n") >= min_bytes).join(owners, ["digest", "x", "n"]).where("coalesce(page_id < owner, owner is not null)")
+    revisits = revisits.groupBy(F.coalesce("page_id", F.lit(0)).alias("k"), none, "digest", "x", "n").agg(F.max("owner").alias("refers_to"))
+    rows = pages.select("page_id", "url", html.alias("html"), *payload, none, F.coalesce("page_id", F.lit(0)).alias("k"))
+    return rows.join(revisits, ["k", "none", "digest", "x", "n"], "left").select("page_id", "url", "html", "digest", "refers_to")
 
 
 def write_bundles(pages: DataFrame, min_bytes: int = 1000, frame_bytes: int = 1 << 16, bundle_bytes: int = 16 << 20) -> DataFrame:
     """Table of bundles. Each task fills bundles of about ``bundle_bytes`` one after another.
 
-    A null html is an empty payload, a null url an empty target; repeated rows give repeated records;
-    equal page_ids with equal payloads are all responses. Other columns are not read.
+    A null html is an empty payload, a null url an empty target, a null page_id a record without a number;
+    repeated rows give repeated records; equal page_ids with equal payloads are all responses. An empty
+    table gives no bundle. Other columns are not read.
     """
 
     def pack(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -153,7 +167,6 @@ def read_bundles(bundles: DataFrame) -> DataFrame:
     def unpack(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         z = zstandard.ZstdDecompressor()
         schema = pa.schema([("page_id", pa.int64()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64())])
-        page = lambda x: int(x[len("<urn:page:") : -1])
         for batch in batches:
             for content in batch.column(0):
                 content, rows = content.as_py(), []
@@ -165,7 +178,7 @@ def read_bundles(bundles: DataFrame) -> DataFrame:
                         if kind == "response" and (len(body) != n or hashlib.sha1(body).hexdigest() != digest):
                             raise ValueError(f"damaged record {head['WARC-Record-ID']}")
                         ref = head.get("WARC-Refers-To")
-                        rows.append((page(head["WARC-Record-ID"]), n, digest, kind, ref and page(ref)))
+                        rows.append((page_of(head["WARC-Record-ID"]), n, digest, kind, ref and page_of(ref)))
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t.type) for c, t in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
 
@@ -173,26 +186,41 @@ def read_bundles(bundles: DataFrame) -> DataFrame:
 
 
 def lookup(bundles: DataFrame, ids: DataFrame) -> DataFrame:
-    """(page_id, html) of the responses asked for: joins the offsets, then opens one frame a record."""
+    """(page_id, html) of the responses asked for. The offsets of one bundle are gathered before its
+    content joins them, so that a bundle travels and is opened once however many records are asked for, and
+    only their frames are decompressed, each once. Ids asked twice count once, null ids find nothing; an id that
+    no response bears is left out."""
 
     def fetch(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        z = zstandard.ZstdDecompressor()
         for batch in batches:
-            for i, content, frame, start in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                head, body = read_record(content, frame, start)
-                if head["WARC-Type"] == "response":
-                    yield pa.RecordBatch.from_arrays([pa.array([i], pa.int64()), pa.array([body.decode()])], names=["page_id", "html"])
-
-    places = offsets(bundles).join(ids.select("page_id"), "page_id", "left_semi")
-    return places.join(bundles.select("bundle", "content"), "bundle").select("page_id", "content", "frame", "start").mapInArrow(fetch, "page_id bigint, html string")
+            for k in range(batch.num_rows):
+                content, table = batch.column(0)[k].as_py(), None
+                frames = seek_table(content)
+                for frame, start, page_id in sorted((r["frame"], r["start"], r["page_id"]) for r in batch.column(1)[k].as_py()):
+                    if table is None or table[0] != frame:
+                        at, packed, plain = frames[frame]
+                        table = frame, z.decompress(content[at : at + packed], max_output_size=plain)
+                    head, body, _ = parse(table[1], start)
+                    if head["WARC-Type"] == "response":
+                        yield pa.RecordBatch.from_arrays([pa.array([page_id], pa.int64()), pa.array([body.decode()])], names=["page_id", "html"])
+
+    asked = offsets(bundles).join(ids.select("page_id"), "page_id", "left_semi")
+    places = asked.groupBy("bundle").agg(F.collect_set(F.struct("frame", "start", "page_id")).alias("places"))
+    # A bundle's name is that of its content: rows that repeat one come from repeated pages, and each gives its own.
+    return bundles.select("bundle", "content").join(places, "bundle").select("content", "places").mapInArrow(fetch, "page_id bigint, html string")
 
 
 def export(bundles: DataFrame, folder: str) -> None:
-    """Writes the bundles as files of a folder that all tasks share (a mounted store)."""
+    """Writes the bundles as files of a folder that all tasks share (a mounted store). A file appears whole
+    or not at all, and a task that runs again writes the same one; an empty table writes nothing."""
 
     def put(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for name, content in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                Path(folder, name).write_bytes(content)
+                part = Path(folder, f".{name}.{uuid.uuid4().hex}")
+                part.write_bytes(content)
+                part.replace(Path(folder, name))
             yield batch.select([0])
 
     bundles.select("bundle", "content").mapInArrow(put, "bundle string").write.format("noop").mode("overwrite").save()

@@ -23,12 +23,12 @@ def rows(df):
 
 
 def test_line_dedup_keeps_first_and_every_line(spark, odd, none):
-    got = {r["doc_id"]: r for r in rows(line_dedup.dedup_lines(odd))}
+    got = {r["doc_id"]: r for r in rows(line_dedup.dedup_lines(odd, Written(odd.sparkSession, "t")))}
     assert got[7]["text"] == "a\nb\nc\nd" and got[8]["text"] == "x\ny" and got[8]["n_removed"] == 3
     assert got[0]["text"] == "" and got[0]["n_removed"] == 0 and got[5]["n_lines"] == 1
-    assert line_dedup.dedup_lines(none).count() == 0
+    assert line_dedup.dedup_lines(none, Written(none.sparkSession, "t")).count() == 0
     docs = spark.createDataFrame([(i, "\n".join(random.Random(i).choice("abcd") for _ in range(12))) for i in range(60)], "doc_id bigint, text string")
-    kept = {r["doc_id"]: r for r in rows(line_dedup.dedup_lines(docs))}
+    kept = {r["doc_id"]: r for r in rows(line_dedup.dedup_lines(docs, Written(spark, "t")))}
     seen, lines = set(), set()
     for i, t in sorted((r["doc_id"], r["text"]) for r in rows(docs)):
         ls, gone = t.split("\n"), set()
@@ -44,9 +44,9 @@ def test_line_dedup_keeps_first_and_every_line(spark, odd, none):
 def test_line_dedup_of_short_texts(spark):
     texts = ["a", "a", "a\nb", "a\nb", "b\na", "a\nb\nc", "x\na\nb\nc", None, "", " \n ", " \n "]
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").repartition(3)
-    got = [(r["text"], r["n_removed"]) for r in sorted(rows(line_dedup.dedup_lines(docs, short=True)), key=lambda r: r["doc_id"])]
+    got = [(r["text"], r["n_removed"]) for r in sorted(rows(line_dedup.dedup_lines(docs, Written(spark, "t"), short=True)), key=lambda r: r["doc_id"])]
     assert got == [("a", 0), ("", 1), ("a\nb", 0), ("", 2), ("b\na", 0), ("a\nb\nc", 0), ("x", 3), ("", 0), ("", 0), (" \n ", 0), (" \n ", 0)]
-    assert all(r["n_removed"] == 3 * (r["doc_id"] == 6) for r in rows(line_dedup.dedup_lines(docs)))
+    assert all(r["n_removed"] == 3 * (r["doc_id"] == 6) for r in rows(line_dedup.dedup_lines(docs, Written(spark, "t"))))
 
 
 def repeat_words(w, k=8):
@@ -88,18 +88,32 @@ def test_exact_dedup(odd, none):
     assert left.columns == odd.columns and sorted(r["doc_id"] for r in rows(left)) == sorted(max(v) for v in want.values())
 
 
-def test_trie_spills_by_subtree():
+@pytest.mark.parametrize("start", [b"", b"common start of all " * 40])
+def test_trie_spills_by_subtree(start, monkeypatch):
+    monkeypatch.setattr(exact_dedup, "MOST_MEMBERS", 10)
     rng = random.Random(5)
-    keys = [bytes(rng.choice(b"abc") for _ in range(rng.randint(0, 12))) for _ in range(3000)]
+    keys = [start + bytes(rng.choice(b"abc") for _ in range(rng.randint(1, 12))) for _ in range(3000)] + [start[:k] for k in range(1, 30)]
     want = defaultdict(list)
     for i, k in enumerate(keys):
         want[k].append(i)
-    for bound in (1 << 30, 4000):
-        t = exact_dedup.PatriciaOwners(max_bytes=bound)
+    for bound in (1 << 30, 20_000, 6000):
+        t, most = exact_dedup.PatriciaOwners(max_bytes=bound), 0
         for i, k in enumerate(keys):
-            t.insert(k, i)
-        assert bool(t.spilled) == (bound == 4000)
-        assert {k: (b, n) for k, b, n in t.owners()} == {k: (min(v), len(v)) for k, v in want.items()}
+            t.insert(k, i, 1, (i,))
+            most = max(most, t.bytes)
+        assert bool(t.spills) == (bound < 1 << 30) and most <= 2 * bound + 1000
+        got = [(k, b, n, sorted(x for chunk in m for x in chunk)) for k, b, n, m in t.groups()]
+        assert sorted(got) == sorted((k, min(v), len(v), v) for k, v in want.items())
+
+
+def test_trie_of_chains_and_of_one_string(monkeypatch):
+    monkeypatch.setattr(exact_dedup, "MOST_MEMBERS", 30)
+    for keys in ([b"a" * i for i in range(400)], [b"same" * 100] * 500):
+        t = exact_dedup.PatriciaOwners(largest=True, max_bytes=3000)
+        for i, k in enumerate(keys):
+            t.insert(k, i, 1, (i,))
+            assert t.bytes < 9000
+        assert {k: (b, n) for k, b, n in t.owners()} == {k: (max(i for i, x in enumerate(keys) if x == k), keys.count(k)) for k in keys}
 
 
 @pytest.fixture(scope="module")
