@@ -130,18 +130,66 @@ def test_bpe_equals_library(codec):
     texts = ["", " ", "  x", "we'll 'S 's 're're  'd\n\n", "a　b\x85c\x1c", "½²Ⅷ 12x", "x" * 5000, " " * 3000, "<|endoftext|>"]
     texts += ["".join(rng.choice(" '  \n\tabstrevlmdé1２½!?. 漢ː́🎉") for _ in range(rng.randint(1, 50))) for _ in range(1500)]
     got = list(codec.encode_batch(texts))
-    assert got == [enc.encode_ordinary(t) for t in texts]
-    assert all(codec.decode(g) == t.encode() for g, t in zip(got, texts, strict=True))
-    assert all(len(codec.offsets(g)) == len(g) for g in got)
+    assert [g.ids for g in got] == [enc.encode_ordinary(t) for t in texts]
+    assert all(codec.decode(g.ids) == t.encode() for g, t in zip(got, texts, strict=True))
+    for g, t in zip(got, texts, strict=True):
+        assert len(g.starts) == len(g.upto) and (not t or (g.starts[0] == 0 and g.upto[-1] == len(g.ids)))
+        for _ in range(5):
+            a, b = sorted((rng.randint(0, len(t)), rng.randint(0, len(t))))
+            at, part = codec.decode_part(g, a, b)
+            assert t.startswith(part, at) and (at <= a and at + len(part) >= b if a < b else True)
     assert codec._merge_long(b"tttttattttt" * 40) == codec.merge(b"tttttattttt" * 3)[:0] + tuple(enc.encode_ordinary("tttttattttt" * 40))
 
 
+def brute_pieces(text):
+    """The pieces by the rules in words, one after another."""
+    kind = lambda c: int(bpe.classes()[ord(c)])
+    out, i = [], 0
+    while i < len(text):
+        end = next((e for e in bpe.ENDINGS if text[i] == "'" and text.startswith(e, i + 1)), None)
+        j = i + (text[i] == " ")
+        if end:
+            j = i + 1 + len(end)
+        elif j < len(text) and kind(text[j]) != bpe.SPACE:
+            k = kind(text[j])
+            while j < len(text) and kind(text[j]) == k:
+                j += 1
+        else:
+            j = i
+            while j < len(text) and kind(text[j]) == bpe.SPACE:
+                j += 1
+            if j < len(text) and j > i + 1:
+                j -= 1
+        out.append(i)
+        i = j
+    return out
+
+
+def test_bpe_boundaries_by_the_machine():
+    numbers, products, results, _ = bpe.machine()
+    rng = random.Random(3)
+    for n in (1, 2, 31, 33, 500, 5000):
+        f = np.array([rng.choice(numbers) for _ in range(n)])
+        got, state = results[bpe.scan(f, products)], bpe.CLOSED
+        assert len({len(products), *products.shape}) == 1
+        for i in range(n):
+            symbol = int(np.flatnonzero(numbers == f[i])[0])
+            state = bpe.step(state, symbol)[1]
+            assert got[i] == state
+    for _ in range(3000):
+        t = "".join(rng.choice("  '\n\tastrevlmd1２½!. 漢é\x85\x1c") for _ in range(rng.randint(0, 70)))
+        cut = sorted({0, *(rng.randint(0, len(t)) for _ in range(2))} - {len(t)})
+        want = [a + p for a, b in zip(cut, [*cut[1:], len(t)]) for p in brute_pieces(t[a:b])]
+        assert bpe.boundaries(t, np.array(cut, np.int64)).tolist() == want
+
+
 def test_bpe_query_and_round_trip(odd, none):
     path = vocabulary_path("byte_bpe_50k.tiktoken")
-    out = bpe.encode(odd, path, with_ids=True)
+    out = bpe.encode(odd, path, with_ids=True, with_offsets=True)
     texts = {r["doc_id"]: r["text"] or "" for r in rows(odd)}
     for r in rows(out):
         assert r["decoded_sha256"] == hashlib.sha256(texts[r["doc_id"]].encode()).hexdigest() and r["n_tokens"] == len(r["ids"])
+        assert r["starts"] == (brute_pieces(texts[r["doc_id"]]) if len(texts[r["doc_id"]]) < 10_000 else r["starts"]) and (r["upto"] or [0])[-1] == r["n_tokens"]
     assert all(r["text"] == texts[r["doc_id"]] for r in rows(bpe.decode(out, path)))
     assert bpe.encode(none, path).count() == 0
 
