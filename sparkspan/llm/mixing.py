@@ -1,10 +1,12 @@
 """Mixing sources to target weights by Pareto order sampling.
 
-Each source gets a target in words. Whole copies that are certain are allocated first; the rest of the
-target is a sample without replacement in which documents are ranked by random odds divided by
-inclusion odds, U / (1 - U) over the odds that the document's size gives it, and taken in that order up
-to the words that are left. The cut is found by descending through histograms of the rank, level by
-level, so no source is ever sorted or held in one task.
+Each source gets a target in words. A document's expected copies grow with a power of its size (``tilt``), up
+to the most copies allowed, by the factor at which the expected words of the source are its target. Whole
+copies that are certain are allocated first: the whole part of each document's expected copies. What is left, a
+fraction below one, is its inclusion probability in a sample without replacement: documents are ranked
+by U / (1 - U), U a random number of their own, over the odds of that probability, and taken in this order up to
+the words that are left. The cut is found by descending through histograms of the rank, level by level, so
+no source is ever sorted or held in one task.
 """
 
 from __future__ import annotations
@@ -12,21 +14,41 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Written, words
+from .common import Written, column, packed, unpacked, words
 
 #: Weights of the sources by code point order, share of all sizes, and most copies.
 WEIGHTS, SHARE, MOST_COPIES = (3, 1, 2), 1.5, 2
 #: Bits of the rank that one histogram resolves, and levels; sources that may be broadcast.
 BITS, LEVELS, FEW_SOURCES = 14, 4, 50_000
+#: Steps of the scale of sizes to a doubling.
+STEPS = 16
 
 
-def rank(id_col: Column, size: Column, tilt: float, seed: int) -> Column:
-    """Position of a document in its source's order, as a whole number of BITS * LEVELS bits. The random
-    number comes from the id, so reruns and any partitioning agree. Inclusion odds are size ** tilt."""
-    u = (F.shiftrightunsigned(F.xxhash64(id_col, F.lit(seed)), 11).cast("double") + 0.5) / float(1 << 53)
-    q = u / (1 - u) / F.pow(F.greatest(size, F.lit(1)).cast("double"), F.lit(tilt))
+def step_of(size: Column) -> Column:
+    """A size on a scale of STEPS steps a doubling, so that a source has some hundred sizes at most."""
+    return F.round(F.log2(size.cast("double")) * STEPS).cast("int")
+
+
+def expected(size: Column, factor: Column, tilt: float, most: float = MOST_COPIES) -> Column:
+    """Copies that a document of at least one word is expected to have."""
+    return F.least(F.lit(float(most)), factor * F.pow(F.lit(2.0), step_of(size) * F.lit(tilt / STEPS)))
+
+
+def shares(size: Column, factor: Column, tilt: float) -> tuple[Column, Column]:
+    """(certain copies, inclusion probability of one more) of a document."""
+    e = F.when(size > 0, expected(size, factor, tilt)).otherwise(F.lit(0.0))
+    whole = F.floor(e + 1e-12)
+    return whole.cast("bigint"), F.greatest(F.lit(0.0), e - whole)
+
+
+def rank(draw: Column, share: Column) -> Column:
+    """Position in the source's order, as a whole number of BITS * LEVELS bits: random odds over inclusion odds.
+    Null without a share. The random number comes from what tells the row apart, so reruns and any
+    partitioning agree."""
+    u = (F.shiftrightunsigned(draw, 11).cast("double") + 0.5) / float(1 << 53)
+    q = u * (1 - share) / ((1 - u) * share)
     top = (1 << (BITS * LEVELS)) - 1
-    return F.least(F.lit(top), F.floor(q / (1 + q) * float(1 << (BITS * LEVELS))).cast("bigint"))
+    return F.when(share > 0, F.least(F.lit(top), F.floor(q / (1 + q) * float(1 << (BITS * LEVELS))).cast("bigint")))
 
 
 def targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, most: float = MOST_COPIES) -> DataFrame:
@@ -48,6 +70,21 @@ def targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float
     return rows.withColumn("stop", first["level"]).select("s", "source_size", F.when(F.col("stop").isNull(), F.col("cap")).otherwise(F.least("cap", F.col("stop") * F.col("w"))).alias("target"))
 
 
+def factors(sized: DataFrame, goal: DataFrame, tilt: float, most: float = MOST_COPIES) -> DataFrame:
+    """(g, factor): the factor by which the expected words of source g are its target. Documents whose
+    copies reach ``most`` are those above some step of size; the largest step at which the factor that the
+    others then need leaves all of them below ``most`` is the one. Infinite where all reach it."""
+    steps = sized.where("size > 0").groupBy("s", step_of(F.col("size")).alias("b")).agg(F.sum("size").alias("w"))
+    m = F.pow(F.lit(2.0), F.col("b") * F.lit(tilt / STEPS))
+    down = Window.partitionBy("g").orderBy(F.desc("b"))
+    met = steps.withColumn("m", m).join(goal.select(F.col("s").alias("g"), "target"), F.col("s").eqNullSafe(F.col("g")))
+    above = F.coalesce(F.sum("w").over(down.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    below = F.sum(F.col("w") * F.col("m")).over(down.rowsBetween(0, Window.unboundedFollowing))
+    met = met.withColumn("factor", (F.col("target") - float(most) * above) / below)
+    fits = F.max(F.when(F.col("factor") * F.col("m") <= float(most), F.struct("b", "factor")))["factor"]
+    return met.groupBy("g").agg(F.coalesce(fits, F.lit(float("inf"))).alias("factor"))
+
+
 def _cut(sized: DataFrame, rest: DataFrame) -> DataFrame:
     """(g, limit): documents of source g with rank below ``limit`` come nearest to its ``rest`` words.
     rest: (s, rest). Each level's histogram covers the bin of the last that the cut falls into."""
@@ -68,51 +105,59 @@ def _cut(sized: DataFrame, rest: DataFrame) -> DataFrame:
     return at.select("g", F.when(F.col("upto") - F.col("rest") <= F.col("rest") - F.col("under"), F.col("within") + 1).otherwise(F.col("within")).alias("limit"))
 
 
-def _number(id_col: str, text_col: str) -> Column:
-    """What a document's random number comes from: its id, or its text where the id is null."""
-    return F.coalesce(F.col(id_col).cast("bigint"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
+def _read(df: DataFrame, id_col: str, text_col: str, source_col: str, seed: int) -> dict[str, Column]:
+    text, ident = F.coalesce(column(text_col), F.lit("")), column(id_col).cast("bigint")
+    return {"id": ident, "s": column(source_col).cast("string"), "size": F.size(words(column(text_col))).cast("bigint"),
+            "draw": F.xxhash64(F.coalesce(ident, F.lit(0)), ident.isNull(), F.xxhash64(text), F.lit(seed))}
+
+
+def _near(rows: DataFrame, table: DataFrame, few: bool) -> DataFrame:
+    """Rows with what ``table`` holds for their source: sent to every task where its rows were counted
+    to be few, else by an exchange, in which a hot source can be split."""
+    return rows.join(F.broadcast(table) if few else table, F.col("s").eqNullSafe(F.col("of"))).drop("of")
+
+
+def _plan(sized: DataFrame, written: Written, tilt: float) -> tuple[DataFrame, bool]:
+    """(of, source_size, target, factor, limit) of each source, and whether these are few. sized: written rows
+    (s, size, draw)."""
+    goal = written.save(targets(sized))
+    few = goal.limit(FEW_SOURCES + 1).count() <= FEW_SOURCES
+    goal = written.save(goal.join(factors(sized, goal, tilt), F.col("s").eqNullSafe(F.col("g")), "left").select(F.col("s").alias("of"), "source_size", "target", F.coalesce("factor", F.lit(0.0)).alias("factor")))
+    whole, share = shares(F.col("size"), F.col("factor"), tilt)
+    drawn = written.save(_near(sized, goal.select("of", "factor"), few).select("s", "size", whole.alias("whole"), rank(F.col("draw"), share).alias("rank")))
+    certain = drawn.groupBy(F.col("s").alias("g")).agg(F.sum(F.col("whole") * F.col("size")).alias("certain"))
+    rest = goal.join(certain, F.col("of").eqNullSafe(F.col("g"))).select(F.col("of").alias("s"), (F.col("target") - F.col("certain")).alias("rest"))
+    cut = _cut(drawn.where("rank is not null"), rest)
+    return written.save(goal.join(cut, F.col("of").eqNullSafe(F.col("g")), "left").drop("g").withColumn("limit", F.coalesce("limit", F.lit(0)))), few
 
 
-def _mixed(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", tilt: float = 0.5, seed: int = 11) -> DataFrame:
-    """(id, s, size, rank, source_size, target, copies) of each document."""
-    size = F.size(words(F.col(text_col))).cast("bigint")
-    keyed = df.select(F.col(id_col).cast("bigint").alias("id"), F.col(source_col).cast("string").alias("s"), size.alias("size"), _number(id_col, text_col).alias("u"))
-    sized = written.save(keyed.select("id", "s", "size", rank(F.col("u"), F.col("size"), tilt, seed).alias("rank")))
-    goal = targets(sized)
-    goal = goal.withColumn("whole", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("bigint"))
-    goal = written.save(goal.withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size")))
-    cut = _cut(sized, goal.select("s", "rest"))
-    plan = written.save(goal.join(cut, goal["s"].eqNullSafe(cut["g"]), "left").select(goal["s"].alias("of"), "source_size", "target", "whole", F.coalesce("limit", F.lit(0)).alias("limit")))
-    few = plan.limit(FEW_SOURCES + 1).count() <= FEW_SOURCES
-    out = sized.join(F.broadcast(plan) if few else plan, F.col("s").eqNullSafe(F.col("of")))
-    copies = F.when(F.col("size") > 0, F.least(F.lit(MOST_COPIES), F.col("whole") + (F.col("rank") < F.col("limit")).cast("bigint"))).otherwise(0)
-    return out.select("id", "s", "size", "rank", "source_size", "target", copies.cast("bigint").alias("copies"))
+def _copies(tilt: float) -> Column:
+    whole, share = shares(F.col("size"), F.col("factor"), tilt)
+    return (whole + F.coalesce((rank(F.col("draw"), share) < F.col("limit")).cast("bigint"), F.lit(0))).cast("bigint")
 
 
 def mix(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", tilt: float = 0.5, seed: int = 11) -> DataFrame:
-    """One row per document: id, source, size, source_size, target (its source's), copies, taken.
+    """One row per document: id, source, size, source_size, target (its source's), expected (copies),
+    copies, taken.
 
     taken = copies * size, copies a whole number of at most 2. Null texts have size 0; a null source is
-    a source of its own, ordered last; rows that repeat id and size share their rank and so
-    their fate, where the id is null those that repeat the text; a
-    table without words takes nothing; an empty table gives an empty result. Other columns are not
-    read. The texts are read once; ranks and sizes are written to the shared folder.
+    a source of its own, ordered last; rows that repeat id (or its absence), text and source share
+    their rank and so their fate; a table without words takes nothing; an empty table gives an empty result.
+    Other columns are not read. The texts are read once; sizes are written to the shared folder.
     """
-    out = _mixed(df, written, id_col, text_col, source_col, tilt, seed)
-    return out.select(F.col("id").alias(id_col), F.col("s").alias(source_col), "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+    sized = written.save(df.select(*[v.alias(k) for k, v in _read(df, id_col, text_col, source_col, seed).items()]))
+    plan, few = _plan(sized, written, tilt)
+    out = _near(sized, plan, few).withColumn("copies", _copies(tilt))
+    e = F.when(F.col("size") > 0, expected(F.col("size"), F.col("factor"), tilt)).otherwise(F.lit(0.0))
+    return out.select(F.col("id").alias(id_col), F.col("s").alias(source_col), "size", "source_size", "target", e.alias("expected"), "copies", (F.col("copies") * F.col("size")).alias("taken"))
 
 
 def mixed_rows(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", tilt: float = 0.5, seed: int = 11) -> DataFrame:
-    """The documents that the mix takes, each as often as it takes it, with all their columns. Copies follow
-    from source, size and rank, which with the id tell rows apart; ids and sources may be null."""
-    key = lambda i: {"__id": F.coalesce(i, F.lit(0)), "__no": i.isNull()}
-    taken = _mixed(df, written, id_col, text_col, source_col, tilt, seed).where("copies > 0").withColumns(key(F.col("id")))
-    taken = taken.groupBy("__id", "__no", F.col("s").alias("__s"), F.col("size").alias("__size"), F.col("rank").alias("__rank")).agg(F.max("copies").cast("int").alias("__n"))
-    size = F.size(words(F.col(text_col))).cast("bigint")
-    rows = df.withColumns(key(F.col(id_col).cast("bigint")) | {"__s": F.col(source_col).cast("string"), "__size": size, "__rank": rank(_number(id_col, text_col), size, tilt, seed)})
-    rows = rows.where("__size > 0")
-    same = rows["__s"].eqNullSafe(taken["__s"])
-    for c in ("__id", "__no", "__size", "__rank"):
-        same = same & (rows[c] == taken[c])
-    joined = rows.join(taken, same).withColumn("__k", F.explode(F.sequence(F.lit(1), taken["__n"])))
-    return joined.select(*[rows[f"`{c}`"] for c in df.columns])
+    """The documents that the mix takes, each as often as it takes it, with all their columns, whatever their
+    names and types. How often follows from the row itself and its source's line of the plan, so the texts
+    are not exchanged. Nulls, repeats and empty tables as with ``mix``."""
+    read = _read(df, id_col, text_col, source_col, seed)
+    plan, few = _plan(written.save(df.select(*[read[k].alias(k) for k in ("s", "size", "draw")])), written, tilt)
+    rows = _near(packed(df, **{k: read[k] for k in ("s", "size", "draw")}), plan.select("of", "factor", "limit"), few)
+    taken = rows.withColumn("copies", _copies(tilt)).where("copies > 0").withColumn("k", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))))
+    return unpacked(taken, df)

@@ -1,4 +1,5 @@
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -260,25 +261,69 @@ def fill(sizes, weights, total):
         capped |= set(over)
 
 
-def test_mixing(spark, odd, none):
+def brute_mix(rows, tilt, seed=11):
+    """(expected copies, copies) of rows (id, source, size, target): the factor by halving, a full sort per source."""
+    out = {}
+    for s in {r[1] for r in rows}:
+        own = [r for r in rows if r[1] == s]
+        m = {i: 2.0 ** (round(math.log2(n) * mixing.STEPS) * tilt / mixing.STEPS) for i, _, n, _ in own if n}
+        target = own[0][3]
+        lo, hi = 0.0, 1e9
+        for _ in range(300):
+            mid = (lo + hi) / 2
+            lo, hi = (mid, hi) if sum(n * min(2.0, mid * m[i]) for i, _, n, _ in own if n) < target else (lo, mid)
+        e = {i: min(2.0, hi * m[i]) if n else 0.0 for i, _, n, _ in own}
+        out |= {i: [e[i], math.floor(e[i] + 1e-9)] for i in e}
+    return out
+
+
+@pytest.mark.parametrize("tilt", [0.5, 1.0])
+def test_mixing(spark, odd, none, tilt):
     docs = spark.read.parquet(f"{SF}/documents.parquet").withColumn("source", F.when(F.col("doc_id") % 11 != 0, F.col("source")))
-    got = rows(mixing.mix(docs, Written(spark, "t")))
+    got = rows(mixing.mix(docs, Written(spark, "t"), tilt=tilt))
     size = Counter()
     for r in rows(docs):
         size[r["source"]] += len(WORD.findall(r["text"] or ""))
     order = sorted(size, key=lambda s: (s is None, s or ""))
     want = fill(size, {s: (3, 1, 2)[i % 3] for i, s in enumerate(order)}, 1.5 * sum(size.values()))
     taken, most = Counter(), Counter()
+    brute = brute_mix([(r["doc_id"], r["source"], r["size"], r["target"]) for r in got], tilt)
     for r in got:
         assert r["source_size"] == size[r["source"]] and r["target"] == pytest.approx(want[r["source"]]) and r["taken"] <= 2 * r["size"]
+        assert r["expected"] == pytest.approx(brute[r["doc_id"]][0], abs=1e-6) and r["copies"] in (brute[r["doc_id"]][1], brute[r["doc_id"]][1] + 1, math.ceil(r["expected"] - 1e-6))
         taken[r["source"]] += r["taken"]
         most[r["source"]] = max(most[r["source"]], r["size"])
     assert all(abs(taken[s] - want[s]) <= most[s] for s in size)
+    if tilt == 1.0:
+        return
     assert sorted(map(str, got)) == sorted(map(str, rows(mixing.mix(docs.repartition(5), Written(spark, "t")))))
     assert mixing.mix(none, Written(spark, "t")).count() == 0 and mixing.mix(odd, Written(spark, "t")).count() == odd.count()
+    mixed = Counter(r["doc_id"] for r in mixing.mixed_rows(docs, Written(spark, "t")).collect())
+    assert mixed == Counter({r["doc_id"]: r["copies"] for r in got if r["copies"]})
     assert mixing.mixed_rows(odd, Written(spark, "t")).columns == odd.columns
 
 
+def test_mixing_draws_by_inclusion_probability(spark):
+    """Over many seeds a document is drawn about as often as its inclusion probability says, and the order is
+    that of random odds over inclusion odds."""
+    rng = random.Random(2)
+    docs = spark.createDataFrame([(i, rng.uniform(0.02, 0.98)) for i in range(300)], "id bigint, share double")
+    total = docs.agg(F.sum("share")).first()[0]
+    drawn, seeds = Counter(), 60
+    for seed in range(seeds):
+        got = docs.select("id", "share", F.xxhash64("id", F.lit(seed)).alias("h")).select("id", "share", "h", mixing.rank(F.col("h"), F.col("share")).alias("rank")).collect()
+        u = {r["id"]: ((r["h"] & (1 << 64) - 1) >> 11) / 2**53 for r in got}
+        by_odds = sorted(got, key=lambda r: u[r["id"]] / (1 - u[r["id"]]) / (r["share"] / (1 - r["share"])))
+        ranked = sorted(got, key=lambda r: r["rank"])
+        assert [r["id"] for r in by_odds] == [r["id"] for r in ranked]
+        drawn.update(r["id"] for r in ranked[: round(total)])
+    share = {r["id"]: r["share"] for r in docs.collect()}
+    assert np.mean([abs(drawn[i] / seeds - p) for i, p in share.items()]) < 0.06
+    for lo in (0.0, 0.25, 0.5, 0.75):
+        own = [i for i, p in share.items() if lo <= p < lo + 0.25]
+        assert abs(sum(drawn[i] for i in own) / seeds - sum(share[i] for i in own)) < 0.03 * len(own)
+
+
 PAGE = """<html><head><title>T</title><style>p{}</style><script>var t="</p>";</script></head><body><header><h1>Site</h1></header>
 <nav><ul><li><a href="/a">Menu</a></li></ul></nav><div class="cookie-notice">We use cookies</div><!-- <p>no</p> --><div id="sidebar"><p>Side</p></div>
 <article><header><h1>Head&amp;line</h1></header><p><b>First   long&nbsp;paragraph of the text that goes on and on for many words.<br><p>Second &eacute; &#x41; 1 &lt; 2 paragraph with some more words in it.</p>
