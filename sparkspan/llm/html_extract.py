@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import html as entities
 import re
+from collections import Counter
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -35,7 +36,7 @@ MARKS = frozenset(
 REPLIES = frozenset("comment comments commentlist respond replies reply discussion disqus".split())
 #: Words that make a header one of the text (article-header), not of the site.
 HEADED = frozenset("article post entry content story text title".split())
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][\w:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
+NAME, QUOTED, TAG_LIKE = re.compile(r"/?([a-zA-Z][\w:-]*)"), re.compile(r"[>\"']"), re.compile(r"<[a-zA-Z/!?]")
 ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|$)|display\s*:\s*none|aria-hidden\s*=\s*[\"']?true", re.I)
 #: Lines of one window, and the characters of a window at which the text surges.
@@ -56,6 +57,58 @@ def doubt(tag: str, attributes: str, inside: bool) -> int:
     return max(found, default=-1)
 
 
+class Markup:
+    """The tags of a page, one after another, each place of it read a bounded number of times. A quote within a
+    tag hides what it holds; once a quoted tag has met the page's end, quotes hide nothing more, so that no later
+    one looks that far again."""
+
+    def __init__(self, page: str):
+        self.page, self.quotes, self.endless = page, True, set()
+
+    def next(self, at: int) -> tuple[int, int, str, str, bool] | None:
+        """(start, end, name or nothing for comments and the like, attributes, whether it closes) of the first tag
+        at or behind ``at``; None if no more ends."""
+        page = self.page
+        while (start := page.find("<", at)) >= 0:
+            mark = page[start + 1 : start + 2]
+            if mark in ("!", "?") and mark:
+                closing = "-->" if page.startswith("<!--", start) else "]]>" if page.startswith("<![CDATA[", start) else ""
+                end = page.find(closing or ">", start + 4 if closing == "-->" else start)
+                if end >= 0 or closing:
+                    return start, end + len(closing or ">") if end >= 0 else len(page), "", "", False
+                at = start + 1
+                continue
+            if (name := NAME.match(page, start + 1)) is None:
+                at = start + 1
+                continue
+            if (end := self._end(name.end())) < 0:
+                return None
+            return start, end, name[1].lower(), page[name.end() : end - 1], mark == "/"
+        return None
+
+    def _end(self, at: int) -> int:
+        """Behind the > of a tag whose attributes begin at ``at``."""
+        page, place = self.page, at
+        while self.quotes:
+            m = QUOTED.search(page, place)
+            if m is not None and m[0] == ">":
+                return m.end()
+            place = page.find(m[0], m.end()) + 1 if m is not None else 0
+            if not place:
+                self.quotes = False
+        return page.find(">", at) + 1 or -1
+
+    def behind(self, tag: str, at: int) -> int:
+        """Behind the end tag of a raw element whose content begins at ``at``, -1 if none comes."""
+        if tag not in self.endless:
+            m = re.compile(rf"</{tag}\b", re.I).search(self.page, at)
+            end = self.page.find(">", m.end()) + 1 if m else 0
+            if end:
+                return end
+            self.endless.add(tag)
+        return -1
+
+
 class Page:
     """Lines of a page, one per block: pieces (text, innermost doubtful element, in a link, innermost
     holder) and the outermost holder, or -1. Holders are article and main elements."""
@@ -77,47 +130,54 @@ class Page:
                     self.rows.append((parts.copy(), outer))
                 parts.clear()
 
-        n = len(page)
+        def close(depth: int) -> None:
+            for x in stack[depth:]:
+                now_open[x[0]] -= 1
+            del stack[depth:]
+
+        n, markup, now_open = len(page), Markup(page), Counter()
         while at < n:
-            m = TOKEN.search(page, at)
-            if m is None:
+            found = markup.next(at)
+            if found is None:
                 rest = page[at:]
-                cut = re.search(r"<[a-zA-Z/!?]", rest)  # a tag that never ends
+                cut = TAG_LIKE.search(rest)  # a tag that never ends
                 if drop_from < 0:
                     parts.append((rest[: cut.start()] if cut else rest, mark, link, holder))
                 break
-            if m.start() > at and drop_from < 0:
-                parts.append((page[at : m.start()], mark, link, holder))
-            at = m.end()
-            tag, attributes = (m[2] or "").lower(), m[3] or ""
+            start, end, tag, attributes, closes = found
+            if start > at and drop_from < 0:
+                parts.append((page[at:start], mark, link, holder))
+            at = end
             if not tag:
                 continue
             if tag == "body" and drop_from >= 0 and stack[drop_from][0] == "head":
-                del stack[drop_from:]  # a head ends where the body begins
+                close(drop_from)  # a head ends where the body begins
                 drop_from = -1
             if tag in BLOCKS and drop_from < 0:
                 end_line()
-            if m[1]:
-                depth = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == tag), -1)
-                if depth >= 0:
+            if closes:
+                if now_open[tag]:
+                    depth = next(i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == tag)
                     _, outer, holder, mark, link = stack[depth]
-                    del stack[depth:]
+                    close(depth)
                     if drop_from >= depth:
                         drop_from = -1
                 continue
             if tag in RAW:
-                end = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at)
-                if end is None and tag in ("script", "style"):
+                end = markup.behind(tag, at)
+                if end < 0 and tag in ("script", "style"):
                     break
-                at = end.end() if end else at
+                at = end if end >= 0 else at
                 continue
             if tag in VOID or attributes.endswith("/") and tag not in BLOCKS:
                 continue
             if tag in ("p", "li", "dt", "dd", "tr", "td", "th", "option") and stack and stack[-1][0] == tag:
-                _, outer, holder, mark, link = stack.pop()  # these end where the next begins
+                _, outer, holder, mark, link = stack[-1]  # these end where the next begins
+                close(len(stack) - 1)
                 if drop_from >= len(stack):
                     drop_from = -1
             stack.append((tag, outer, holder, mark, link))
+            now_open[tag] += 1
             if drop_from >= 0 or tag in ("html", "body"):
                 continue
             if tag in DROPPED or tag not in HOLDERS and HIDDEN.search(attributes):

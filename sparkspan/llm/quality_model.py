@@ -15,6 +15,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import column
+
 #: Dimensions of the hashed space, and the bound on labelled rows that a fit uses.
 DIMS, MOST_ROWS = 1 << 11, 6000
 CHUNK = 1 << 20
@@ -71,6 +73,39 @@ def features(text: str) -> np.ndarray:
     return out
 
 
+def descend(loss, v: np.ndarray, steps: int, memory: int = 10, small: float = 1e-5) -> np.ndarray:
+    """Quasi-Newton descent with the curvature of the last ``memory`` steps and halving of a step that does
+    not go down. loss: v -> (value, slope)."""
+    value, slope = loss(v)
+    past: list[tuple[np.ndarray, np.ndarray, float]] = []
+    for _ in range(steps):
+        way, a = slope.copy(), []
+        for s, g, r in reversed(past):
+            a.append(r * float(s @ way))
+            way -= a[-1] * g
+        if past:
+            s, g, r = past[-1]
+            way /= r * float(g @ g)
+        for (s, g, r), k in zip(past, reversed(a), strict=True):
+            way += (k - r * float(g @ way)) * s
+        fall, size = float(slope @ way), 1.0 if past else min(1.0, 1 / max(1e-12, float(np.abs(slope).sum())))
+        for _ in range(30):
+            new = v - size * way
+            new_value, new_slope = loss(new)
+            if new_value <= value - 1e-4 * size * fall:
+                break
+            size /= 2
+        else:
+            return v
+        s, g = new - v, new_slope - slope
+        if (curve := float(s @ g)) > 1e-12:
+            past = [*past[1 - memory :], (s, g, 1 / curve)]
+        v, value, slope = new, new_value, new_slope
+        if np.abs(slope).max() < small:
+            break
+    return v
+
+
 class CumulativeLink:
     """Ordinal logistic regression with shared weights and increasing thresholds."""
 
@@ -78,30 +113,30 @@ class CumulativeLink:
         self.weights, self.thresholds, self.grades = weights, thresholds, grades
 
     @classmethod
-    def fit(cls, x: np.ndarray, y: np.ndarray, steps: int = 400, l2: float = 1e-3, rate: float = 0.05) -> CumulativeLink:
+    def fit(cls, x: np.ndarray, y: np.ndarray, steps: int = 100, l2: float = 1e-3) -> CumulativeLink:
         grades = sorted(set(y.tolist()))
         if len(grades) < 2:
             return cls(np.zeros(x.shape[1], np.float32), np.zeros(0), grades or [0])
         above = np.stack([y > g for g in grades[:-1]], 1).astype(np.float32)  # (rows, grades - 1)
         share = above.mean(0).clip(1e-3, 1 - 1e-3)
-        first = np.sort(-np.log(share / (1 - share)))
-        # Thresholds: the first, then logarithms of the (positive) steps between them.
-        raw = np.concatenate([first[:1], np.log(np.maximum(1e-2, np.diff(first)))]).astype(np.float32)
-        w = np.zeros(x.shape[1], np.float32)
-        moments = [np.zeros_like(w), np.zeros_like(w), np.zeros_like(raw), np.zeros_like(raw)]
-        for t in range(1, steps + 1):
-            steps_ = np.exp(raw[1:])
-            thresholds = raw[0] + np.concatenate([[0], np.cumsum(steps_)])
-            p = 1 / (1 + np.exp(-(x @ w)[:, None] + thresholds[None, :]))
-            err = (p - above) / len(x)
-            gw = x.T @ err.sum(1) + l2 * w
+        first, d = np.sort(-np.log(share / (1 - share))), x.shape[1]
+
+        def cuts(raw: np.ndarray) -> np.ndarray:
+            """Thresholds: the first, then the (positive) steps between them, given by their logarithms."""
+            return raw[0] + np.concatenate([[0], np.cumsum(np.exp(raw[1:]))])
+
+        def loss(v: np.ndarray) -> tuple[float, np.ndarray]:
+            w, raw = v[:d], v[d:]
+            m = (x @ w.astype(np.float32)).astype(float)[:, None] - cuts(raw)[None, :]
+            value = (np.logaddexp(0, m) - above * m).sum() / len(x) + l2 / 2 * float(w @ w)
+            err = (1 / (1 + np.exp(-np.clip(m, -50, 50))) - above) / len(x)
             gt = -err.sum(0)
-            graw = np.concatenate([[gt.sum()], [gt[k:].sum() * steps_[k - 1] for k in range(1, len(gt))]]).astype(np.float32)
-            for v, g, a, b in ((w, gw, 0, 1), (raw, graw, 2, 3)):
-                moments[a] = 0.9 * moments[a] + 0.1 * g
-                moments[b] = 0.99 * moments[b] + 0.01 * g * g
-                v -= rate * (moments[a] / (1 - 0.9**t)) / (np.sqrt(moments[b] / (1 - 0.99**t)) + 1e-8)
-        return cls(w, raw[0] + np.concatenate([[0], np.cumsum(np.exp(raw[1:]))]), grades)
+            raw_slope = np.concatenate([[gt.sum()], [gt[k:].sum() * np.exp(raw[k]) for k in range(1, len(gt))]])
+            return value, np.concatenate([x.T @ err.sum(1).astype(np.float32) + l2 * w, raw_slope])
+
+        v = np.concatenate([np.zeros(d), first[:1], np.log(np.maximum(1e-2, np.diff(first)))])
+        v = descend(loss, v, steps)
+        return cls(v[:d].astype(np.float32), cuts(v[d:]), grades)
 
     def tails(self, score: np.ndarray) -> np.ndarray:
         """P(grade > g) for each grade g but the last, per row; falls from left to right."""
@@ -112,9 +147,12 @@ class CumulativeLink:
 
 
 def training_rows(df: DataFrame, ratings: DataFrame, id_col: str, text_col: str, grade_col: str, most_rows: int) -> tuple[np.ndarray, np.ndarray]:
-    """Features and grades of at most ``most_rows`` rated rows, those with the least hash of the id."""
-    few = ratings.where(F.col(grade_col).isNotNull() & F.col(id_col).isNotNull()).select(F.col(id_col).alias("__id"), F.col(grade_col).cast("int").alias("__g")).orderBy(F.xxhash64("__id"), "__g").limit(most_rows)
-    joined = df.select(F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("__t")).join(F.broadcast(few), "__id").select("__g", "__t")
+    """Features and grades of at most ``most_rows`` rated rows, those with the least hash of the id. Of
+    documents that repeat an id, the text with the least hash is rated; of ratings, the least."""
+    rated = ratings.where(column(grade_col).isNotNull() & column(id_col).isNotNull()).groupBy(column(id_col).alias("id")).agg(F.min(column(grade_col).cast("int")).alias("g"))
+    few = rated.orderBy(F.xxhash64("id"), "id").limit(most_rows)
+    texts = df.select(column(id_col).alias("id"), F.coalesce(column(text_col), F.lit("")).alias("t")).join(F.broadcast(few), "id")
+    joined = texts.groupBy("id", "g").agg(F.min_by("t", F.struct(F.xxhash64("t"), "t")).alias("t")).select("g", "t")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -129,6 +167,9 @@ def training_rows(df: DataFrame, ratings: DataFrame, id_col: str, text_col: str,
 
 
 def fit(df: DataFrame, ratings: DataFrame, id_col: str = "doc_id", text_col: str = "text", grade_col: str = "grade", most_rows: int = MOST_ROWS) -> CumulativeLink:
+    """Learns from at most ``most_rows`` rated rows. Null ids and null grades are left out, a null text is rated
+    as the empty one; with no ratings, or all of one grade, the model knows that grade only (0 without any).
+    Other columns are not read."""
     return CumulativeLink.fit(*training_rows(df, ratings, id_col, text_col, grade_col, most_rows))
 
 
@@ -148,7 +189,7 @@ def classify(df: DataFrame, model: CumulativeLink, at_least: int, cut: float = 0
             tail = tails[:, k] if k is not None else np.full(len(score), 0.5)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(model.expected(tails)), pa.array(tail), pa.array(tail >= cut)], names=["i", "expected_grade", "tail", "kept"])
 
-    rows = df.select(F.col(id_col).cast("bigint").alias("i"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
+    rows = df.select(column(id_col).cast("bigint").alias("i"), F.coalesce(column(text_col), F.lit("")).alias("t"))
     return rows.mapInArrow(run, "i bigint, expected_grade double, tail double, kept boolean").withColumnRenamed("i", id_col)
 
 

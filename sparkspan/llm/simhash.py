@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Written, fold
+from .common import Written, column, fold, packed, row_hash, unpacked
 from .components import components
 
 WORDS, SEED = 4, 42
@@ -60,8 +60,8 @@ def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             fps = np.fromiter((fingerprint(t) for t in b.column(1).to_pylist()), np.uint64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64)), *b.columns[2:]], names=["id", "fp", "a", "b"][: b.num_columns])
 
-    text = F.col(text_col)
-    rows = df.select(F.col(id_col).cast("bigint").alias("id"), fold(text).alias("t"), *(_text_hash(text) if hashed else []))
+    text = column(text_col)
+    rows = df.select(column(id_col).cast("bigint").alias("id"), fold(text).alias("t"), *(_text_hash(text) if hashed else []))
     return rows.mapInArrow(run, "id bigint, fp bigint" + ", a bigint, b bigint" * hashed)
 
 
@@ -216,15 +216,16 @@ def near_duplicates(df: DataFrame, written: Written, id_col: str = "doc_id", tex
 
 
 def keep_one(df: DataFrame, written: Written, id_col: str = "doc_id", text_col: str = "text", k: int = 4) -> DataFrame:
-    """One row of each component with all its columns: that of the smallest id, null after all others.
-    Rows are told apart by id and text, so one id may stay with several texts that are not near copies;
-    of near copies that share the smallest id, the one with the least hash stays."""
-    key = ["__id", "__no", "__a", "__b"]
+    """One row of each component with all its columns, whatever their names and types: that of the smallest
+    id, null after all others. Rows are told apart by id and text, so one id may stay with several texts that
+    are not near copies; of near copies that share the smallest id, the text with the least hash stays, and of rows
+    that repeat id and text, the one with the least hash of the whole row. Null texts count as empty; an
+    empty table gives an empty result."""
+    key = ["id", "no", "a", "b"]
     fps = written.save(fingerprints(df, id_col, text_col, hashed=True))
     named = written.save(groups(fps, written, k).select("fp", "root", "component"))
     best = fps.join(named, "fp").where(F.col("id").eqNullSafe(F.col("component"))).groupBy("root").agg(F.min(F.struct("id", "a", "b")).alias("x"))
-    chosen = best.select(F.coalesce("x.id", F.lit(0)).alias("__id"), F.col("x.id").isNull().alias("__no"), F.col("x.a").alias("__a"), F.col("x.b").alias("__b"))
-    ident, (a, b) = F.col(id_col).cast("bigint"), _text_hash(F.col(text_col))
-    rows = df.withColumns({"__id": F.coalesce(ident, F.lit(0)), "__no": ident.isNull(), "__a": a, "__b": b}).join(chosen, key, "left_semi")
-    first = rows.groupBy(key).agg(F.min(F.struct(F.coalesce(F.col(text_col), F.lit("")).alias("t"), *[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(df.columns)])).alias("r"))
-    return first.select(*[F.col(f"r.c{i}").alias(c) for i, c in enumerate(df.columns)])
+    chosen = best.select(F.coalesce("x.id", F.lit(0)).alias("id"), F.col("x.id").isNull().alias("no"), "x.a", "x.b")
+    ident, (a, b) = column(id_col).cast("bigint"), _text_hash(column(text_col))
+    rows = packed(df, id=F.coalesce(ident, F.lit(0)), no=ident.isNull(), a=a, b=b, h=row_hash(df))
+    return unpacked(rows.join(chosen, key, "left_semi").groupBy(*key).agg(F.min_by("row", "h").alias("row")), df)
