@@ -1,11 +1,12 @@
 """Toxicity: a support vector machine on a gapped-subsequence string kernel with Nyström landmarks.
 
-k(u, z) sums, over the subsequences of P characters that a word u shares with a landmark z, decay to
-the number of characters skipped in both; skips are bounded by U_GAP and Z_GAP per step, so an insult
-with characters put in or left out still matches. Landmarks are word pieces that labelled sentences
-show to be telling. A document's value at a landmark is the largest over its words and over runs of
-single letters written apart; those values, whitened by the landmarks' own kernel matrix (Nyström), go
-to a linear machine whose margin a logistic curve turns into a score.
+k(u, v) sums, over the subsequences of P characters that two words share, decay to the number of
+characters skipped in both; at most GAP are skipped at a step, so an insult with characters put in or left out
+still matches. Documents are compared as sets of words: K(d, e) is the sum of k(u, v) ** POWER over all words u of
+d and v of e. A power of a kernel is one and so is the sum, and the power lets one close match outweigh
+many slight ones, however long the text. Landmarks are documents of one word piece, which labelled sentences
+show to be telling; K at the landmarks, whitened by their own kernel matrix, is the Nyström map of a
+document, on which a linear machine is trained. A logistic curve turns its margin into a score.
 """
 
 from __future__ import annotations
@@ -20,7 +21,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-P, PIECE, DECAY, U_GAP, Z_GAP = 4, 5, 0.5, 2, 1
+from .common import column, packed, unpacked
+
+P, PIECE, DECAY, GAP, POWER = 4, 5, 0.5, 2, 3
 #: Landmarks, bound on labelled rows that a fit uses, characters of a word looked at in one piece.
 LANDMARKS, MOST_ROWS, WIDTH = 48, 8000, 40
 CACHE = 1 << 19
@@ -54,11 +57,11 @@ def kernel(codes: np.ndarray, z: str) -> np.ndarray:
         new = {}
         for j in range(q, q + spare + 1):
             total = np.zeros((n, width), np.float32)
-            for back in range(1, Z_GAP + 2):
+            for back in range(1, GAP + 2):
                 src = state.get(j - back)
                 if src is None:
                     continue
-                for step in range(1, U_GAP + 2):
+                for step in range(1, GAP + 2):
                     total[:, step:] += src[:, :-step] * np.float32(DECAY ** (step - 1 + back - 1))
             new[j] = total * hit[j]
         state = new
@@ -73,6 +76,10 @@ def matrix(strings: list[str]) -> np.ndarray:
     return out
 
 
+#: k of a piece of unlike characters with itself.
+UNIT = float(kernel(matrix(["abcdefghij"[:PIECE]]), "abcdefghij"[:PIECE])[0])
+
+
 def letters(codes: np.ndarray) -> np.ndarray:
     """Set of the characters of each row, as bits of a hash."""
     bits = np.where(codes > 0, np.left_shift(np.uint64(1), (codes.astype(np.uint64) * np.uint64(7)) % np.uint64(64)), np.uint64(0))
@@ -94,7 +101,8 @@ class Model:
 
 
 class Embedder:
-    """Kernel values of documents at the landmarks, with a cache of the words that have any."""
+    """K of documents at the landmarks, with a cache of the words that have any. The unit of k is that of a
+    piece of unlike characters with itself."""
 
     def __init__(self, landmarks: list[str]):
         self.landmarks = landmarks
@@ -116,7 +124,7 @@ class Embedder:
                 if len(sel):
                     sub = codes[sel]
                     width = int((sub > 0).sum(1).max())
-                    values[sel, j] = kernel(sub[:, :width], z)
+                    values[sel, j] = (kernel(sub[:, :width], z) / UNIT) ** POWER
             some = values.any(1)
             for w, s, v in zip(part, some.tolist(), values, strict=True):
                 if s:
@@ -136,7 +144,7 @@ class Embedder:
         for k, u in enumerate(each):
             got = [self.rows[i] for i in map(self.known.__getitem__, u) if i >= 0]
             if got:
-                out[k] = np.max(got, axis=0)
+                out[k] = np.sum(got, axis=0)
         return out
 
 
@@ -223,17 +231,25 @@ def calibrate(margin: np.ndarray, y: np.ndarray, steps: int = 100) -> tuple[floa
     return max(a, 1e-3), b
 
 
+def landmark_matrix(landmarks: list[str]) -> np.ndarray:
+    """K among the landmarks."""
+    return (np.stack([kernel(matrix(landmarks), z) for z in landmarks], 1).astype(np.float64) / UNIT) ** POWER
+
+
 def held_out(id_col: str = "doc_id") -> Column:
-    return F.crc32(F.col(id_col).cast("string").cast("binary")) % 4 == 2
+    return F.crc32(column(id_col).cast("string").cast("binary")) % 4 == 2
 
 
 def fit(df: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", most_rows: int = MOST_ROWS, landmarks: int = LANDMARKS) -> Model:
     """Learns from at most ``most_rows`` labelled rows that are not held out, those with the least hash
-    of the id (toxic rows fill up to a third of them). Without rows of both labels every score is 0."""
-    rows = labels.where(F.col(label_col).isNotNull() & F.col(id_col).isNotNull() & ~held_out(id_col)).select(F.col(id_col).alias("__id"), F.col(label_col).cast("int").alias("y"))
-    pick = lambda y, n: rows.where(F.col("y") == y).orderBy(F.xxhash64("__id")).limit(n)
+    of the id (toxic rows fill up to a third of them). Null ids and labels are left out; of documents that repeat
+    an id the text with the least hash counts, of labels the largest; null texts count as empty. Without
+    rows of both labels every score is next to 0. Other columns are not read."""
+    rows = labels.where(column(label_col).isNotNull() & column(id_col).isNotNull() & ~held_out(id_col)).groupBy(column(id_col).alias("id")).agg(F.max(column(label_col).cast("int")).alias("y"))
+    pick = lambda y, n: rows.where(F.col("y") == y).orderBy(F.xxhash64("id"), "id").limit(n)
     few = pick(1, most_rows // 3).union(pick(0, most_rows - most_rows // 3))
-    sample = df.select(F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("t")).join(F.broadcast(few), "__id").select("y", "t").checkpoint()
+    texts = df.select(column(id_col).alias("id"), F.coalesce(column(text_col), F.lit("")).alias("t")).join(F.broadcast(few), "id")
+    sample = texts.groupBy("id", "y").agg(F.min_by("t", F.struct(F.xxhash64("t"), "t")).alias("t")).select("y", "t").checkpoint()
     chosen = choose_landmarks(sample, landmarks)
     if not chosen:
         return Model([], np.zeros((0, 0), np.float32), np.zeros(0), -1.0, 1.0, -10.0)
@@ -247,7 +263,7 @@ def fit(df: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str
     got = sample.mapInArrow(run, "y int, v binary").toArrow()
     y = np.array(got["y"].to_pylist(), bool)
     x = np.frombuffer(b"".join(got["v"].to_pylist()), np.float32).reshape(len(y), -1).astype(np.float64)
-    own = np.stack([kernel(matrix(chosen), z) for z in chosen], 1).astype(np.float64)
+    own = landmark_matrix(chosen)
     val, vec = np.linalg.eigh((own + own.T) / 2)
     good = val > 1e-6 * val.max()
     whiten = vec[:, good] / np.sqrt(val[good])
@@ -275,10 +291,11 @@ def score(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "
     Null and empty texts are scored as texts without a match; repeated rows come back as often; an
     empty table gives an empty result. Other columns are not read.
     """
-    rows = df.select(F.col(id_col), F.coalesce(held_out(id_col), F.lit(False)).alias("held_out"), scorer(model)(F.col(text_col)).alias("score"))
+    rows = df.select(column(id_col).alias(id_col), F.coalesce(held_out(id_col), F.lit(False)).alias("held_out"), scorer(model)(column(text_col)).alias("score"))
     return rows.withColumn("predicted", (F.col("score") >= cut).cast("int"))
 
 
 def drop_toxic(df: DataFrame, model: Model, text_col: str = "text", cut: float = 0.3) -> DataFrame:
-    """The rows scored below ``cut``, with all their columns."""
-    return df.withColumn("__toxic", scorer(model)(F.col(text_col))).where(F.col("__toxic") < cut).select(*df.columns)
+    """The rows scored below ``cut``, with all their columns, whatever their names and types. Null and empty
+    texts stay, repeated rows stay as often as they came; an empty table gives an empty result."""
+    return unpacked(packed(df, toxic=scorer(model)(column(text_col))).where(F.col("toxic") < cut), df)
