@@ -67,12 +67,6 @@ def test_quality_counts(odd, none):
     assert quality_rules.apply_rules(none).count() == 0
 
 
-def test_cascade_orders_by_rejection_per_cost():
-    a, b = quality_rules.Rule("a", None), quality_rules.Rule("b", None)
-    order = sorted([(a, 1.0, 0.1), (b, 0.1, 0.1)], key=lambda m: -(m[2] / m[1]))
-    assert [m[0].name for m in order] == ["b", "a"]
-
-
 def test_exact_dedup(odd, none):
     want = defaultdict(list)
     for r in rows(odd):

@@ -1,6 +1,6 @@
 import corpus_pipeline as pipeline
 
-from sparkspan.llm import exact_dedup, mixing, simhash, toxicity
+from sparkspan.llm import exact_dedup, mixing, simhash
 from sparkspan.llm.common import Written, table
 
 SF = "/root/testdata/sf0.001"
@@ -54,7 +54,3 @@ def test_rows_with_null_ids_and_ids_with_two_texts_stay(spark):
     rows = mixing.mixed_rows(near, Written(spark, "t"))
     assert mixed <= got and taken.count() == len(mixed) and any(i is None for i, _ in mixed)
     assert sum(r["copies"] for r in taken.collect()) == rows.count()
-
-
-def test_imports():
-    assert toxicity and exact_dedup and pipeline.ORACLE_SQL is None
