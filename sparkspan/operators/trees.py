@@ -74,9 +74,9 @@ def cycle_check(edges: DataFrame, pairs: DataFrame, work: Workspace) -> DataFram
 
 @F.pandas_udf(LongType())
 def tree_length(pid: pd.Series, x0: pd.Series, x1: pd.Series) -> int:
-    """Length of a group's tree in thousandths, as an aggregate; a group is held by one task."""
+    """Length of a group's tree, each edge rounded to thousandths, as an aggregate; a group is held by one task."""
     x = np.stack([x0.to_numpy(np.int64), x1.to_numpy(np.int64)], 1)
-    return int(np.round(sum(math.sqrt(e[3]) for e in kernels.prim(x, pid.to_numpy(np.int64))) * 1000))
+    return sum(math.floor(math.sqrt(e[3]) * 1000 + 0.5) for e in kernels.prim(x, pid.to_numpy(np.int64)))
 
 
 def bound_tightness(bounds: DataFrame, best: DataFrame) -> DataFrame:

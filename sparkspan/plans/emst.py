@@ -67,8 +67,7 @@ def emst(
     result, began = Result(None), time.perf_counter()
     star = None
     if k_pts == 1:
-        sites, star = collapse_duplicates(points)
-        points = work.save(sites)
+        points, star = collapse_duplicates(points, work)
     if frontier == "point":
         tile_rows = 1
     if index == "prefix" and prefix_shift is None:

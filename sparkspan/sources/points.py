@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sparkspan.functions.geometry import point_d2
+from sparkspan.session import Workspace
 
 #: Largest difference along an axis for which three squared differences fit 63 bits (checked where the
 #: ranges are known, in layout.with_codes), and largest coordinate that a double still holds exactly.
@@ -33,15 +34,21 @@ def validate_points(points: DataFrame, policy: str = "error") -> DataFrame:
     return points.where(F.when(bad, F.raise_error(F.lit("point with a null, infinite or too large coordinate"))).otherwise(F.lit(True)))
 
 
-def collapse_duplicates(points: DataFrame) -> tuple[DataFrame, DataFrame]:
+def collapse_duplicates(points: DataFrame, work: Workspace | None = None) -> tuple[DataFrame, DataFrame | None]:
     """(sites, star): one point per place, its smallest pid; and edges of length 0 from it to each copy.
     Exact under the total order of edges. Copies are summed before the exchange; a place that a third
-    of all points share is one row per task there, and the star is a join that can be split."""
+    of all points share is one row per task there, and the star is a join that can be split. With ``work`` both
+    are written, so that the source is not read again with the tree, and the star is None if no place
+    has copies: the source is then read once."""
     xs = axes(points)
     sites = points.groupBy(*xs).agg(F.min("pid").alias("pid"), F.count(F.lit(1)).alias("copies"))
+    if work:
+        sites = work.save(sites)
+        if not sites.where("copies > 1").limit(1).count():
+            return sites.select("pid", *xs), None
     many = sites.where("copies > 1").select(*xs, F.col("pid").alias("lo"))
     star = points.join(many, xs).where("pid > lo").select("lo", F.col("pid").alias("hi"))
-    return sites.select("pid", *xs), star
+    return sites.select("pid", *xs), work.save(star) if work else star
 
 
 def pair_d2(a: DataFrame, b: DataFrame, xs: list[str]) -> Column:

@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from sparkspan.session import Workspace
 
 DAY = "datediff({0}, date'1970-01-01')", "datediff('day', date '1970-01-01', cast({0} as date))"
 SECONDS = "unix_seconds(cast({0} as timestamp))", "cast(epoch_us({0}) // 1000000 as bigint)"
@@ -55,11 +58,28 @@ def _sets(e: int) -> dict[str, tuple[str, str, list[str], str]]:
 NAMES = list(_sets(0))
 
 
+def numbered(df: DataFrame, order: list[str], name: str, work: Workspace) -> DataFrame:
+    """Rows with their place (from 1) in the total order, without one task that sorts them all: ranges are
+    sorted side by side and written with the place within each; one row per range gives the offsets."""
+    at = F.monotonically_increasing_id()
+    ranged = df.repartitionByRange(*order).sortWithinPartitions(*order)
+    kept = work.save(ranged.select("*", F.shiftright(at, 33).alias("__range"), at.bitwiseAND(F.lit((1 << 33) - 1)).alias("__at")))
+    sizes = kept.groupBy("__range").count().orderBy("__range").collect()  # as many rows as the exchange had parts
+    before, rows = 0, []
+    for r in sizes:
+        rows.append((r["__range"], before))
+        before += r["count"]
+    offsets = df.sparkSession.createDataFrame(rows, "__range bigint, __before bigint")
+    return kept.join(F.broadcast(offsets), "__range").withColumn(name, F.col("__before") + F.col("__at") + 1).drop("__range", "__at", "__before")
+
+
 def points(spark: SparkSession, sf_dir: str, name: str, where: str = "") -> DataFrame:
     table, pid, coords, keep = _sets(0)[name]
     df = spark.read.parquet(f"{sf_dir}/{table}.parquet")
     if keep:
         df = df.where(keep)
+    if table == "lineitem":
+        df, pid = numbered(df.select(*LINE_ORDER.split(", ")), LINE_ORDER.split(", "), "pid", Workspace(spark, "numbered")), "pid"
     out = df.selectExpr(f"cast({pid} as bigint) as pid", *[f"cast({c} as bigint) as x{i}" for i, c in enumerate(coords)])
     return out.where(where) if where else out
 
@@ -72,6 +92,4 @@ def points_sql(name: str, where: str = "") -> str:
 
 def scale_sample(points_: DataFrame, n: int, seed: int = 0) -> DataFrame:
     """n points in the order of a hash of (seed, pid): samples of one seed nest and can be repeated."""
-    from pyspark.sql import functions as F
-
     return points_.orderBy(F.md5(F.concat(F.lit(f"{seed}-"), F.col("pid").cast("string"))), "pid").limit(n)

@@ -64,7 +64,7 @@ def trajectory_trees(points: DataFrame) -> DataFrame:
         for f in frames:
             pid, x, tree = grow(pid, x, tree, f["pid"].to_numpy(np.int64), f[["x0", "x1"]].to_numpy(np.int64))
         state.update((pid.tolist(), x.ravel().tolist(), tree.ravel().tolist()))
-        millis = int(np.round(np.sqrt(tree[:, 2].astype(float)) * 1000).sum())
+        millis = int(np.floor(np.sqrt(tree[:, 2].astype(float)) * 1000 + 0.5).sum())
         yield pd.DataFrame({"user_id": [key[0]], "points": [len(pid)], "edges": [len(tree)], "millis": [millis]})
 
     return points.groupBy("user_id").applyInPandasWithState(step, TRAJECTORY, STATE, "update", "NoTimeout")
