@@ -22,6 +22,7 @@ from sparkspan.session import Workspace
 
 from . import kernels
 from .layout import Grid, Layout
+from .radix import RadixTree, curve_bounds, outgoing
 
 LAST = np.iinfo(np.int64).max
 #: Tasks of the pass over blocks; a task takes more than one block after another beyond it.
@@ -39,39 +40,18 @@ class Contracted:
     comps: int
 
 
-def block_tree(pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts: np.ndarray, boxed: int, grid: Grid, first: int, last: int) -> tuple[np.ndarray, ...]:
-    """(a, b, w, d2, certain) of a block's tree, a and b as places. ``first`` and ``last`` bound the codes of
-    the block: points outside have no code between them."""
-    n, at = len(pid), starts[:-1]
-    lo, hi = np.minimum.reduceat(x[:, :boxed], at), np.maximum.reduceat(x[:, :boxed], at)
-    parts = [kernels.tile_tree(pid[s:e], x[s:e], core[s:e]) for s, e in zip(starts[:-1], starts[1:], strict=True)]
-    a, b = (np.concatenate([p[k] + s for p, s in zip(parts, at, strict=True)]) for k in (0, 1))
-    w, d2 = (np.concatenate([p[k] for p in parts]) for k in (2, 3))
-    # Neighbours on the curve across tiles, so that every component has an edge.
-    u = starts[1:-1] - 1
-    seam = sum((x[u, k] - x[u + 1, k]) ** 2 for k in range(x.shape[1]))
-    a, b, d2 = np.concatenate([a, u]), np.concatenate([b, u + 1]), np.concatenate([d2, seam])
-    w = np.concatenate([w, np.maximum(np.maximum(core[u], core[u + 1]), seam)])
-    elo, ehi = np.minimum(pid[a], pid[b]), np.maximum(pid[a], pid[b])
+def block_tree(pid: np.ndarray, x: np.ndarray, core: np.ndarray, grid: Grid, first: int, last: int) -> tuple[np.ndarray, ...]:
+    """(a, b, w, d2, certain) of a block's tree, a and b as places; the points come along the curve. ``first``
+    and ``last`` bound the codes of the block: points outside have no code between them."""
+    n, boxed = len(pid), min(3, x.shape[1])
+    tree = RadixTree(grid.codes(x), x[:, :boxed])
     by_pid = np.argsort(pid)
     place = lambda p: by_pid[np.searchsorted(pid[by_pid], p)]
     labels, safe, out = np.arange(n), np.ones(n, bool), []
-    far = kernels.FAR if x.dtype == np.int64 else np.inf
     while labels.any():
         s = int(labels.max()) + 1
-        la, lb = labels[a], labels[b]
-        live = la != lb
-        a, b, w, d2, elo, ehi, la, lb = (c[live] for c in (a, b, w, d2, elo, ehi, la, lb))
-        best = kernels.least_keys(*[np.concatenate(c) for c in ((la, lb), (w, w), (d2, d2), (elo, elo), (ehi, ehi), (lb, la))])
-        bound = np.full(s, far, x.dtype)
-        bound[best[0]] = best[1]
-        flat, found = kernels.uniform_labels(labels, starts), [best]
-        for t in range(len(at)):
-            e, _, _ = kernels.search_tile(t, pid, x, core, starts, lo, hi, labels, bound, flat)
-            if e is not None:
-                bound[e[0]] = np.minimum(bound[e[0]], e[1])
-                found.append(e)
-        comp, bw, bd, blo, bhi, to = kernels.least_keys(*[np.concatenate(c) for c in zip(*found, strict=True)])
+        bound = curve_bounds(pid, x, core, labels, s)
+        (comp, bw, bd, blo, bhi, to), _ = outgoing(tree, np.arange(n), pid, x, core, labels, bound, tree.node_labels(labels))
         # A component that once reached out of the block does so for good: its least edge only grows.
         sure = np.ones(s, bool)
         sure[labels[~safe]] = False
@@ -94,7 +74,7 @@ def block_tree(pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts: np.ndar
 def contract(layout: Layout, work: Workspace) -> Contracted:
     """One exchange of packed tiles by block; a task holds one block at a time, whose size the layout
     bounds. Tiles also get (first, last), the codes that bound their block."""
-    d, real, boxed, grid, ends = layout.d, layout.real, layout.boxed, layout.grid, layout.blocks
+    d, real, grid, ends = layout.d, layout.real, layout.grid, layout.blocks
     kind = np.float64 if real else np.int64
     names = layout.tiles.columns
 
@@ -104,7 +84,7 @@ def contract(layout: Layout, work: Workspace) -> Contracted:
         starts = np.concatenate([[0], np.cumsum(table["n"].to_numpy())]).astype(np.int64)
         block, codes = table["block"][0].as_py(), grid.codes(x)
         first, last = (-1 if block == ends[0] else int(codes.min())), (LAST if block == ends[1] else int(codes.max()))
-        a, b, w, d2, sure = block_tree(pid, x, core, starts, boxed, grid, first, last)
+        a, b, w, d2, sure = block_tree(pid, x, core, grid, first, last)
         root = kernels.components(len(pid), a[sure], b[sure])
         low = np.full(len(pid), LAST)
         np.minimum.at(low, root, pid)

@@ -1,9 +1,9 @@
 """Rounds over a layout that is small enough for every task to hold.
 
 Up to a checked number of points the sorted coordinates go to the executors once, and each round sends
-only the labels and the components' bounds. Each task then searches for its tiles without any exchange:
-boxes are pruned as arrays, nearest first, with radii that shrink as edges are found, point by point.
-Larger layouts go through the joins of ``search``; both give the same edges.
+only the labels and the components' bounds. Each task then searches without any exchange: for its tiles
+(``Held``), whose boxes are pruned as arrays, nearest first, or for its points (``HeldTree``), which walk
+the binary radix tree. Larger layouts go through the joins of ``search``; all give the same edges.
 """
 
 from __future__ import annotations
@@ -17,10 +17,13 @@ from pyspark.sql import DataFrame
 
 from . import kernels
 from .layout import Layout
+from .radix import RadixTree, curve_bounds, outgoing
 from .search import edge_batch, edge_ddl
 
-#: Points up to which a layout is held by every task (some 50 bytes each).
-HELD_POINTS = 4_000_000
+#: Points up to which a layout is held by every task (some 170 bytes each with the binary tree).
+HELD_POINTS = 1_000_000
+#: What a round counts: pairs of tiles met, distances between points, nodes seen, cut by label, cut by radius.
+COUNTS = ("tile_pairs", "distances", "visited", "cut_label", "cut_radius")
 
 
 class Held:
@@ -74,12 +77,19 @@ class Held:
             own = (pid[a:z], x[a:z], labels[a:z], core[a:z])
             if (labels[a:z] != labels[a]).any():
                 yield edge_batch(kernels.cross(own, own))
+                yield count_batch((0, int(z - a) ** 2, 0, 0, 0), x.dtype)
             if z < len(pid) and labels[z - 1] != labels[z]:
                 u, v = tuple(c[z - 1 : z] for c in (pid, x, labels, core)), tuple(c[z : z + 1] for c in (pid, x, labels, core))
                 yield edge_batch(kernels.cross(u, v))
                 yield edge_batch(kernels.cross(v, u))
 
-        return self._least(self._run(body))
+        return self._counted(self._run(body))
+
+    def _counted(self, out: pa.Table) -> tuple[np.ndarray, ...]:
+        """Best edges of a result; its counters are added to those of the round."""
+        count = out.filter(pc_.equal(out["comp"], -1))
+        self.counts += np.array([int(sum(count[c].to_pylist())) for c in ("w", "d2", "lo", "hi", "to")], np.int64)
+        return self._least(out.filter(pc_.greater_equal(out["comp"], 0)))
 
     def _open_bounds(self) -> tuple[np.ndarray, ...]:
         o = self.open
@@ -93,21 +103,17 @@ class Held:
         w, d2, lo, hi = (np.concatenate(c) for c in ((o["w"], w), (o["d2"], d2), (o["lo"], lo), (o["hi"], hi)))
         return kernels.least_keys(*[np.concatenate(c) for c in ((u, v), (w, w), (d2, d2), (lo, lo), (hi, hi), (v, u))])
 
-    def search(self, bound: np.ndarray, skip: bool) -> tuple[tuple[np.ndarray, ...], int, int]:
-        """Best edges into other tiles within ``bound`` (per component), and tile pairs and distances."""
-
+    def search(self, bound: np.ndarray, skip: bool) -> tuple[np.ndarray, ...]:
+        """Best edges into other tiles within ``bound`` (per component)."""
         block = self.block
 
         def body(t, pid, x, core, starts, lo, hi, labels, bound, flat):
-            e, pairs, dists = kernels.search_tile(t, pid, x, core, starts, lo, hi, labels, bound, flat, block)
+            e, counts = kernels.search_tile(t, pid, x, core, starts, lo, hi, labels, bound, flat, block)
             if e is not None:
                 yield edge_batch(e)
-            if pairs:  # counters travel as a row of no component
-                yield edge_batch(tuple(np.array([v], k) for v, k in zip((-1, pairs, dists, 0, 0, 0), (np.int64, x.dtype, x.dtype, np.int64, np.int64, np.int64), strict=True)))
+            yield count_batch(counts, x.dtype)
 
-        out = self._run(body, bound, kernels.uniform_labels(self.labels, self.starts) if skip else None)
-        count = out.filter(pc_.equal(out["comp"], -1))
-        return self._least(out.filter(pc_.greater_equal(out["comp"], 0))), int(sum(count["w"].to_pylist())), int(sum(count["d2"].to_pylist()))
+        return self._counted(self._run(body, bound, kernels.uniform_labels(self.labels, self.starts) if skip else None))
 
     @staticmethod
     def _least(t: pa.Table) -> tuple[np.ndarray, ...]:
@@ -117,13 +123,13 @@ class Held:
         """One Borůvka round: the new edges (lo, hi, d2, w), labels merged."""
         from .merge import merge_arrays
 
-        s = int(self.labels.max()) + 1
+        s, self.counts = int(self.labels.max()) + 1, np.zeros(5, np.int64)
         far = np.inf if self.layout.real else kernels.FAR
         bound = np.full(s, far, self.x.dtype)
         first = self.bounds()
         if curve:
             bound[first[0]] = first[1]
-        rest, pairs, dists = self.search(bound, skip)
+        rest = self.search(bound, skip)
         best = kernels.least_keys(*[np.concatenate(c) for c in zip(first, rest, strict=True)])
         old, new, doublings = merge_arrays(best[0], best[5])
         fresh = np.arange(s)
@@ -135,7 +141,74 @@ class Held:
             self.open = {c: v[live] for c, v in o.items()}
         order = np.lexsort((best[4], best[3]))
         keep = order[np.append(True, (best[3][order][1:] != best[3][order][:-1]) | (best[4][order][1:] != best[4][order][:-1]))]
-        return tuple(best[c][keep] for c in (3, 4, 2, 1)), {"comps": s, "tile_pairs": pairs, "distances": dists, "doublings": doublings}
+        return tuple(best[c][keep] for c in (3, 4, 2, 1)), {"comps": s, **dict(zip(COUNTS, self.counts.tolist(), strict=True)), "doublings": doublings}
+
+
+class HeldTree(Held):
+    """Points walk the binary radix tree, which is built once; a round sends the nodes' labels with those of the
+    points. With ``still`` a point does not enter nodes that lie wholly in its own block."""
+
+    def __init__(self, layout: Layout, still: DataFrame | None = None):
+        super().__init__(layout, still)
+        codes = layout.grid.codes(self.x)
+        if (codes[1:] < codes[:-1]).any():
+            raise ValueError("the layout does not follow the curve of the tree's codes")
+        self.tree = RadixTree(codes, self.x[:, : layout.boxed])
+        self.spans = None
+        if still is not None:
+            ends = np.append(np.flatnonzero(self.block[1:] != self.block[:-1]), len(self.block) - 1)
+            last = self.starts[ends + 1]
+            which = np.repeat(np.arange(len(ends)), np.diff(np.append(0, last)))
+            self.spans = np.append(0, last[:-1])[which], last[which] - 1
+        self._send()
+
+    def _send(self) -> None:
+        self.fixed.unpersist()
+        self.fixed = self.spark.sparkContext.broadcast((self.tree, self.pid, self.x, self.core, self.spans))
+
+    def set_cores(self, core: np.ndarray) -> None:
+        self.core = core
+        self._send()
+
+    def _run(self, body, *sent) -> pa.Table:
+        n, fixed, state = len(self.pid), self.fixed, self.spark.sparkContext.broadcast((self.labels, *sent))
+        parts = max(1, min(n // 256, 4 * self.spark.sparkContext.defaultParallelism))
+
+        def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                for k in b.column(0).to_pylist():
+                    yield from body(np.arange(n * k // parts, n * (k + 1) // parts), *fixed.value, *state.value)
+
+        out = self.spark.range(0, parts, 1, parts).mapInArrow(run, edge_ddl(self.layout)).toArrow()
+        state.unpersist()
+        return out
+
+    def bounds(self) -> tuple[np.ndarray, ...]:
+        """The open edges of contracted blocks, none else: curve neighbours give bounds, not edges."""
+        if self.open is not None:
+            return self._open_bounds()
+        kind = self.x.dtype
+        return tuple(np.zeros(0, t) for t in (np.int64, kind, kind, np.int64, np.int64, np.int64))
+
+    def search(self, bound: np.ndarray, skip: bool) -> tuple[np.ndarray, ...]:
+        if self.curve:
+            bound = np.minimum(bound, curve_bounds(self.pid, self.x, self.core, self.labels, len(bound)))
+
+        def body(ask, tree, pid, x, core, spans, labels, bound, node_label):
+            e, c = outgoing(tree, ask, pid, x, core, labels, bound, node_label, spans)
+            yield edge_batch(e)
+            yield count_batch((0, c[3], c[0], c[1], c[2]), x.dtype)
+
+        return self._counted(self._run(body, bound, self.tree.node_labels(self.labels) if skip else None))
+
+    def round(self, skip: bool, curve: bool) -> tuple[tuple[np.ndarray, ...], dict]:
+        self.curve = curve
+        return super().round(skip, curve)
+
+
+def count_batch(counts: tuple[int, ...], kind) -> pa.RecordBatch:
+    """Counters travel as a row of no component."""
+    return edge_batch(tuple(np.array([v], k) for v, k in zip((-1, *counts), (np.int64, kind, kind, np.int64, np.int64, np.int64), strict=True)))
 
 
 def as_edges(spark, parts: list[tuple[np.ndarray, ...]]) -> DataFrame:

@@ -4,8 +4,6 @@ depend neither on tile order nor on how points are dealt to tiles."""
 
 from __future__ import annotations
 
-from functools import lru_cache
-
 import numpy as np
 
 FAR = np.iinfo(np.int64).max
@@ -64,11 +62,11 @@ def cross(a: tuple, b: tuple, chunk: int = 1 << 21) -> tuple[np.ndarray, ...]:
     return least_keys(*[np.concatenate(c) for c in zip(*found, strict=True)])
 
 
-def search_tile(t: int, pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts: np.ndarray, lo: np.ndarray, hi: np.ndarray, labels: np.ndarray, bound: np.ndarray, flat: np.ndarray | None = None, block: np.ndarray | None = None) -> tuple[tuple | None, int, int]:
-    """Best edges of tile ``t`` into other tiles within ``bound`` (per component), tile pairs met and
-    distances. Boxes are pruned as arrays, nearest first, with radii that shrink as edges are found, point
+def search_tile(t: int, pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts: np.ndarray, lo: np.ndarray, hi: np.ndarray, labels: np.ndarray, bound: np.ndarray, flat: np.ndarray | None = None, block: np.ndarray | None = None) -> tuple[tuple | None, tuple[int, ...]]:
+    """Best edges of tile ``t`` into other tiles within ``bound`` (per component), and counts. Boxes are pruned as arrays, nearest first, with radii that shrink as edges are found, point
     by point. flat: a tile's label where it is uniform, else -1; such subtrees are skipped. block: tiles of
-    the own block are left out."""
+    the own block are left out. The counts are (tile pairs, distances between points, boxes seen, boxes cut by
+    label, boxes cut by radius)."""
     a, z = int(starts[t]), int(starts[t + 1])
     p, px, pc, pk = pid[a:z], x[a:z], labels[a:z], core[a:z]
     names, idx = np.unique(pc, return_inverse=True)
@@ -77,9 +75,13 @@ def search_tile(t: int, pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts
     g = np.maximum(np.maximum(lo - hi[t], lo[t] - hi), 0)
     gap = sum(g[:, k] * g[:, k] for k in range(boxed))
     near = np.flatnonzero(gap <= ub.max())
+    far_off = len(gap) - len(near)
     near = near[near != t] if block is None else near[block[near] != block[t]]
+    alike = 0
     if flat is not None and flat[t] >= 0:
+        some = len(near)
         near = near[flat[near] != flat[t]]
+        alike = some - len(near)
     near = near[np.argsort(gap[near], kind="stable")]
     pairs, dists, found = 0, 0, []
     for r in near.tolist():
@@ -112,7 +114,7 @@ def search_tile(t: int, pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts
                 e = tuple(c[good] for c in e)
                 ub[at[good]] = e[1]
                 found.append(e)
-    return least_keys(*[np.concatenate(c) for c in zip(*found, strict=True)]) if found else None, pairs, dists
+    return least_keys(*[np.concatenate(c) for c in zip(*found, strict=True)]) if found else None, (pairs, dists, len(gap), alike, far_off)
 
 
 def uniform_labels(labels: np.ndarray, starts: np.ndarray) -> np.ndarray:
@@ -133,37 +135,6 @@ def components(n: int, u: np.ndarray, v: np.ndarray) -> np.ndarray:
             label = label[label]
 
 
-@lru_cache(8)
-def _corner(m: int) -> tuple[np.ndarray, np.ndarray]:
-    return np.triu_indices(m, 1)
-
-
-def tile_tree(pid: np.ndarray, x: np.ndarray, core: np.ndarray) -> tuple[np.ndarray, ...]:
-    """Tree of one tile's points, (a, b, w, d2) with a and b as places. All pairs are ranked once by the
-    full key, so that rounds compare whole numbers without ties."""
-    m, order = len(pid), np.argsort(pid)
-    i, j = _corner(m)
-    d2 = pair_d2(x[order], x[order])[i, j]
-    if core.any():
-        k = core[order]
-        w = np.maximum(np.maximum(k[i], k[j]), d2)
-        ranked = np.lexsort((d2, w))
-    else:
-        w, ranked = d2, np.argsort(d2, kind="stable")
-    none = len(i)
-    rank = np.full((m, m), none, np.int32)
-    rank[i[ranked], j[ranked]] = rank[j[ranked], i[ranked]] = np.arange(none, dtype=np.int32)
-    label, taken = np.arange(m), []
-    while m > 1 and label.any():
-        low = np.full(m, none, np.int32)
-        np.minimum.at(low, label, np.where(label[:, None] == label[None, :], none, rank).min(1))
-        e = ranked[np.unique(low[low < none])]
-        taken.append(e)
-        label = components(m, label[i[e]], label[j[e]])[label]
-    e = np.concatenate(taken) if taken else np.zeros(0, np.int64)
-    return order[i[e]], order[j[e]], w[e], d2[e]
-
-
 def nearest(a: tuple, b: tuple, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(pid, d2, neighbour): the k nearest points of ``b`` for each point of ``a``, a point itself and
     all ties at the k-th distance included."""

@@ -23,6 +23,7 @@ from sparkspan.sources.points import RANGE, axes
 #: Points below which blocks are not made smaller for the sake of more tasks.
 LEAST_BLOCK = 16_384
 FAN = 4  # bits of a tile number that one level drops
+INDEXES = ("rank", "prefix", "radix")
 
 
 @dataclass
@@ -82,6 +83,15 @@ class Grid:
         return morton_array(cols)
 
 
+def grid_of(x: np.ndarray) -> Grid:
+    """The grid of points that one task holds."""
+    real = x.dtype != np.int64
+    g = np.floor(x[:, :3] * float(1 << 20)).astype(np.int64) if real else x[:, :3]
+    low, high = (g.min(0).tolist(), g.max(0).tolist()) if len(g) else ([0] * g.shape[1], [0] * g.shape[1])
+    shift = max(0, max(h - a for a, h in zip(low, high, strict=True)).bit_length() - AXIS_BITS[len(low)])
+    return Grid(low, [(h - a) >> shift for a, h in zip(low, high, strict=True)], shift, real, len(x))
+
+
 def grid(points: DataFrame, bits: int = 63) -> Grid:
     """One aggregation finds the range of the axes and the number of points."""
     xs = axes(points)[:3]
@@ -110,8 +120,10 @@ def with_codes(points: DataFrame, bits: int = 63, at: Grid | None = None) -> Dat
 
 
 def build(points: DataFrame, work: Workspace, tile_rows: int = 512, block_rows: int = 1 << 20, index: str = "rank", bits: int = 63, prefix_shift: int = 0) -> Layout:
-    """Sorts along the curve and packs tiles. ``radix`` orders as ``rank`` does (its binary tree over
-    neighbouring codes is ``radix_tree``)."""
+    """Sorts along the curve and packs tiles. ``radix`` packs as ``rank`` does; its binary tree, over the points
+    themselves, is built where the layout is held (``radix.RadixTree``)."""
+    if index not in INDEXES:
+        raise ValueError(f"unknown index {index!r}, one of {', '.join(INDEXES)}")
     xs = axes(points)
     d, boxed, real = len(xs), min(3, len(xs)), dict(points.dtypes)[axes(points)[0]] in ("double", "float")
     at = grid(points, bits)
@@ -220,22 +232,3 @@ def _pids(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t, p in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
             pid = np.frombuffer(p, np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(pid), t)), pa.array(pid)], names=["tile", "pid"])
-
-
-def radix_tree(codes: np.ndarray) -> list[tuple[int, int, int]]:
-    """Binary tree over sorted codes: (first, last, split) of each of the n - 1 internal nodes. A node
-    splits where its neighbours differ in the highest bit; among equal codes, by rank bits."""
-    n, out = len(codes), []
-
-    def differ(i: int) -> int:
-        x = int(codes[i]) ^ int(codes[i + 1])
-        return x.bit_length() + 64 if x else (i ^ (i + 1)).bit_length()
-
-    gap = np.array([differ(i) for i in range(n - 1)])
-    stack = [(0, n - 1)] if n > 1 else []
-    while stack:
-        a, b = stack.pop()
-        s = a + int(gap[a:b].argmax())
-        out.append((a, b, s))
-        stack += [r for r in ((a, s), (s + 1, b)) if r[0] < r[1]]
-    return out

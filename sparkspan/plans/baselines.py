@@ -13,7 +13,8 @@ from pyspark.sql import functions as F
 
 from sparkspan.functions.geometry import box_gap_d2
 from sparkspan.operators import kernels
-from sparkspan.operators.layout import with_codes
+from sparkspan.operators.layout import grid_of, with_codes
+from sparkspan.operators.radix import single_tree
 from sparkspan.plans import graphs
 from sparkspan.plans.emst import Result, emst
 from sparkspan.session import Workspace
@@ -54,11 +55,20 @@ def prim_kernel(pid: np.ndarray, x: np.ndarray) -> list[tuple]:
     return kernels.prim(x, pid)
 
 
-def emst_local(points: DataFrame, group: str | None = None) -> DataFrame:
-    """The sequential form: one task, or one task per group."""
+def single_tree_kernel(pid: np.ndarray, x: np.ndarray) -> list[tuple]:
+    return single_tree(pid, x, grid_of(x).codes(x))[0] if len(pid) else []
+
+
+def emst_prim(points: DataFrame, group: str | None = None) -> DataFrame:
+    """Prim over the implicit complete graph, a row of distances at a time: one task, or one per group."""
     return per_group(points, prim_kernel, group)
 
 
+def emst_local(points: DataFrame, group: str | None = None) -> DataFrame:
+    """The reference method in one thread: one task, or one task per group, each with a binary tree of its own."""
+    return per_group(points, single_tree_kernel, group)
+
+
 class KdTree:
     """Median-split tree over points, which answers: nearest point that has not joined."""
 

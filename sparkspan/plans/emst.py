@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from sparkspan.operators import contract as con
 from sparkspan.operators import layout as lay
 from sparkspan.operators import search
-from sparkspan.operators.held import HELD_POINTS, Held, as_edges, cores
+from sparkspan.operators.held import HELD_POINTS, Held, HeldTree, as_edges, cores
 from sparkspan.operators.merge import merge_arrays, pointer_doubling
 from sparkspan.session import Workspace, shuffled_bytes
 from sparkspan.sources.points import axes, collapse_duplicates
@@ -45,7 +45,7 @@ def core_distances(layout: lay.Layout, k_pts: int) -> DataFrame:
 
 
 def emst(
-    points: DataFrame, k_pts: int = 1, skip_subtrees: bool = True, curve_bounds: bool = True, index: str = "rank", curve_bits: int = 63, frontier: str = "tile",
+    points: DataFrame, k_pts: int = 1, skip_subtrees: bool = True, curve_bounds: bool = True, index: str | None = None, curve_bits: int = 63, frontier: str = "tile",
     tile_rows: int = 512, block_rows: int = 1 << 20, prefix_shift: int | None = None, measure: bool = False, driver_components: int = DRIVER_COMPONENTS, held_points: int = HELD_POINTS, contract: bool | None = None, tighten: bool = False,
 ) -> Result:
     """n - 1 tree edges under the order (w, d2, lo, hi), w = d2 for Euclid (k_pts = 1) and the largest of
@@ -55,12 +55,16 @@ def emst(
     single-tree search) or ``dual`` (query nodes descend too, with bounds of whole subtrees). Empty and
     single-point inputs give no edge. Copies of a place are tied to its smallest pid first.
     With frontier ``tile`` and at most ``held_points`` points every task holds the layout and rounds need
-    no exchange; 0 forces the joins. ``contract`` settles each block by itself first, so that the rounds
+    no exchange; 0 forces the joins. index: ``radix`` (a held layout only: points walk the binary tree over the
+    codes), ``rank`` (tiles of equal count) or ``prefix`` (tiles are cells of the code, by joins); by default radix where it
+    can be, else rank. ``contract`` settles each block by itself first, so that the rounds
     meet only what crosses blocks; by default for larger sets with all else at its default, since it
     leaves nothing to ablate or count within blocks. ``tighten`` lowers component bounds at every level of
     a descent by joins (Euclid, up to three axes).
     """
     spark = points.sparkSession
+    if index == "radix" and (frontier != "tile" or curve_bits > 63):
+        raise ValueError("the binary tree is walked by points of a held layout, over codes of 63 bits")
     if tighten and (k_pts > 1 or frontier == "dual" or len(axes(points)) > 3):
         raise ValueError("bounds tighten by levels for Euclid, query tiles and up to three axes only")
     work = Workspace(spark, "emst")
@@ -75,14 +79,17 @@ def emst(
         d = min(3, len(axes(points)))
         total = {1: 62, 2: 62, 3: 63}[d]
         prefix_shift = max(0, total - d * max(1, math.ceil(math.log2(max(2, points.count() / tile_rows)) / d)))
-    layout = lay.build(points, work, tile_rows, block_rows, index, curve_bits, prefix_shift or 0)
+    layout = lay.build(points, work, tile_rows, block_rows, index or "rank", curve_bits, prefix_shift or 0)
     result.phases["tree"] = time.perf_counter() - began
     if contract is None:
-        contract = layout.n >= CONTRACT_FROM and frontier == "tile" and index != "prefix" and skip_subtrees and curve_bounds and not measure
-    elif contract and (frontier != "tile" or index == "prefix"):
-        raise ValueError("blocks are contracted under the tile frontier and tiles of equal count only")
-    hold = frontier == "tile" and 1 < layout.n <= held_points
-    held = Held(layout) if hold and not contract else None
+        contract = layout.n >= CONTRACT_FROM and frontier == "tile" and index != "prefix" and skip_subtrees and curve_bounds and not measure and layout.d <= 3
+    elif contract and (frontier != "tile" or index == "prefix" or layout.d > 3):
+        raise ValueError("blocks are contracted under the tile frontier, tiles of equal count and up to three axes only")
+    hold = frontier == "tile" and 1 < layout.n <= held_points and index != "prefix"
+    if index == "radix" and not hold and layout.n > 1:
+        raise ValueError("the binary tree needs a layout that every task can hold")
+    kind = HeldTree if index == "radix" or index is None and layout.d <= 3 and curve_bits <= 63 else Held
+    held = kind(layout) if hold and not contract else None
     if k_pts > 1:
         t = time.perf_counter()
         core = core_distances(layout, k_pts)
@@ -97,7 +104,7 @@ def emst(
         whole = con.contract(layout, work)
         layout, still, comps, edges = whole.layout, whole.open, whole.comps, [whole.done]
         result.phases["blocks"] = time.perf_counter() - t
-        held = Held(layout, still) if hold and comps > 1 else None
+        held = kind(layout, still) if hold and comps > 1 else None
     if held:
         return _held_rounds(held, result, star, skip_subtrees, curve_bounds, edges)
     t = time.perf_counter()

@@ -79,6 +79,9 @@ SUPPLIER_SQL = S["emst_supplier2d"]
 for m in ("boruvka", "kruskal", "prim"):
     add(f"{m}_complete_supplier", lambda spark, sf, m=m: finished(baselines.emst_complete(P(spark, sf, "supplier2d"), m)), SUPPLIER_SQL)
 add("prim_tree_road2d", lambda spark, sf: finished(baselines.emst_prim_tree(P(spark, sf, ROAD))), ROAD_SQL)
+add("prim_road2d", lambda spark, sf: finished(baselines.emst_prim(P(spark, sf, ROAD))), ROAD_SQL)
+add("emst_radix_road2d", tree(ROAD, index="radix"), ROAD_SQL)
+add("emst_rank_road2d", tree(ROAD, index="rank"), ROAD_SQL)
 add("sequential_road2d", lambda spark, sf: finished(baselines.emst_local(P(spark, sf, ROAD))), ROAD_SQL)
 add("delaunay_road2d", lambda spark, sf: finished(baselines.emst_delaunay2d(P(spark, sf, ROAD))), ROAD_SQL)
 for m in ("eager", "lazy"):
@@ -370,7 +373,7 @@ add("edges_per_workload_cube", lambda spark, sf: _cube(spark, sf),
 def _cube(spark: SparkSession, sf: str) -> DataFrame:
     out = None
     for workload, name in (("customer", ROAD), ("supplier", "supplier2d")):
-        for method, e in (("reference", tree(name)(spark, sf)), ("prim", baselines.emst_local(P(spark, sf, name)))):
+        for method, e in (("reference", tree(name)(spark, sf)), ("prim", baselines.emst_prim(P(spark, sf, name)))):
             rows = e.select(F.lit(workload).alias("workload"), F.lit(method).alias("method"), "lo")
             out = rows if out is None else out.union(rows)
     return out.cube("workload", "method").agg(F.count("lo").alias("edges"))

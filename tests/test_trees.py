@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from sparkspan.functions.geometry import morton, morton_wide
-from sparkspan.operators import contract, kernels, layout, search, trees
+from sparkspan.operators import contract, kernels, layout, radix, search, trees
 from sparkspan.operators.merge import merge_arrays, pointer_doubling
 from sparkspan.plans import baselines, graphs
 from sparkspan.plans.emst import core_distances, emst
@@ -50,7 +50,7 @@ def got(edges):
 
 LATTICE = [(5 * i + j, i, j) for i in range(5) for j in range(5)]
 RANDOM = [(i, *p) for i, p in enumerate(np.random.default_rng(3).integers(0, 12, (70, 2)).tolist())]
-OPTIONS = [{}, {"held_points": 0}, {"held_points": 0, "frontier": "dual"}, {"held_points": 0, "index": "prefix"}, {"skip_subtrees": False, "curve_bounds": False}, {"held_points": 0, "driver_components": 0},
+OPTIONS = [{}, {"index": "rank"}, {"index": "rank", "contract": True}, {"held_points": 0}, {"held_points": 0, "frontier": "dual"}, {"held_points": 0, "index": "prefix"}, {"skip_subtrees": False, "curve_bounds": False}, {"held_points": 0, "driver_components": 0},
     {"contract": True}, {"contract": True, "held_points": 0}, {"contract": True, "held_points": 0, "driver_components": 0}, {"contract": True, "curve_bits": 126}, {"held_points": 0, "tighten": True}]
 
 
@@ -89,7 +89,7 @@ def test_block_trees_and_what_is_certain():
         for s, e in zip(cuts, cuts[1:]):
             codes = grid.codes(x[s:e])
             ends = -1 if s == 0 else int(codes.min()), contract.LAST if e == n else int(codes.max())
-            a, b, _, _, sure = contract.block_tree(pid[s:e], x[s:e], core[s:e], np.append(np.arange(0, e - s, 7), e - s), d, grid, *ends)
+            a, b, _, _, sure = contract.block_tree(pid[s:e], x[s:e], core[s:e], grid, *ends)
             found = [tuple(sorted((int(pid[s + i]), int(pid[s + j])))) for i, j in zip(a, b)]
             assert sorted(found) == sorted(t[:2] for t in kernels.prim(x[s:e], pid[s:e], core[s:e]))
             assert {f for f, c in zip(found, sure) if c} <= whole
@@ -138,7 +138,7 @@ def test_core_distances(spark):
 def test_baselines_agree(spark):
     p, want = table(spark, RANDOM), brute(RANDOM)
     assert all(got(baselines.emst_complete(p, m)) == want for m in ("boruvka", "kruskal", "prim"))
-    assert got(baselines.emst_prim_tree(p)) == got(baselines.emst_local(p)) == got(baselines.emst_delaunay2d(p)) == want
+    assert got(baselines.emst_prim_tree(p)) == got(baselines.emst_local(p)) == got(baselines.emst_prim(p)) == got(baselines.emst_delaunay2d(p)) == want
 
 
 @pytest.mark.parametrize("mode", ["eager", "lazy"])
@@ -162,10 +162,87 @@ def test_labels_of_nodes(spark):
     assert all(leaf.values()) and root["lab_min"] != root["lab_max"] and root["n"] == 8
 
 
-def test_radix_tree_size():
-    codes = np.sort(np.random.default_rng(1).integers(0, 50, 40))
-    t = layout.radix_tree(codes)
-    assert len(t) == 39 and all(a <= s < b for a, b, s in t)
+def test_radix_tree_and_search():
+    rng = np.random.default_rng(1)
+    for _ in range(40):
+        n, d, k = int(rng.integers(1, 90)), int(rng.integers(1, 4)), int(rng.choice([1, 3]))
+        x, pid = rng.integers(0, int(rng.choice([3, 8, 1000])), (n, d)), rng.permutation(n)
+        codes = layout.grid_of(x).codes(x)
+        order = np.lexsort((pid, codes))
+        t = radix.RadixTree(codes[order], x[order])
+        inner = np.concatenate(t.levels) if t.levels else np.zeros(0, int)
+        assert len(t.lo) == 2 * n - 1 and sorted(inner) == list(range(n - 1))  # n - 1 inner nodes and n leaves
+        if n > 1:
+            assert sorted([t.root, *t.left, *t.right]) == list(range(2 * n - 1)) and (t.first[t.root], t.last[t.root]) == (0, n - 1)
+            assert all(t.last[a] + 1 == t.first[b] for a, b in zip(t.left, t.right))
+            bits = lambda i: f"{codes[order][i]:064b}{i:064b}"
+            for i in inner:  # a node splits where the codes of what it spans first differ
+                own = [bits(j) for j in range(t.first[i], t.last[i] + 1)]
+                at = next(p for p in range(128) if len({o[p] for o in own}) > 1)
+                assert [o[at] for o in own] == ["0"] * (t.last[t.left[i]] - t.first[i] + 1) + ["1"] * (t.last[i] - t.first[t.right[i]] + 1)
+        core = np.sort(kernels.pair_d2(x, x), 1)[:, min(k, n) - 1] if k > 1 else None
+        want = sorted(kernels.prim(x, pid, core))
+        assert all(sorted(radix.single_tree(pid, x, codes, core, s, c)[0]) == want for s in (True, False) for c in (True, False))
+
+
+def test_counters_by_hand():
+    """All that the search counts, against plain loops over 100 points."""
+    rng = np.random.default_rng(6)
+    x, pid = rng.integers(0, 200, (100, 2)), np.arange(100)
+    codes = layout.grid_of(x).codes(x)
+    order = np.lexsort((pid, codes))
+    x, pid = x[order], pid[order]
+    t, labels, core = radix.RadixTree(codes[order], x), np.arange(100), np.zeros(100, np.int64)
+    bound = radix.curve_bounds(pid, x, core, labels, 100)
+    want = dict.fromkeys(radix.COUNTERS, 0)
+    for i in range(100):
+        reach, best, stack = int(bound[i]), None, [(0, t.root)]
+        gap = lambda k: sum(max(int(t.lo[k][c]) - int(x[i][c]), int(x[i][c]) - int(t.hi[k][c]), 0) ** 2 for c in range(2))  # noqa: E731, B023
+        while stack:
+            g, node = stack.pop()
+            if g > reach:
+                want["cut_radius"] += 1
+                continue
+            want["visited"] += 1
+            keep = []
+            for kid in (int(t.left[node]), int(t.right[node])):
+                leaf = kid >= 99
+                want["pt_box"] += not leaf
+                if leaf and kid - 99 == i:
+                    want["cut_label"] += 1
+                elif gap(kid) > reach:
+                    want["cut_radius"] += 1
+                elif leaf:
+                    want["pt_pt"] += 1
+                    j = kid - 99
+                    key = (gap(kid), min(int(pid[i]), int(pid[j])), max(int(pid[i]), int(pid[j])))
+                    if best is None or key < best:
+                        best, reach = key, key[0]
+                else:
+                    keep.append((gap(kid), kid))
+            if len(keep) == 2 and keep[0][0] >= keep[1][0]:
+                stack += keep
+            else:
+                stack += reversed(keep)
+    _, got = radix.outgoing(t, np.arange(100), pid, x, core, labels, bound, t.node_labels(labels))
+    assert dict(zip(radix.COUNTERS, got.tolist())) == want
+
+
+def test_counts_of_rounds(spark):
+    """Tiles: every distance inside mixed tiles counts; the binary tree: as in one thread."""
+    p = table(spark, RANDOM)
+    sites = sorted({q[1:]: q for q in reversed(RANDOM)}.values())
+    x, pid = np.array([q[1:] for q in sites]), np.array([q[0] for q in sites])
+    one = radix.single_tree(pid, x, layout.grid_of(x).codes(x))[1]
+    got = emst(p, index="radix").rounds
+    assert [(r["comps"], r["visited"], r["cut_label"], r["distances"]) for r in got] == [(r["comps"], r["visited"], r["cut_label"], r["pt_pt"]) for r in one]
+    tiles = emst(p, index="rank", tile_rows=8).rounds
+    sizes = [8] * (len(sites) // 8) + [len(sites) % 8] * (len(sites) % 8 > 0)
+    assert tiles[0]["distances"] >= sum(k * k for k in sizes) and tiles[0]["visited"] == len(sizes) ** 2
+    with pytest.raises(ValueError):
+        emst(p, index="kd")
+    with pytest.raises(ValueError):
+        emst(p, index="radix", held_points=0)
 
 
 def test_morton_codes(spark):
