@@ -12,7 +12,7 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from sparkspan.functions.geometry import box_far_d2, box_gap_d2
@@ -95,12 +95,13 @@ def tile_comps(layout: Layout) -> DataFrame:
     return layout.tiles.select("tile", "comp").mapInArrow(run, "tile bigint, comp bigint")
 
 
-def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual: bool = False, other_blocks: bool = False, tighten: Workspace | None = None) -> DataFrame:
+def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual: bool = False, other_blocks: bool = False, tighten: Workspace | None = None, watch: list[Observation] | None = None) -> DataFrame:
     """(q, r): query tiles and the tiles within their radius. queries: (q, lo.., hi.., lab_min, lab_max,
     radius). With ``dual`` the queries descend too, as nodes that carry the largest radius below. With
     ``other_blocks`` nodes of the query's own block are not entered. With ``tighten`` (Euclid, query tiles)
     each level lowers the radii: a node that holds another component lies at most its farthest corner
-    away, which bounds the whole component of a uniform tile."""
+    away, which bounds the whole component of a uniform tile. ``watch`` receives an observation per level, which
+    has (visited, cut_radius, cut_label) once the result has been written."""
     lo, hi = layout.box
     boxes = [F.min(c).alias(c) for c in lo] + [F.max(c).alias(c) for c in hi]
 
@@ -126,6 +127,11 @@ def descend(layout: Layout, queries: DataFrame, skip_subtrees: bool = True, dual
             keep = keep & ~((F.col("r_lab_min") == F.col("r_lab_max")) & (F.col("q_lab_min") == F.col("q_lab_max")) & (F.col("r_lab_min") == F.col("q_lab_min")))
         if other_blocks and FAN * level <= layout.low_bits:
             keep = keep & (F.shiftright("r_node", layout.low_bits - FAN * level) != F.shiftright("q_q", layout.low_bits))
+        if watch is not None:
+            alike = (F.col("r_lab_min") == F.col("r_lab_max")) & (F.col("q_lab_min") == F.col("q_lab_max")) & (F.col("r_lab_min") == F.col("q_lab_min")) & F.lit(skip_subtrees)
+            one = lambda c: F.coalesce(F.sum(c.cast("bigint")), F.lit(0).cast("bigint"))
+            watch.append(Observation(f"level {level}"))
+            step = step.observe(watch[-1], F.count(F.lit(1)).alias("visited"), one(gap > F.col("q_radius")).alias("cut_radius"), one((gap <= F.col("q_radius")) & alike).alias("cut_label"))
         step = step.where(keep)
         if tighten:
             step = tighten.save(step)

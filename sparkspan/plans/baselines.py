@@ -4,21 +4,23 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
+from dataclasses import dataclass
 from heapq import heappop, heappush
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from sparkspan.functions.geometry import box_gap_d2
+from sparkspan.functions.geometry import box_far_d2, box_gap_d2
 from sparkspan.operators import kernels
-from sparkspan.operators.layout import grid_of, with_codes
+from sparkspan.operators.layout import build, grid_of, with_codes
 from sparkspan.operators.radix import single_tree
 from sparkspan.plans import graphs
-from sparkspan.plans.emst import Result, emst
+from sparkspan.plans.emst import Result, core_distances, emst
 from sparkspan.session import Workspace
 from sparkspan.sources.points import axes, collapse_duplicates
+from sparkspan.sources.workloads import numbered
 
 
 def emst_complete(points: DataFrame, mst: str = "boruvka") -> DataFrame:
@@ -243,109 +245,172 @@ def emst_delaunay2d(points: DataFrame) -> DataFrame:
     return per_group(sites, delaunay_kernel).union(star.select("lo", "hi", zero, zero))
 
 
-def decompose(points: DataFrame, work: Workspace, most_rounds: int = 200) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(pairs, nodes, ranked): well-separated pairs of nodes of a binary tree over curve ranks. A pair is
-    done when the gap of its boxes exceeds both diagonals, or both are points; else its wider side
-    splits. pairs(a, b, lb_d2, na, nb) with a, b node numbers (level and place in one number)."""
-    from pyspark.sql import Window
+@dataclass
+class PairTree:
+    """Points by place on the curve and the nodes of a binary tree over the places: ranked(pid, x.., rank) and
+    nodes(node, lo.., hi.., n, diag, leaf). Node numbers hold level and place: kids of k are 2k and 2k + 1."""
 
+    ranked: DataFrame
+    nodes: DataFrame
+    n: int
+    depth: int
+    xs: list[str]
+
+    @property
+    def box(self) -> tuple[list[str], list[str]]:
+        return [f"lo{x[1:]}" for x in self.xs], [f"hi{x[1:]}" for x in self.xs]
+
+    def named(self, p: str) -> DataFrame:
+        lo, hi = self.box
+        few = F.broadcast if self.n <= BROADCAST_POINTS else (lambda df: df)
+        return few(self.nodes.select(F.col("node").alias(p), *[F.col(c).alias(f"{p}_{c}") for c in (*lo, *hi, "diag", "leaf", "n")]))
+
+    def gap(self, p: str, q: str):
+        return box_gap_d2(*[[F.col(f"{s}_{c}") for c in side] for s in (p, q) for side in self.box])
+
+    def far(self, p: str, q: str):
+        return box_far_d2(*[[F.col(f"{s}_{c}") for c in side] for s in (p, q) for side in self.box])
+
+
+#: Points up to which the nodes of a pair tree, twice as many, are sent to every task.
+BROADCAST_POINTS = 50_000
+#: Levels of the nodes that are made from one written level.
+LEVELS_HELD = 6
+
+
+def pair_tree(points: DataFrame, work: Workspace) -> PairTree:
     xs = axes(points)
-    coded = with_codes(points)
-    ranked = work.save(coded.withColumn("rank", F.row_number().over(Window.orderBy("code_hi", "code", "pid")) - 1).select("pid", *xs, F.col("rank").cast("bigint")))
+    ranked = numbered(with_codes(points), ["code_hi", "code", "pid"], "rank", work)
+    ranked = work.save(ranked.select("pid", *xs, (F.col("rank") - 1).cast("bigint").alias("rank")))
     n = ranked.count()
     depth = max(1, (max(1, n - 1)).bit_length())
-    lo, hi = [f"lo{i}" for i in range(len(xs))], [f"hi{i}" for i in range(len(xs))]
-    parts = None
-    for level in range(depth + 1):  # a node is (1 << (depth - level)) + (rank >> level): children 2k, 2k + 1
-        node = (F.shiftright("rank", level) + F.lit(1 << (depth - level))).alias("node")
-        g = ranked.groupBy(node).agg(*[F.min(x).alias(a) for x, a in zip(xs, lo, strict=True)], *[F.max(x).alias(a) for x, a in zip(xs, hi, strict=True)], F.count(F.lit(1)).alias("n"))
-        parts = g if parts is None else parts.union(g)
+    lo, hi = [f"lo{x[1:]}" for x in xs], [f"hi{x[1:]}" for x in xs]
+    aggs = [F.min(c).alias(c) for c in lo] + [F.max(c).alias(c) for c in hi] + [F.sum("n").alias("n")]
+    base = ranked.select((F.col("rank") + F.lit(1 << depth)).alias("node"), *[F.col(x).alias(a) for x, a in zip(xs, lo, strict=True)], *[F.col(x).alias(a) for x, a in zip(xs, hi, strict=True)], F.lit(1).cast("bigint").alias("n"))
+    parts, held = base, 0
+    for k in range(1, depth + 1):  # a node is (1 << (depth - k)) + (rank >> k); every few levels are written
+        level = base.groupBy(F.shiftright("node", k - held).alias("node")).agg(*aggs)
+        if k - held == LEVELS_HELD:
+            level = base = work.save(level)
+            held = k
+        parts = parts.union(level)
     diag = sum(((F.col(b) - F.col(a)) * (F.col(b) - F.col(a)) for a, b in zip(lo, hi, strict=True)), F.lit(0).cast("bigint"))
     nodes = work.save(parts.withColumn("diag", diag).withColumn("leaf", F.col("node") >= (1 << depth)))
-    inner = nodes.where("not leaf").select("node")
+    return PairTree(ranked, nodes, n, depth, xs)
+
+
+def decompose(tree: PairTree, work: Workspace, most_rounds: int = 200) -> DataFrame:
+    """pairs(a, b, lb_d2, na, nb) of well-separated nodes. A pair is done when the gap of its boxes exceeds both
+    diagonals, or both are points; else its wider side splits."""
+    nodes = tree.nodes
     has = nodes.select(F.col("node").alias("k"))
-    front = work.save(inner.select((F.col("node") * 2).alias("a"), (F.col("node") * 2 + 1).alias("b")).join(has, F.col("b") == F.col("k")).select("a", "b"))
+    front = nodes.where("not leaf").select((F.col("node") * 2).alias("a"), (F.col("node") * 2 + 1).alias("b")).join(has, F.col("b") == F.col("k")).select("a", "b")
     done = None
-    named = lambda p: nodes.select(F.col("node").alias(p), *[F.col(c).alias(f"{p}_{c}") for c in (*lo, *hi, "diag", "leaf", "n")])
     for _ in range(most_rounds):
-        full = front.join(named("a"), "a").join(named("b"), "b")
-        gap = box_gap_d2(*[[F.col(f"{p}_{c}") for c in side] for p in "ab" for side in (lo, hi)])
-        full = full.withColumn("lb_d2", gap).withColumn("ok", (gap > F.greatest("a_diag", "b_diag")) | (F.col("a_leaf") & F.col("b_leaf")))
+        full = front.join(tree.named("a"), "a").join(tree.named("b"), "b")
+        full = full.withColumn("lb_d2", tree.gap("a", "b")).withColumn("ok", (F.col("lb_d2") > F.greatest("a_diag", "b_diag")) | (F.col("a_leaf") & F.col("b_leaf")))
         step = work.save(full.select("a", "b", "lb_d2", F.col("a_n").alias("na"), F.col("b_n").alias("nb"), "ok", ((~F.col("a_leaf")) & (F.col("b_leaf") | (F.col("a_diag") >= F.col("b_diag")))).alias("left")))
         found = step.where("ok").select("a", "b", "lb_d2", "na", "nb")
         done = found if done is None else done.union(found)
-        kid = F.explode(F.array(F.lit(0), F.lit(1))).alias("kid")
-        rest = step.where("not ok").select("*", kid).select(
-            F.when(F.col("left"), F.col("a") * 2 + F.col("kid")).otherwise(F.col("a")).alias("a"), F.when(F.col("left"), F.col("b")).otherwise(F.col("b") * 2 + F.col("kid")).alias("b"), "left")
-        split = F.when(F.col("left"), F.col("a")).otherwise(F.col("b"))
-        nxt = work.save(rest.join(has, split == F.col("k"), "left_semi").select("a", "b"))
-        if not nxt.limit(1).count():
-            return work.save(done), nodes, ranked
-        front = nxt
+        if not step.where("not ok").limit(1).count():
+            return work.save(done)
+        rest = step.where("not ok")
+        front = _split(rest.where("left"), "a", ["b"], tree).select("a", "b").union(_split(rest.where("not left"), "b", ["a"], tree).select("a", "b"))
     raise RuntimeError("pairs did not separate")
 
 
-def closest_pairs(pairs: DataFrame, ranked: DataFrame, n: int, core: DataFrame | None = None) -> DataFrame:
-    """(a, b, w, d2, lo, hi): closest pair of each well-separated pair. Every point pair meets once, so the
-    work is quadratic; for comparison on sets of some thousand points."""
-    depth = max(1, (max(1, n - 1)).bit_length())
-    xs = axes(ranked)
-    pts = ranked if core is None else ranked.join(core, "pid")
-    if core is None:
-        pts = pts.withColumn("core_d2", F.lit(0).cast("bigint"))
-
-    def members(p: str) -> DataFrame:
-        first = F.expr(f"shiftleft({p} - shiftleft(1L, cast(floor(log2(cast({p} as double))) as int)), {depth} - cast(floor(log2(cast({p} as double))) as int))")
-        size = F.expr(f"shiftleft(1L, {depth} - cast(floor(log2(cast({p} as double))) as int))")
-        ids = pairs.select(p).distinct().withColumn("rank", F.explode(F.sequence(first, F.least(first + size, F.lit(n)) - 1)))
-        return ids.join(pts, "rank").select(p, F.col("pid").alias(f"{p}_pid"), F.col("core_d2").alias(f"{p}_core"), *[F.col(x).alias(f"{p}_{x}") for x in xs])
-
-    d2 = sum(((F.col(f"a_{x}") - F.col(f"b_{x}")) * (F.col(f"a_{x}") - F.col(f"b_{x}")) for x in xs), F.lit(0).cast("bigint"))
-    every = pairs.select("a", "b").join(members("a"), "a").join(members("b"), "b")
-    key = F.struct(F.greatest(d2, "a_core", "b_core").alias("w"), d2.alias("d2"), F.least("a_pid", "b_pid").alias("lo"), F.greatest("a_pid", "b_pid").alias("hi"))
-    return every.groupBy("a", "b").agg(F.min(key).alias("e")).select("a", "b", "e.*")
+def _split(rows: DataFrame, side: str, keep: list[str], tree: PairTree) -> DataFrame:
+    """Rows with the kids of ``side`` in its place. Only the last node of a level can lack the second: a kid's
+    first place on the curve tells."""
+    kids = rows.select(*keep, F.explode(F.array(F.col(side) * 2, F.col(side) * 2 + 1)).alias(side))
+    level = F.floor(F.log2(F.col(side).cast("double"))).cast("int")
+    first = F.call_function("shiftleft", F.col(side) - F.call_function("shiftleft", F.lit(1).cast("bigint"), level), F.lit(tree.depth) - level)
+    return kids.where(first < F.lit(tree.n))
+
+
+def closest_pairs(pairs: DataFrame, tree: PairTree, work: Workspace, core: DataFrame | None = None) -> DataFrame:
+    """(a, b, w, d2, lo, hi): closest pair of each well-separated pair (a, b), by descending from both nodes at once:
+    a pair of nodes (u, v) below it stays while the gap of their boxes is no more than the least farthest
+    distance of this level's pairs below (a, b), core distances included; both nodes split, until both are points. All
+    well-separated pairs descend together, a level a step, which is written once."""
+    lo, hi = tree.box
+    ranked = tree.ranked
+    kind = "bigint"
+    front = pairs.select("a", "b", F.col("a").alias("u"), F.col("b").alias("v"))
+    top = None
+    if core is not None:  # the largest core distance below each node, which bounds the weight from above
+        low = ranked.join(core, "pid").select((F.col("rank") + F.lit(1 << tree.depth)).alias("node"), F.col("core_d2").alias("c0"), F.col("core_d2").alias("c1"))
+        every = low
+        for _ in range(tree.depth):
+            low = work.save(low.groupBy(F.shiftright("node", 1).alias("node")).agg(F.min("c0").alias("c0"), F.max("c1").alias("c1")))
+            every = every.union(low)
+        top = work.save(every)
+    ends, pair = None, Window.partitionBy("a", "b")
+    while True:
+        full = front.join(tree.named("u"), "u").join(tree.named("v"), "v")
+        near, far = tree.gap("u", "v"), tree.far("u", "v")
+        if top is not None:
+            side = lambda p: top.select(F.col("node").alias(p), F.col("c0").alias(f"{p}_c0"), F.col("c1").alias(f"{p}_c1"))
+            full = full.join(side("u"), "u").join(side("v"), "v")
+            near, far = F.greatest(near, "u_c0", "v_c0"), F.greatest(far, "u_c1", "v_c1")
+        step = full.select("a", "b", "u", "v", near.alias("w"), tree.gap("u", "v").alias("d2"), F.min(far).over(pair).alias("reach"), (~F.col("u_leaf")).alias("split_u"), (~F.col("v_leaf")).alias("split_v"))
+        kept = work.save(step.where("w <= reach").drop("reach"))
+        found = kept.where("not split_u and not split_v").select("a", "b", "u", "v", "w", "d2")
+        ends = found if ends is None else ends.union(found)
+        rest = kept.where("split_u or split_v")
+        if not rest.limit(1).count():
+            break
+        keep = ["a", "b", "split_v"]
+        halves = _split(rest.where("split_u"), "u", [*keep, "v"], tree).select(*keep, "u", "v").union(rest.where("not split_u").select(*keep, "u", "v"))
+        front = _split(halves.where("split_v"), "v", ["a", "b", "u"], tree).select("a", "b", "u", "v").union(halves.where("not split_v").select("a", "b", "u", "v"))
+    place = lambda p: ranked.select((F.col("rank") + F.lit(1 << tree.depth)).alias(p), F.col("pid").alias(f"{p}_pid"))
+    named = ends.join(place("u"), "u").join(place("v"), "v")
+    key = F.struct(F.col("w").cast(kind).alias("w"), F.col("d2").cast(kind).alias("d2"), F.least("u_pid", "v_pid").alias("lo"), F.greatest("u_pid", "v_pid").alias("hi"))
+    return named.groupBy("a", "b").agg(F.min(key).alias("e")).select("a", "b", "e.*")
 
 
 def emst_wspd(points: DataFrame, mode: str = "eager", k_pts: int = 1, batches: int = 4) -> Result:
     """Well-separated pairs, closest pairs, tree of those edges. eager: one tree of all closest pairs.
     lazy: batches by separation; before each, pairs wholly inside one component are marked and never
-    get a closest pair. Phases tree, wspd, mst and mark are timed."""
+    get a closest pair. Phases: tree (places on the curve and nodes), core (k_pts > 1), wspd (the pairs), mst (closest
+    pairs and their tree), mark."""
     spark = points.sparkSession
     work, r = Workspace(spark, "wspd"), Result(None)
     t = time.perf_counter()
+
+    def phase(name: str) -> None:
+        nonlocal t
+        now = time.perf_counter()
+        r.phases[name], t = r.phases.get(name, 0.0) + now - t, now
+
+    tree = pair_tree(points, work)
+    phase("tree")
     core = None
     if k_pts > 1:
-        from sparkspan.operators.layout import build
-        from sparkspan.plans.emst import core_distances
-
         core = work.save(core_distances(build(points, work, 64), k_pts))
-    r.phases["tree"] = time.perf_counter() - t
-    t = time.perf_counter()
-    pairs, _, ranked = decompose(points, work)
-    n = ranked.count()
-    r.phases["wspd"] = time.perf_counter() - t
-    t = time.perf_counter()
-    mark = 0.0
+        phase("core")
+    pairs = decompose(tree, work)
+    phase("wspd")
+    r.phases["mark"] = 0.0
     if mode == "eager":
-        bcp = work.save(closest_pairs(pairs, ranked, n, core))
-        r.edges = graphs.kruskal(bcp.select("lo", "hi", "w", "d2"))
+        bcp = work.save(closest_pairs(pairs, tree, work, core))
+        r.edges = work.save(graphs.kruskal(bcp, work))
         r.rounds.append({"pairs": pairs.count(), "closest_pairs": bcp.count()})
-    else:
-        cuts = sorted(set(pairs.approxQuantile("lb_d2", [i / batches for i in range(1, batches)], 0.01)))
-        forest, last = None, -1.0
-        depth = max(1, (max(1, n - 1)).bit_length())
-        for cut in [*cuts, float("inf")]:
-            batch = pairs.where((F.col("lb_d2") > last) & (F.col("lb_d2") <= cut))
-            last = cut
-            if forest is not None:
-                began = time.perf_counter()
-                batch = work.save(_open_pairs(batch, forest, ranked, depth, n, work))
-                mark += time.perf_counter() - began
-            bcp = work.save(closest_pairs(batch, ranked, n, core).select("lo", "hi", "w", "d2"))
-            r.rounds.append({"closest_pairs": bcp.count()})
-            forest = work.save(graphs.kruskal(bcp if forest is None else forest.union(bcp)))
-        r.edges = forest
-    r.phases |= {"mst": time.perf_counter() - t - mark, "mark": mark}
+        phase("mst")
+        return r
+    cuts = sorted(set(pairs.approxQuantile("lb_d2", [i / batches for i in range(1, batches)], 0.01)))
+    forest, last = None, -1.0
+    for cut in [*cuts, float("inf")]:
+        batch = pairs.where((F.col("lb_d2") > last) & (F.col("lb_d2") <= cut))
+        last = cut
+        if forest is not None:
+            batch = work.save(_open_pairs(batch, forest, tree.ranked, tree.depth, tree.n, work))
+            phase("mark")
+        bcp = work.save(closest_pairs(batch, tree, work, core).select("lo", "hi", "w", "d2"))
+        r.rounds.append({"closest_pairs": bcp.count()})
+        forest = work.save(graphs.kruskal(bcp if forest is None else forest.union(bcp), work))
+        phase("mst")
+    r.edges = forest
     return r
 
 

@@ -118,13 +118,17 @@ def emst(
         queries = search.query_tiles(layout, bounds if curve_bounds else None)
         if still is not None and curve_bounds:
             queries = con.reaching(layout, queries)
-        pairs = search.descend(layout, queries, skip_subtrees, frontier == "dual", still is not None, work if tighten else None).where("q <> r")
+        watch: list | None = [] if measure and not tighten else None
+        pairs = search.descend(layout, queries, skip_subtrees, frontier == "dual", still is not None, work if tighten else None, watch).where("q <> r")
         row: dict = {"round": len(result.rounds) + 1, "comps": comps}
         if measure:
             pairs = work.save(pairs)
             size = layout.tiles.select("tile", "n")
             got = pairs.join(size.withColumnsRenamed({"tile": "q", "n": "a"}), "q").join(size.withColumnsRenamed({"tile": "r", "n": "b"}), "r").agg(F.count(F.lit(1)).alias("p"), F.sum(F.col("a").cast("bigint") * F.col("b")).alias("d")).first()
-            row |= {"tile_pairs": got["p"], "distances": got["d"] or 0}
+            inside = layout.tiles.where("lab_min <> lab_max").agg(F.sum(F.col("n").cast("bigint") * F.col("n"))).first()[0] or 0
+            row |= {"tile_pairs": got["p"], "distances": (got["d"] or 0) + inside}
+            for name in ("visited", "cut_label", "cut_radius") if watch else ():
+                row[name] = sum(o.get[name] for o in watch)
         best = work.save(search.least(search.cross_edges(layout, pairs, bounds if curve_bounds else None).union(bounds)))
         new = best.select("lo", "hi", "d2", "w").distinct()
         edges.append(new)

@@ -184,8 +184,9 @@ def _chain(spark: SparkSession) -> DataFrame:
 
 
 def _coverage(spark: SparkSession, sf: str) -> DataFrame:
-    pairs, _, ranked = baselines.decompose(P(spark, sf, "supplier2d"), Workspace(spark, "cover"))
-    n = ranked.count()
+    work = Workspace(spark, "cover")
+    pair_tree = baselines.pair_tree(P(spark, sf, "supplier2d"), work)
+    pairs, n = baselines.decompose(pair_tree, work), pair_tree.n
     return pairs.agg(F.sum(F.col("na") * F.col("nb")).cast("bigint").alias("covered")).withColumn("every", F.lit(n * (n - 1) // 2).cast("bigint"))
 
 
