@@ -18,6 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from sparkspan.functions.metrics import EUCLID, Metric
 from sparkspan.session import Workspace
 
 from . import kernels
@@ -40,7 +41,7 @@ class Contracted:
     comps: int
 
 
-def block_tree(pid: np.ndarray, x: np.ndarray, core: np.ndarray, grid: Grid, first: int, last: int) -> tuple[np.ndarray, ...]:
+def block_tree(pid: np.ndarray, x: np.ndarray, core: np.ndarray, grid: Grid, first: int, last: int, metric: Metric = EUCLID) -> tuple[np.ndarray, ...]:
     """(a, b, w, d2, certain) of a block's tree, a and b as places; the points come along the curve. ``first``
     and ``last`` bound the codes of the block: points outside have no code between them."""
     n, boxed = len(pid), min(3, x.shape[1])
@@ -50,8 +51,8 @@ def block_tree(pid: np.ndarray, x: np.ndarray, core: np.ndarray, grid: Grid, fir
     labels, safe, out = np.arange(n), np.ones(n, bool), []
     while labels.any():
         s = int(labels.max()) + 1
-        bound = curve_bounds(pid, x, core, labels, s)
-        (comp, bw, bd, blo, bhi, to), _ = outgoing(tree, np.arange(n), pid, x, core, labels, bound, tree.node_labels(labels))
+        bound = curve_bounds(pid, x, core, labels, s, metric)
+        (comp, bw, bd, blo, bhi, to), _ = outgoing(tree, np.arange(n), pid, x, core, labels, bound, tree.node_labels(labels), metric=metric)
         # A component that once reached out of the block does so for good: its least edge only grows.
         sure = np.ones(s, bool)
         sure[labels[~safe]] = False
@@ -75,7 +76,7 @@ def contract(layout: Layout, work: Workspace) -> Contracted:
     """One exchange of packed tiles by block; a task holds one block at a time, whose size the layout
     bounds. Tiles also get (first, last), the codes that bound their block."""
     d, real, grid, ends = layout.d, layout.real, layout.grid, layout.blocks
-    kind = np.float64 if real else np.int64
+    kind, metric = np.float64 if real else np.int64, layout.metric
     names = layout.tiles.columns
 
     def settle(table: pa.Table) -> pa.Table:
@@ -84,7 +85,7 @@ def contract(layout: Layout, work: Workspace) -> Contracted:
         starts = np.concatenate([[0], np.cumsum(table["n"].to_numpy())]).astype(np.int64)
         block, codes = table["block"][0].as_py(), grid.codes(x)
         first, last = (-1 if block == ends[0] else int(codes.min())), (LAST if block == ends[1] else int(codes.max()))
-        a, b, w, d2, sure = block_tree(pid, x, core, grid, first, last)
+        a, b, w, d2, sure = block_tree(pid, x, core, grid, first, last, metric)
         root = kernels.components(len(pid), a[sure], b[sure])
         low = np.full(len(pid), LAST)
         np.minimum.at(low, root, pid)

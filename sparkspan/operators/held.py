@@ -71,17 +71,18 @@ class Held:
         """Best edges within tiles (or blocks) and between curve neighbours, per component."""
         if self.open is not None:
             return self._open_bounds()
+        metric = self.layout.metric
 
         def body(t, pid, x, core, starts, lo, hi, labels):
             a, z = starts[t], starts[t + 1]
             own = (pid[a:z], x[a:z], labels[a:z], core[a:z])
             if (labels[a:z] != labels[a]).any():
-                yield edge_batch(kernels.cross(own, own))
+                yield edge_batch(kernels.cross(own, own, metric=metric))
                 yield count_batch((0, int(z - a) ** 2, 0, 0, 0), x.dtype)
             if z < len(pid) and labels[z - 1] != labels[z]:
                 u, v = tuple(c[z - 1 : z] for c in (pid, x, labels, core)), tuple(c[z : z + 1] for c in (pid, x, labels, core))
-                yield edge_batch(kernels.cross(u, v))
-                yield edge_batch(kernels.cross(v, u))
+                yield edge_batch(kernels.cross(u, v, metric=metric))
+                yield edge_batch(kernels.cross(v, u, metric=metric))
 
         return self._counted(self._run(body))
 
@@ -96,7 +97,7 @@ class Held:
         z = self.starts[1:-1][self.block[1:] != self.block[:-1]]  # first points of blocks
         z = z[self.labels[z - 1] != self.labels[z]]
         d2 = sum((self.x[z - 1, k] - self.x[z, k]) ** 2 for k in range(self.x.shape[1]))
-        w = np.maximum(np.maximum(self.core[z - 1], self.core[z]), d2)
+        w = np.maximum(np.maximum(self.core[z - 1], self.core[z]), self.layout.metric.squared([self.x[z - 1, k] - self.x[z, k] for k in range(self.x.shape[1])]))
         p, q = self.pid[z - 1], self.pid[z]
         lo, hi = np.minimum(p, q), np.maximum(p, q)
         u, v = np.concatenate([o["comp"], self.labels[z - 1]]), np.concatenate([o["to"], self.labels[z]])
@@ -105,10 +106,10 @@ class Held:
 
     def search(self, bound: np.ndarray, skip: bool) -> tuple[np.ndarray, ...]:
         """Best edges into other tiles within ``bound`` (per component)."""
-        block = self.block
+        block, metric = self.block, self.layout.metric
 
         def body(t, pid, x, core, starts, lo, hi, labels, bound, flat):
-            e, counts = kernels.search_tile(t, pid, x, core, starts, lo, hi, labels, bound, flat, block)
+            e, counts = kernels.search_tile(t, pid, x, core, starts, lo, hi, labels, bound, flat, block, metric)
             if e is not None:
                 yield edge_batch(e)
             yield count_batch(counts, x.dtype)
@@ -192,10 +193,11 @@ class HeldTree(Held):
 
     def search(self, bound: np.ndarray, skip: bool) -> tuple[np.ndarray, ...]:
         if self.curve:
-            bound = np.minimum(bound, curve_bounds(self.pid, self.x, self.core, self.labels, len(bound)))
+            bound = np.minimum(bound, curve_bounds(self.pid, self.x, self.core, self.labels, len(bound), self.layout.metric))
+        metric = self.layout.metric
 
         def body(ask, tree, pid, x, core, spans, labels, bound, node_label):
-            e, c = outgoing(tree, ask, pid, x, core, labels, bound, node_label, spans)
+            e, c = outgoing(tree, ask, pid, x, core, labels, bound, node_label, spans, metric)
             yield edge_batch(e)
             yield count_batch((0, c[3], c[0], c[1], c[2]), x.dtype)
 

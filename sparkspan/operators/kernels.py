@@ -6,6 +6,8 @@ from __future__ import annotations
 
 import numpy as np
 
+from sparkspan.functions.metrics import EUCLID, Metric
+
 FAR = np.iinfo(np.int64).max
 
 
@@ -31,9 +33,9 @@ def least_keys(comp: np.ndarray, w: np.ndarray, d2: np.ndarray, lo: np.ndarray,
     return tuple(c[first] for c in (comp, w, d2, lo, hi, to))
 
 
-def cross(a: tuple, b: tuple, chunk: int = 1 << 21) -> tuple[np.ndarray, ...]:
+def cross(a: tuple, b: tuple, chunk: int = 1 << 21, metric: Metric = EUCLID) -> tuple[np.ndarray, ...]:
     """Best edge of each component of tile ``a`` into another component of tile ``b``, under the key
-    (w, d2, lo, hi) with w = max(core, core, d2)."""
+    (w, d2, lo, hi) with w = max(core, core, the metric's square), d2 for Euclid."""
     (pa, xa, ca, ka), (pb, xb, cb, kb) = a, b
     plain = not (ka.any() or kb.any())
     rows = max(1, chunk // max(1, len(pb)))
@@ -42,7 +44,8 @@ def cross(a: tuple, b: tuple, chunk: int = 1 << 21) -> tuple[np.ndarray, ...]:
     for at in range(0, len(pa), rows):
         s = slice(at, at + rows)
         d2 = pair_d2(xa[s], xb)
-        w = d2 if plain else np.maximum(np.maximum(d2, ka[s][:, None]), kb[None, :])
+        w = d2 if metric == EUCLID else metric.squared([xa[s, k][:, None] - xb[:, k][None, :] for k in range(xa.shape[1])])
+        w = w if plain else np.maximum(np.maximum(w, ka[s][:, None]), kb[None, :])
         same = ca[s][:, None] == cb[None, :]
         masked = np.where(same, far, w)
         least = masked.min(1)
@@ -62,7 +65,7 @@ def cross(a: tuple, b: tuple, chunk: int = 1 << 21) -> tuple[np.ndarray, ...]:
     return least_keys(*[np.concatenate(c) for c in zip(*found, strict=True)])
 
 
-def search_tile(t: int, pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts: np.ndarray, lo: np.ndarray, hi: np.ndarray, labels: np.ndarray, bound: np.ndarray, flat: np.ndarray | None = None, block: np.ndarray | None = None) -> tuple[tuple | None, tuple[int, ...]]:
+def search_tile(t: int, pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts: np.ndarray, lo: np.ndarray, hi: np.ndarray, labels: np.ndarray, bound: np.ndarray, flat: np.ndarray | None = None, block: np.ndarray | None = None, metric: Metric = EUCLID) -> tuple[tuple | None, tuple[int, ...]]:
     """Best edges of tile ``t`` into other tiles within ``bound`` (per component), and counts. Boxes are pruned as arrays, nearest first, with radii that shrink as edges are found, point
     by point. flat: a tile's label where it is uniform, else -1; such subtrees are skipped. block: tiles of
     the own block are left out. The counts are (tile pairs, distances between points, boxes seen, boxes cut by
@@ -106,7 +109,7 @@ def search_tile(t: int, pid: np.ndarray, x: np.ndarray, core: np.ndarray, starts
         if not s.any():
             continue
         pairs, dists = pairs + 1, dists + int(keep.sum()) * int(s.sum())
-        e = cross((p[keep], qx, pc[keep], pk[keep]), (pid[i:j][s], x[i:j][s], rc[s], core[i:j][s]))
+        e = cross((p[keep], qx, pc[keep], pk[keep]), (pid[i:j][s], x[i:j][s], rc[s], core[i:j][s]), metric=metric)
         if len(e[0]):
             at = np.searchsorted(names, e[0])
             good = e[1] <= ub[at]

@@ -17,6 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sparkspan.functions.geometry import AXIS_BITS, morton, morton_array, morton_wide
+from sparkspan.functions.metrics import EUCLID, Metric
 from sparkspan.session import Workspace
 from sparkspan.sources.points import RANGE, axes
 
@@ -40,6 +41,7 @@ class Layout:
     low_bits: int = 0  # a tile number's bits below its block's, 0 if tiles are not numbered by block
     blocks: tuple[int, int] = (0, 0)  # first and last block
     grid: Grid | None = None
+    metric: Metric = EUCLID
 
     @property
     def kind(self) -> str:

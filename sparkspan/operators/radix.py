@@ -10,6 +10,8 @@ from __future__ import annotations
 
 import numpy as np
 
+from sparkspan.functions.metrics import EUCLID, Metric
+
 from . import kernels
 from .merge import merge_arrays
 
@@ -77,14 +79,14 @@ class RadixTree:
         return out
 
 
-def curve_bounds(pid: np.ndarray, x: np.ndarray, core: np.ndarray, labels: np.ndarray, count: int) -> np.ndarray:
+def curve_bounds(pid: np.ndarray, x: np.ndarray, core: np.ndarray, labels: np.ndarray, count: int, metric: Metric = EUCLID) -> np.ndarray:
     """Per component the least weight between neighbours on the curve of which one only belongs to it: one
     pass over n - 1 pairs. Several components: each has such a neighbour."""
     far = kernels.FAR if x.dtype == np.int64 else np.inf
     bound = np.full(count, far, x.dtype)
     i = np.flatnonzero(labels[1:] != labels[:-1])
-    d2 = sum((x[i, k] - x[i + 1, k]) ** 2 for k in range(x.shape[1]))
-    w = np.maximum(np.maximum(d2, core[i]), core[i + 1])
+    far_apart = metric.squared([x[i, k] - x[i + 1, k] for k in range(x.shape[1])])
+    w = np.maximum(np.maximum(far_apart, core[i]), core[i + 1])
     np.minimum.at(bound, labels[i], w)
     np.minimum.at(bound, labels[i + 1], w)
     return bound
@@ -93,7 +95,7 @@ def curve_bounds(pid: np.ndarray, x: np.ndarray, core: np.ndarray, labels: np.nd
 COUNTERS = ("visited", "cut_label", "cut_radius", "pt_pt", "pt_box")
 
 
-def outgoing(tree: RadixTree, ask: np.ndarray, pid: np.ndarray, x: np.ndarray, core: np.ndarray, labels: np.ndarray, bound: np.ndarray, node_label: np.ndarray | None, spans: tuple[np.ndarray, np.ndarray] | None = None) -> tuple[tuple[np.ndarray, ...], np.ndarray]:
+def outgoing(tree: RadixTree, ask: np.ndarray, pid: np.ndarray, x: np.ndarray, core: np.ndarray, labels: np.ndarray, bound: np.ndarray, node_label: np.ndarray | None, spans: tuple[np.ndarray, np.ndarray] | None = None, metric: Metric = EUCLID) -> tuple[tuple[np.ndarray, ...], np.ndarray]:
     """Best edges (comp, w, d2, lo, hi, to) from the points at places ``ask`` to other components within their
     component's bound, and COUNTERS. node_label: subtrees of the point's own label are not entered. spans: of
     each point the first and last place of its block, within which nodes are not entered either."""
@@ -137,7 +139,8 @@ def outgoing(tree: RadixTree, ask: np.ndarray, pid: np.ndarray, x: np.ndarray, c
                     hit, i, j = hit[other], i[other], j[other]
                     counts[3] += len(i)
                     d2 = g[hit] if x.shape[1] == boxed else sum((x[j, k] - qx[i, k]) ** 2 for k in range(x.shape[1]))
-                    w = np.maximum(np.maximum(d2, core[q[i]]), core[j])
+                    w = d2 if metric == EUCLID else metric.squared([x[j, k] - qx[i, k] for k in range(x.shape[1])])
+                    w = np.maximum(np.maximum(w, core[q[i]]), core[j])
                     u, v = np.minimum(pid[q[i]], pid[j]), np.maximum(pid[q[i]], pid[j])
                     new = (w, d2, u, v)
                     less, same = np.zeros(len(i), bool), w <= reach[i]
@@ -162,7 +165,7 @@ def outgoing(tree: RadixTree, ask: np.ndarray, pid: np.ndarray, x: np.ndarray, c
     return kernels.least_keys(*[np.concatenate(c) for c in zip(*parts, strict=True)]), counts
 
 
-def single_tree(pid: np.ndarray, x: np.ndarray, codes: np.ndarray, core: np.ndarray | None = None, skip: bool = True, curve: bool = True) -> tuple[list[tuple], list[dict]]:
+def single_tree(pid: np.ndarray, x: np.ndarray, codes: np.ndarray, core: np.ndarray | None = None, skip: bool = True, curve: bool = True, metric: Metric = EUCLID) -> tuple[list[tuple], list[dict]]:
     """The whole method in one thread: edges (lo, hi, w, d2) and per round the components and COUNTERS."""
     order = np.lexsort((pid, codes))
     pid, x = pid[order], x[order]
@@ -172,8 +175,8 @@ def single_tree(pid: np.ndarray, x: np.ndarray, codes: np.ndarray, core: np.ndar
     edges, rounds = [], []
     while len(pid) > 1 and labels.max() > 0:
         s = int(labels.max()) + 1
-        bound = curve_bounds(pid, x, core, labels, s) if curve else np.full(s, far, x.dtype)
-        best, counts = outgoing(tree, np.arange(len(pid)), pid, x, core, labels, bound, tree.node_labels(labels) if skip else None)
+        bound = curve_bounds(pid, x, core, labels, s, metric) if curve else np.full(s, far, x.dtype)
+        best, counts = outgoing(tree, np.arange(len(pid)), pid, x, core, labels, bound, tree.node_labels(labels) if skip else None, metric=metric)
         old, new, _ = merge_arrays(best[0], best[5])
         edges += sorted(set(zip(*(best[k].tolist() for k in (3, 4, 1, 2)), strict=True)))
         fresh = np.arange(s)

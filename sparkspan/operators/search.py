@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from sparkspan.functions.geometry import box_far_d2, box_gap_d2
+from sparkspan.functions.metrics import EUCLID
 from sparkspan.session import Workspace
 
 from . import kernels
@@ -41,14 +42,14 @@ def least(edges: DataFrame) -> DataFrame:
 
 def own_edges(layout: Layout) -> DataFrame:
     """Best edges of each component within its tiles: one narrow pass, no exchange."""
-    d, real = layout.d, layout.real
+    d, real, metric = layout.d, layout.real, layout.metric
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for r in b.to_pylist():
                 if r["lab_min"] != r["lab_max"]:
                     t = kernels.unpack(r, d, real)
-                    yield edge_batch(kernels.cross(t, t))
+                    yield edge_batch(kernels.cross(t, t, metric=metric))
 
     return layout.tiles.select(*PACK, "lab_min", "lab_max").mapInArrow(run, edge_ddl(layout))
 
@@ -77,8 +78,8 @@ def seam_edges(layout: Layout, within: bool = True) -> DataFrame:
     between = blocks.select(F.col("z").alias("u"), F.lead("a").over(Window.orderBy("block")).alias("v"))
     pairs = (inside.union(between) if within else between).where("v is not null and u.comp <> v.comp")
     zero = F.lit(0.0 if real else 0).cast(layout.kind)
-    d2 = F.aggregate(F.zip_with("u.x", "v.x", lambda a, b: (a - b) * (a - b)), zero, lambda a, b: a + b)
-    w = F.greatest(d2, F.col("u.core"), F.col("v.core"))
+    d2 = EUCLID.columns(F.col("u.x"), F.col("v.x"), zero)
+    w = F.greatest(layout.metric.columns(F.col("u.x"), F.col("v.x"), zero), F.col("u.core"), F.col("v.core"))
     key = [w.alias("w"), d2.alias("d2"), F.least("u.pid", "v.pid").alias("lo"), F.greatest("u.pid", "v.pid").alias("hi")]
     return pairs.select(F.col("u.comp").alias("comp"), *key, F.col("v.comp").alias("to")).union(pairs.select(F.col("v.comp").alias("comp"), *key, F.col("u.comp").alias("to")))
 
@@ -173,8 +174,8 @@ def cross_edges(layout: Layout, pairs: DataFrame, bounds: DataFrame | None = Non
     """Best edges of the pairs' tiles. With ``bounds`` only points whose component's bound reaches the
     other tile's box take part: the point-wise radius that tiles had to widen."""
     if bounds is None:
-        return pair_kernel(layout, pairs, edge_ddl(layout), lambda a, b: edge_batch(kernels.cross(a, b)))
-    d, real, boxed = layout.d, layout.real, layout.boxed
+        return pair_kernel(layout, pairs, edge_ddl(layout), lambda a, b, m=layout.metric: edge_batch(kernels.cross(a, b, metric=m)))
+    d, real, boxed, metric = layout.d, layout.real, layout.boxed, layout.metric
     own = tile_comps(layout).join(bounds.select("comp", "w"), "comp").groupBy(F.col("tile").alias("q")).agg(F.sort_array(F.collect_list(F.struct("comp", "w"))).alias("ub"))
     lo, hi = layout.box
     a = layout.tiles.select(F.col("tile").alias("q"), *PACK).join(own, "q")
@@ -211,7 +212,7 @@ def cross_edges(layout: Layout, pairs: DataFrame, bounds: DataFrame | None = Non
                     box = p[1][:, :boxed]
                     keep = (near(q[1], box.min(0), box.max(0)) <= far) & (q[3] <= far)
                     if keep.any():
-                        yield edge_batch(kernels.cross(p, tuple(c[keep] for c in q)))
+                        yield edge_batch(kernels.cross(p, tuple(c[keep] for c in q), metric=metric))
 
     return some.join(b, "r").mapInArrow(meet, edge_ddl(layout))
 

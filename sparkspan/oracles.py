@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 
-def prim_cte(points: str, d: int, k_pts: int = 1) -> str:
-    """CTEs that end in tree(lo, hi, w, d2): every step joins the point of least key (w, d2, lo, hi)."""
+def prim_cte(points: str, d: int, k_pts: int = 1, measure=None) -> str:
+    """CTEs that end in tree(lo, hi, w, d2): every step joins the point of least key (w, d2, lo, hi). measure(a, b): a metric's
+    square, if not Euclid's."""
     xs = [f"x{i}" for i in range(d)]
     gap = lambda a, b: " + ".join(f"({a}.{x} - {b}.{x}) * ({a}.{x} - {b}.{x})" for x in xs)
     core = (
@@ -12,22 +13,23 @@ def prim_cte(points: str, d: int, k_pts: int = 1) -> str:
         f"core as (select pid, d2 as c from (select a.pid, {gap('a', 'b')} as d2, row_number() over (partition by a.pid order by {gap('a', 'b')}, b.pid) as r from pts a, pts b) where r = {k_pts})"
     )
     cols = ", ".join(xs)
-    new = f"(greatest(g.c, n.c, {gap('g', 'n')}), {gap('g', 'n')}, least(g.pid, n.pid), greatest(g.pid, n.pid))"
+    far = measure or gap
+    new = f"(greatest(g.c, n.c, {far('g', 'n')}), {gap('g', 'n')}, least(g.pid, n.pid), greatest(g.pid, n.pid))"
     return f"""pts as ({points}), {core},
  base as (select pts.pid, {cols}, core.c from pts join core using (pid)),
  root as (select * from base order by pid limit 1),
  grow as (
-  select b.pid, {', '.join('b.' + x for x in xs)}, b.c, false as done, greatest(b.c, r.c, {gap('b', 'r')}) as w, {gap('b', 'r')} as d2, least(b.pid, r.pid) as lo, greatest(b.pid, r.pid) as hi from base b, root r where b.pid <> r.pid
+  select b.pid, {', '.join('b.' + x for x in xs)}, b.c, false as done, greatest(b.c, r.c, {far('b', 'r')}) as w, {gap('b', 'r')} as d2, least(b.pid, r.pid) as lo, greatest(b.pid, r.pid) as hi from base b, root r where b.pid <> r.pid
   union all
   select pid, {cols}, c, pid = np, case when keep then w else nw end, case when keep then d2 else nd end, case when keep then lo else nlo end, case when keep then hi else nhi end
-  from (select g.*, n.pid as np, greatest(g.c, n.c, {gap('g', 'n')}) as nw, {gap('g', 'n')} as nd, least(g.pid, n.pid) as nlo, greatest(g.pid, n.pid) as nhi, g.pid = n.pid or (g.w, g.d2, g.lo, g.hi) <= {new} as keep
+  from (select g.*, n.pid as np, greatest(g.c, n.c, {far('g', 'n')}) as nw, {gap('g', 'n')} as nd, least(g.pid, n.pid) as nlo, greatest(g.pid, n.pid) as nhi, g.pid = n.pid or (g.w, g.d2, g.lo, g.hi) <= {new} as keep
     from grow g, (select * from grow where not done order by w, d2, lo, hi limit 1) n where not g.done)
  ),
  tree as (select lo, hi, w, d2 from grow where done)"""
 
 
-def tree_sql(points: str, d: int, k_pts: int = 1) -> str:
-    return f"with recursive {prim_cte(points, d, k_pts)} select cast(lo as bigint) as lo, cast(hi as bigint) as hi, cast(d2 as bigint) as d2, sqrt(cast(w as double)) as length from tree"
+def tree_sql(points: str, d: int, k_pts: int = 1, measure=None) -> str:
+    return f"with recursive {prim_cte(points, d, k_pts, measure)} select cast(lo as bigint) as lo, cast(hi as bigint) as hi, cast(d2 as bigint) as d2, sqrt(cast(w as double)) as length from tree"
 
 
 def over_tree(points: str, d: int, body: str) -> str:

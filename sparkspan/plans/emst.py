@@ -10,6 +10,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from sparkspan.functions.metrics import EUCLID, Metric
 from sparkspan.operators import contract as con
 from sparkspan.operators import layout as lay
 from sparkspan.operators import search
@@ -46,7 +47,7 @@ def core_distances(layout: lay.Layout, k_pts: int) -> DataFrame:
 
 def emst(
     points: DataFrame, k_pts: int = 1, skip_subtrees: bool = True, curve_bounds: bool = True, index: str | None = None, curve_bits: int = 63, frontier: str = "tile",
-    tile_rows: int = 512, block_rows: int = 1 << 20, prefix_shift: int | None = None, measure: bool = False, driver_components: int = DRIVER_COMPONENTS, held_points: int = HELD_POINTS, contract: bool | None = None, tighten: bool = False,
+    tile_rows: int = 512, block_rows: int = 1 << 20, prefix_shift: int | None = None, measure: bool = False, driver_components: int = DRIVER_COMPONENTS, held_points: int = HELD_POINTS, contract: bool | None = None, tighten: bool = False, metric: Metric = EUCLID,
 ) -> Result:
     """n - 1 tree edges under the order (w, d2, lo, hi), w = d2 for Euclid (k_pts = 1) and the largest of
     d2 and both core distances otherwise; the order makes the tree unique, whatever the options.
@@ -60,11 +61,14 @@ def emst(
     can be, else rank. ``contract`` settles each block by itself first, so that the rounds
     meet only what crosses blocks; by default for larger sets with all else at its default, since it
     leaves nothing to ablate or count within blocks. ``tighten`` lowers component bounds at every level of
-    a descent by joins (Euclid, up to three axes).
+    a descent by joins (Euclid, up to three axes). ``metric`` replaces Euclid by one that is never smaller
+    (``functions.metrics``); d2 stays Euclid's, w is the metric's, larger of it and the core distances.
     """
     spark = points.sparkSession
     if index == "radix" and (frontier != "tile" or curve_bits > 63):
         raise ValueError("the binary tree is walked by points of a held layout, over codes of 63 bits")
+    if metric != EUCLID and (k_pts > 1 or tighten):
+        raise ValueError("core distances and bounds by levels are Euclid's")
     if tighten and (k_pts > 1 or frontier == "dual" or len(axes(points)) > 3):
         raise ValueError("bounds tighten by levels for Euclid, query tiles and up to three axes only")
     work = Workspace(spark, "emst")
@@ -80,6 +84,7 @@ def emst(
         total = {1: 62, 2: 62, 3: 63}[d]
         prefix_shift = max(0, total - d * max(1, math.ceil(math.log2(max(2, points.count() / tile_rows)) / d)))
     layout = lay.build(points, work, tile_rows, block_rows, index or "rank", curve_bits, prefix_shift or 0)
+    layout.metric = metric
     result.phases["tree"] = time.perf_counter() - began
     if contract is None:
         contract = layout.n >= CONTRACT_FROM and frontier == "tile" and index != "prefix" and skip_subtrees and curve_bounds and not measure and layout.d <= 3

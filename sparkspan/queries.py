@@ -8,6 +8,8 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from sparkspan import oracles as O
+from sparkspan import surroundings
+from sparkspan.functions import metrics
 from sparkspan.functions.geometry import box_gap_d2, morton, point_box_d2
 from sparkspan.operators import layout as lay
 from sparkspan.operators import pieces, search, trees
@@ -409,6 +411,17 @@ def _tightness(spark: SparkSession, sf: str) -> DataFrame:
     return trees.bound_tightness(bounds, _outgoing(spark, sf))
 
 
+def _street(a: str, b: str) -> str:
+    return f"(abs({a}.x0 - {b}.x0) + abs({a}.x1 - {b}.x1)) * (abs({a}.x0 - {b}.x0) + abs({a}.x1 - {b}.x1))"
+
+
+STREET_SQL = O.tree_sql(workloads.points_sql(ROAD), 2, measure=_street)
+add("emst_manhattan_road2d", tree(ROAD, metric=metrics.Manhattan()), STREET_SQL)
+add("emst_manhattan_joins_road2d", tree(ROAD, metric=metrics.Manhattan(), held_points=0), STREET_SQL)
+add("emst_stretched_road2d", tree(ROAD, metric=metrics.Stretched((1, 3))), O.tree_sql(workloads.points_sql(ROAD), 2, measure=lambda a, b: f"({a}.x0 - {b}.x0) * ({a}.x0 - {b}.x0) + 9 * ({a}.x1 - {b}.x1) * ({a}.x1 - {b}.x1)"))
+surroundings.register(add)
+
+
 def queries() -> dict[str, Query]:
     return dict(Q)
 
