@@ -59,6 +59,7 @@ for w in CHAINS:
 for w, d in LARGE.items():
     add(f"emst_{w}", tree(w), O.tree_sql(workloads.points_sql(w), d))
 add("emst_lattice3d", tree("lattice3d"), O.lattice_sql(workloads.points_sql("lattice3d"), 3))
+add("emst_joins_geo3d", tree("geo3d", held_points=0), S["emst_geo3d"])
 add("emst_cosmo3d", tree("cosmo3d"))  # recursion over 60,000 points takes SQL too long; tests hold smaller sets to brute force
 add("emst_real_embeddings64", lambda spark, sf: _real(spark, sf), O.real_tree_sql("embeddings", "vec_id", "embedding", 6))
 

@@ -1,10 +1,12 @@
 import math
 from itertools import combinations
+from pathlib import Path
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from sparkspan.functions import metrics
 from sparkspan.functions.geometry import morton, morton_wide
 from sparkspan.operators import contract, kernels, layout, radix, search, trees
 from sparkspan.operators.merge import merge_arrays, pointer_doubling
@@ -373,3 +375,159 @@ def test_late_rows_are_dropped(spark, tmp_path):
     # Rows are held against the watermark of the batch before the last: the second of January comes late,
     # and May stays open.
     assert [r["n"] for r in got] == [1, 1, 1]
+
+
+def plan(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_no_plan_puts_all_points_in_one_task(spark):
+    p = workloads.points(spark, SF, "cosmo3d")
+    assert "SinglePartition" not in plan(p)  # numbered by ranges, not by one sorted window
+    sites = p.groupBy("x0", "x1", "x2").agg(F.min("pid"))
+    assert "SinglePartition" not in plan(sites) and "Window" not in plan(sites)
+
+
+def test_scans_read_and_filter_only_what_is_asked(spark):
+    got = plan(workloads.points(spark, SF, "highway2d_one"))
+    schema = got.split("ReadSchema:")[1].split("\n")[0]
+    assert "PushedFilters: [IsNotNull(event_type), EqualTo(event_type,purchase)]" in got and "props" not in schema and "user_id" not in schema
+
+
+def test_numbering_by_ranges_is_row_number(spark):
+    work = Workspace(spark)
+    df = spark.range(5000).select(((F.col("id") * 7919) % 5003).alias("a"), (F.col("id") % 3).alias("b"))
+    got = workloads.numbered(df.repartition(7), ["a", "b"], "place", work)
+    want = {r: i + 1 for i, r in enumerate(sorted((r["a"], r["b"]) for r in df.collect()))}
+    assert {(r["a"], r["b"]): r["place"] for r in got.collect()} == want
+    assert workloads.numbered(df.limit(0), ["a"], "place", work).count() == 0
+
+
+@pytest.mark.parametrize("metric", [metrics.Euclid(), metrics.Manhattan(), metrics.Stretched((1, 3))], ids=str)
+def test_metrics(spark, metric):
+    gaps = [np.random.default_rng(k).integers(-500, 500, 400) for k in range(2)]
+    assert metrics.no_smaller(metric, gaps)
+    x, pid = np.array([p[1:] for p in RANDOM]), np.array([p[0] for p in RANDOM])
+    w = {(i, j): int(metric.squared([x[i, k] - x[j, k] for k in range(2)])) for i, j in combinations(range(len(x)), 2)}
+    d2 = {(i, j): int(((x[i] - x[j]) ** 2).sum()) for i, j in w}
+    order = sorted(w, key=lambda e: (w[e], d2[e], min(pid[e[0]], pid[e[1]]), max(pid[e[0]], pid[e[1]])))
+    root = list(range(len(x)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    want = []
+    for i, j in order:
+        if find(i) != find(j):
+            root[find(i)] = find(j)
+            want.append((min(pid[i], pid[j]), max(pid[i], pid[j]), d2[i, j], w[i, j]))
+    for options in ({}, {"index": "rank"}, {"held_points": 0}, {"contract": True, "block_rows": 20}):
+        assert got(emst(table(spark, RANDOM), tile_rows=8, metric=metric, **options).edges) == sorted(want)
+    with pytest.raises(ValueError):
+        metrics.Stretched((1, 0))
+    if metric != metrics.EUCLID:
+        with pytest.raises(ValueError):
+            emst(table(spark, RANDOM), k_pts=2, metric=metric)
+
+
+def test_closest_pairs_meet_few_points(spark):
+    """Two far blobs: the descent keeps a few pairs of each level, not all pairs of points."""
+    rng = np.random.default_rng(5)
+    pts = [(i, *map(int, p)) for i, p in enumerate(np.concatenate([rng.integers(0, 1000, (64, 2)), rng.integers(0, 1000, (64, 2)) + 100_000]))]
+    work = Workspace(spark)
+    tree = baselines.pair_tree(table(spark, pts), work)
+    pairs = baselines.decompose(tree, work)
+    assert pairs.agg(F.sum(F.col("na") * F.col("nb"))).first()[0] == 128 * 127 // 2
+    big = pairs.where("na >= 16 and nb >= 16")
+    assert big.count() >= 1
+    found = baselines.closest_pairs(big, tree, work)
+    place = {r["rank"]: r["pid"] for r in tree.ranked.collect()}
+    xy = {p[0]: p[1:] for p in pts}
+
+    def members(k):
+        level = tree.depth - (k.bit_length() - 1)
+        first = (k << level) - (1 << tree.depth)
+        return [place[i] for i in range(first, min(tree.n, first + (1 << level)))]
+
+    for r in found.collect():
+        want = min((sum((a - b) ** 2 for a, b in zip(xy[u], xy[v])), min(u, v), max(u, v)) for u in members(r["a"]) for v in members(r["b"]))
+        assert (r["d2"], r["lo"], r["hi"]) == want
+
+
+def test_observed_counts_of_joins(spark):
+    r = emst(table(spark, RANDOM), tile_rows=8, held_points=0, measure=True).rounds
+    assert all(x["visited"] > x["cut_radius"] + x["cut_label"] >= 0 and x["distances"] > 0 for x in r)
+
+
+def test_a_cluster_must_name_its_shared_folder(monkeypatch):
+    class Context:
+        master = "spark://host:7077"
+
+        def getCheckpointDir(self):
+            return None
+
+    class Session:
+        sparkContext = Context()
+
+        class conf:  # noqa: N801
+            @staticmethod
+            def get(name, default=None):
+                return default
+
+    with pytest.raises(RuntimeError):
+        Workspace(Session())
+
+
+def test_workspaces_are_cleared(spark, tmp_path):
+    work = Workspace(spark, "clear")
+    work.save(spark.range(3))
+    at = Path(work.base.removeprefix("file:"))
+    assert at.exists()
+    work.clear()
+    assert not at.exists()
+
+
+def brute_clusters(pts, k, least):
+    """The hierarchy from the top: the largest edge of a set's tree parts it. Nothing but sets and recursion."""
+    tree = [(w, lo, hi) for lo, hi, _, w in brute(pts, k)]
+
+    def part(nodes, edges):
+        rest = sorted(edges)[:-1]
+        side, grown = {max(edges)[1]}, True
+        while grown:
+            new = {v for _, a, b in rest for u, v in ((a, b), (b, a)) if u in side} - side
+            side, grown = side | new, bool(new)
+        mine = lambda s: (s, [e for e in rest if e[1] in s])
+        return mine(side), mine(nodes - side)
+
+    def cluster(nodes, edges, birth):
+        """(stability, members, the best choice of clusters at or below)"""
+        stable, kids, members, now = 0.0, [], set(nodes), (nodes, edges)
+        while now:
+            level = min(1e12, 1 / math.sqrt(max(now[1])[0]) if max(now[1])[0] else math.inf)
+            halves = part(*now)
+            big = [h for h in halves if len(h[0]) >= least]
+            stable += sum((level - birth) * len(h[0]) for h in halves if len(big) == 2 or h not in big)
+            kids = [cluster(*h, level) for h in big] if len(big) == 2 else []
+            now = big[0] if len(big) == 1 else None
+        below = sum(x[0] for x in kids)
+        if kids and stable < below:
+            return below, [c for x in kids for c in x[1]]
+        return stable, [members] if birth else [c for x in kids for c in x[1]]
+
+    nodes = {p[0] for p in pts}
+    top = cluster(nodes, tree, 0.0)
+    return {i: min(c) for c in top[1] for i in c if c != nodes}
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_density_clusters_against_sets(spark, seed):
+    rng = np.random.default_rng(seed)
+    spread = [30, 80, 15, 200]
+    pts = [(i, *map(int, rng.normal(1000 * (i % 4), spread[i % 4], 2))) for i in range(60)]
+    edges = emst(table(spark, pts), k_pts=3, tile_rows=16).edges
+    want = brute_clusters(pts, 3, 6)
+    got = {r["pid"]: r["cluster"] for r in trees.density_clusters(edges, table(spark, pts), 6).collect()}
+    assert {i: c for i, c in got.items() if c >= 0} == want and len(set(want.values())) > 1
