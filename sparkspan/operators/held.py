@@ -155,17 +155,21 @@ class HeldTree(Held):
         if (codes[1:] < codes[:-1]).any():
             raise ValueError("the layout does not follow the curve of the tree's codes")
         self.tree = RadixTree(codes, self.x[:, : layout.boxed])
-        self.spans = None
+        self.spans = self.rims = None
         if still is not None:
             ends = np.append(np.flatnonzero(self.block[1:] != self.block[:-1]), len(self.block) - 1)
             last = self.starts[ends + 1]
             which = np.repeat(np.arange(len(ends)), np.diff(np.append(0, last)))
             self.spans = np.append(0, last[:-1])[which], last[which] - 1
+            # Codes that bound each point's block; the first and the last block are open at their ends.
+            low, high = codes[self.spans[0]], codes[self.spans[1]]
+            low[which == 0], high[which == len(ends) - 1] = -1, np.iinfo(np.int64).max
+            self.rims = low, high
         self._send()
 
     def _send(self) -> None:
         self.fixed.unpersist()
-        self.fixed = self.spark.sparkContext.broadcast((self.tree, self.pid, self.x, self.core, self.spans))
+        self.fixed = self.spark.sparkContext.broadcast((self.tree, self.pid, self.x, self.core, self.spans, self.rims))
 
     def set_cores(self, core: np.ndarray) -> None:
         self.core = core
@@ -194,9 +198,14 @@ class HeldTree(Held):
     def search(self, bound: np.ndarray, skip: bool) -> tuple[np.ndarray, ...]:
         if self.curve:
             bound = np.minimum(bound, curve_bounds(self.pid, self.x, self.core, self.labels, len(bound), self.layout.metric))
-        metric = self.layout.metric
-
-        def body(ask, tree, pid, x, core, spans, labels, bound, node_label):
+        metric, grid = self.layout.metric, self.layout.grid
+
+        def body(ask, tree, pid, x, core, spans, rims, labels, bound, node_label):
+            if rims is not None:  # only points that come within their bound of another block's stretch of the curve
+                r = np.sqrt(bound[labels[ask]].astype(float)) * (1 + 1e-9)
+                r = (np.ceil(np.minimum(r, 4e9)).astype(np.int64) + 1 if x.dtype == np.int64 else np.nextafter(r, np.inf))[:, None]
+                p = x[ask, : tree.lo.shape[1]]
+                ask = ask[(grid.codes(p - r) <= rims[0][ask]) | (grid.codes(p + r) >= rims[1][ask])]
             e, c = outgoing(tree, ask, pid, x, core, labels, bound, node_label, spans, metric)
             yield edge_batch(e)
             yield count_batch((0, c[3], c[0], c[1], c[2]), x.dtype)
