@@ -37,11 +37,6 @@ def box_far_d2(alo: list[Column], ahi: list[Column], blo: list[Column], bhi: lis
     return add([g * g for g in wide])
 
 
-def edge_key(w: Column, u: Column, v: Column) -> Column:
-    """Total order of edges: weight, smaller end, larger end."""
-    return F.struct(w.alias("d2"), F.least(u, v).alias("lo"), F.greatest(u, v).alias("hi"))
-
-
 def comb(step: int, axes: int, bits: int) -> int:
     """Mask of ``bits`` bits in groups of ``step``, a group every ``step * axes`` bits."""
     mask, at, left = 0, 0, bits

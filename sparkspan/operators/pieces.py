@@ -52,10 +52,3 @@ def curve_upper_bounds(coded: DataFrame, comp: Column) -> DataFrame:
     """(comp, ub_d2): curve neighbours of different components bound both."""
     e = curve_pairs(coded, comp).where("ca <> cb")
     return e.select(F.col("ca").alias("comp"), "d2").union(e.select("cb", "d2")).groupBy("comp").agg(F.min("d2").alias("ub_d2"))
-
-
-def pointer_chain(parents: DataFrame) -> DataFrame:
-    """(comp, target) with the mutual pair's smaller member as its own target."""
-    b = parents.select(F.col("comp").alias("k"), F.col("target").alias("back"))
-    mutual = (F.col("back") == F.col("comp")) & (F.col("comp") < F.col("target"))
-    return parents.join(b, F.col("target") == F.col("k")).select("comp", F.when(mutual, F.col("comp")).otherwise(F.col("target")).alias("target"))

@@ -13,7 +13,7 @@ from sparkspan.operators.merge import merge_arrays, pointer_doubling
 from sparkspan.plans import baselines, graphs
 from sparkspan.plans.emst import core_distances, emst
 from sparkspan.session import Workspace
-from sparkspan.sources import files, synthetic, workloads
+from sparkspan.sources import files, synthetic, tables, workloads
 from sparkspan.sources.points import collapse_duplicates, validate_points
 from sparkspan.streaming import events
 from sparkspan.streaming.events import grow_tree
@@ -531,3 +531,8 @@ def test_density_clusters_against_sets(spark, seed):
     want = brute_clusters(pts, 3, 6)
     got = {r["pid"]: r["cluster"] for r in trees.density_clusters(edges, table(spark, pts), 6).collect()}
     assert {i: c for i, c in got.items() if c >= 0} == want and len(set(want.values())) > 1
+
+
+def test_view_of_a_tree(spark):
+    tables.register_emst_view("lattice_tree", table(spark, LATTICE))
+    assert spark.sql("select count(*) as n, max(d2) as longest from lattice_tree").first().asDict() == {"n": 24, "longest": 1}
