@@ -536,3 +536,12 @@ def test_density_clusters_against_sets(spark, seed):
 def test_view_of_a_tree(spark):
     tables.register_emst_view("lattice_tree", table(spark, LATTICE))
     assert spark.sql("select count(*) as n, max(d2) as longest from lattice_tree").first().asDict() == {"n": 24, "longest": 1}
+
+
+@pytest.mark.parametrize("method", ["boruvka", "kruskal", "prim"])
+def test_complete_graph_is_never_written(spark, method, monkeypatch):
+    monkeypatch.setattr(graphs, "complete_graph", None)
+    monkeypatch.setattr(graphs, "CELLS", 150)  # a task takes its rows in several steps
+    assert got(baselines.emst_complete(table(spark, RANDOM), method)) == brute(RANDOM)
+    assert got(baselines.emst_complete(table(spark, [(2, 0, 0), (5, 0, 0)]), method)) == [(2, 5, 0, 0)]
+    assert got(baselines.emst_complete(table(spark, [(7, 1, 1)]), method)) == got(baselines.emst_complete(table(spark, []), method)) == []
