@@ -4,6 +4,7 @@ from pathlib import Path
 
 import numpy as np
 import pytest
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from sparkspan.functions import metrics
@@ -545,3 +546,12 @@ def test_complete_graph_is_never_written(spark, method, monkeypatch):
     assert got(baselines.emst_complete(table(spark, RANDOM), method)) == brute(RANDOM)
     assert got(baselines.emst_complete(table(spark, [(2, 0, 0), (5, 0, 0)]), method)) == [(2, 5, 0, 0)]
     assert got(baselines.emst_complete(table(spark, [(7, 1, 1)]), method)) == got(baselines.emst_complete(table(spark, []), method)) == []
+
+
+@pytest.mark.parametrize("n", [1, 2, 3, 4, 70])
+def test_batches_of_pairs_are_those_of_ntile(spark, n):
+    p = table(spark, RANDOM[:n])
+    want = graphs.complete_graph(p).select("lo", "hi", F.ntile(4).over(Window.orderBy("d2", "lo", "hi")).alias("batch"))
+    made = graphs.pair_batches(p, 4)
+    assert "Window" not in plan(made) and "Sort" not in plan(made)
+    assert sorted(map(tuple, made.collect())) == sorted(map(tuple, want.collect()))
