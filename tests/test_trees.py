@@ -555,3 +555,20 @@ def test_batches_of_pairs_are_those_of_ntile(spark, n):
     made = graphs.pair_batches(p, 4)
     assert "Window" not in plan(made) and "Sort" not in plan(made)
     assert sorted(map(tuple, made.collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_path_maxima_and_cycles_of_all_pairs(spark):
+    p = table(spark, RANDOM)
+    tree, work = emst(p).edges, Workspace(spark)
+    pairs = graphs.complete_graph(p)
+    want = trees.path_max(tree, pairs, work).select("lo", "hi", F.col("top.d2"))
+    made = trees.path_max_all(tree)
+    assert "Join" not in plan(made) and sorted(map(tuple, made.collect())) == sorted(map(tuple, want.collect()))
+    assert trees.cycle_check_all(tree, p).count() == 0
+    line = spark.createDataFrame([(a, a + 1, sum((x - y) ** 2 for x, y in zip(RANDOM[a][1:], RANDOM[a + 1][1:]))) for a in range(40)], "lo bigint, hi bigint, d2 bigint").withColumn("w", F.col("d2"))
+    some = p.where("pid <= 40")
+    want = trees.cycle_check(line, graphs.complete_graph(some), work).select("lo", "hi", "d2")
+    made = sorted(map(tuple, trees.cycle_check_all(line, some).collect()))
+    assert made and made == sorted(map(tuple, want.collect()))
+    two = line.where("lo < 10 or lo > 20")  # a forest: pairs without a path are left out
+    assert trees.path_max_all(two).count() == 11 * 10 // 2 + 20 * 19 // 2
