@@ -572,3 +572,20 @@ def test_path_maxima_and_cycles_of_all_pairs(spark):
     assert made and made == sorted(map(tuple, want.collect()))
     two = line.where("lo < 10 or lo > 20")  # a forest: pairs without a path are left out
     assert trees.path_max_all(two).count() == 11 * 10 // 2 + 20 * 19 // 2
+
+
+def test_chains_are_those_of_the_customers(spark):
+    from sparkspan import queries
+
+    made = queries.queries()["chain_follow_sql"](spark, SF)
+    assert "c_custkey" in plan(made)
+    keys = {r[0] for r in spark.read.parquet(f"{SF}/customer.parquet").select("c_custkey").collect()}
+
+    def root(k):
+        while k // 10 in keys:
+            if k // 10 == k:
+                break
+            k //= 10
+        return k
+
+    assert {r["comp"]: r["root"] for r in made.collect()} == {k: root(k) for k in keys}
