@@ -589,3 +589,11 @@ def test_chains_are_those_of_the_customers(spark):
         return k
 
     assert {r["comp"]: r["root"] for r in made.collect()} == {k: root(k) for k in keys}
+
+
+def test_points_source_reads_the_orders(spark):
+    from sparkspan import queries
+
+    made = queries.queries()["points_source"](spark, SF)
+    n = spark.read.parquet(f"{SF}/orders.parquet").count()
+    assert "orders.parquet" in plan(made) and tuple(made.first()) == (n, n, True)
