@@ -597,3 +597,11 @@ def test_points_source_reads_the_orders(spark):
     made = queries.queries()["points_source"](spark, SF)
     n = spark.read.parquet(f"{SF}/orders.parquet").count()
     assert "orders.parquet" in plan(made) and tuple(made.first()) == (n, n, True)
+
+
+def test_tree_of_a_window_with_many_copies(spark):
+    from sparkspan.surroundings import window_tree
+
+    pts = [(i, *p) for i, p in enumerate(np.random.default_rng(5).integers(0, 9, (20_000, 2)).tolist())]
+    day = table(spark, pts).agg(*[F.collect_list(c).alias(c) for c in ("pid", "x0", "x1")]).select(window_tree("pid", "x0", "x1"))
+    assert day.first()[0] == 80 * 1000  # 81 places a step apart
