@@ -605,3 +605,12 @@ def test_tree_of_a_window_with_many_copies(spark):
     pts = [(i, *p) for i, p in enumerate(np.random.default_rng(5).integers(0, 9, (20_000, 2)).tolist())]
     day = table(spark, pts).agg(*[F.collect_list(c).alias(c) for c in ("pid", "x0", "x1")]).select(window_tree("pid", "x0", "x1"))
     assert day.first()[0] == 80 * 1000  # 81 places a step apart
+
+
+@pytest.mark.parametrize("method", [baselines.emst_prim, baselines.emst_prim_tree])
+def test_one_task_takes_a_place_once(spark, method, monkeypatch):
+    copies = [(i, i % 3, 0) for i in range(30)]
+    sizes = []
+    kept = baselines.per_group
+    monkeypatch.setattr(baselines, "per_group", lambda p, *a: sizes.append(p.count()) or kept(p, *a))
+    assert got(method(table(spark, copies))) == brute(copies) and sizes == [3]
