@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from sparkspan import queries
 from sparkspan.functions import metrics
 from sparkspan.functions.geometry import morton, morton_wide
 from sparkspan.operators import contract, kernels, layout, radix, search, trees
@@ -614,3 +615,20 @@ def test_one_task_takes_a_place_once(spark, method, monkeypatch):
     kept = baselines.per_group
     monkeypatch.setattr(baselines, "per_group", lambda p, *a: sizes.append(p.count()) or kept(p, *a))
     assert got(method(table(spark, copies))) == brute(copies) and sizes == [3]
+
+
+@pytest.mark.parametrize("label", ["noskip"])
+def test_options_search_a_held_layout(spark, label, monkeypatch):
+    """The query of each option searches what its tasks hold, nothing by joins."""
+
+    def joined(*_, **__):
+        raise AssertionError("searched by joins")
+
+    monkeypatch.setattr(search, "descend", joined)
+    rows = lambda name: sorted(map(tuple, queries.Q[name](spark, SF).collect()))
+    assert rows(f"emst_{label}_road2d") == rows("emst_road2d")
+
+
+@pytest.mark.parametrize("options", [{"skip_subtrees": False}], ids=str)
+def test_options_by_joins(spark, options):
+    assert got(emst(table(spark, RANDOM), tile_rows=8, held_points=0, **options).edges) == brute(RANDOM)
