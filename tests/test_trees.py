@@ -617,7 +617,7 @@ def test_one_task_takes_a_place_once(spark, method, monkeypatch):
     assert got(method(table(spark, copies))) == brute(copies) and sizes == [3]
 
 
-@pytest.mark.parametrize("label", ["noskip", "nobounds", "plain"])
+@pytest.mark.parametrize("label", ["noskip", "nobounds", "plain", "pointfrontier"])
 def test_options_search_a_held_layout(spark, label, monkeypatch):
     """The query of each option searches what its tasks hold, nothing by joins."""
 
@@ -629,6 +629,6 @@ def test_options_search_a_held_layout(spark, label, monkeypatch):
     assert rows(f"emst_{label}_road2d") == rows("emst_road2d")
 
 
-@pytest.mark.parametrize("options", [{"skip_subtrees": False}, {"curve_bounds": False}, {"skip_subtrees": False, "curve_bounds": False}], ids=str)
+@pytest.mark.parametrize("options", [{"skip_subtrees": False}, {"curve_bounds": False}, {"skip_subtrees": False, "curve_bounds": False}, {"frontier": "point"}], ids=str)
 def test_options_by_joins(spark, options):
     assert got(emst(table(spark, RANDOM), tile_rows=8, held_points=0, **options).edges) == brute(RANDOM)
