@@ -617,7 +617,7 @@ def test_one_task_takes_a_place_once(spark, method, monkeypatch):
     assert got(method(table(spark, copies))) == brute(copies) and sizes == [3]
 
 
-@pytest.mark.parametrize("label", ["noskip", "nobounds", "plain", "pointfrontier"])
+@pytest.mark.parametrize("label", ["noskip", "nobounds", "plain", "pointfrontier", "prefix"])
 def test_options_search_a_held_layout(spark, label, monkeypatch):
     """The query of each option searches what its tasks hold, nothing by joins."""
 
@@ -632,3 +632,12 @@ def test_options_search_a_held_layout(spark, label, monkeypatch):
 @pytest.mark.parametrize("options", [{"skip_subtrees": False}, {"curve_bounds": False}, {"skip_subtrees": False, "curve_bounds": False}, {"frontier": "point"}], ids=str)
 def test_options_by_joins(spark, options):
     assert got(emst(table(spark, RANDOM), tile_rows=8, held_points=0, **options).edges) == brute(RANDOM)
+
+
+def test_cells_hold_about_a_tile(spark):
+    """Coordinates that take few of a code's bits, on a few lines of a mostly empty box."""
+    pts = [(i, 37 * i % 1000, 400 * (i % 3)) for i in range(900)]
+    p = table(spark, pts)
+    made = layout.build(p, Workspace(spark), 16, index="prefix", prefix_shift=layout.cell_shift(p, 16))
+    assert 900 / 16 <= made.count * 1.2 and made.tiles.agg(F.max("n")).first()[0] <= 64
+    assert got(emst(p, index="prefix", tile_rows=16).edges) == got(emst(p).edges)
