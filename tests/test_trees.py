@@ -641,3 +641,18 @@ def test_cells_hold_about_a_tile(spark):
     made = layout.build(p, Workspace(spark), 16, index="prefix", prefix_shift=layout.cell_shift(p, 16))
     assert 900 / 16 <= made.count * 1.2 and made.tiles.agg(F.max("n")).first()[0] <= 64
     assert got(emst(p, index="prefix", tile_rows=16).edges) == got(emst(p).edges)
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_growing_tree_joins_no_pairs(spark, seed):
+    """Ties, and places that old and new points share, the smallest pid on either side."""
+    rng = np.random.default_rng(seed)
+    d = 2 + seed % 2
+    pts = [(i, *p) for i, p in enumerate(rng.integers(0, 6, (90, d)).tolist())]
+    put = rng.random(90) < 0.7
+    old, new = [p for p, o in zip(pts, put) if o], [p for p, o in zip(pts, put) if not o]
+    grown = grow_tree(emst(table(spark, old)).edges, table(spark, old), table(spark, new))
+    assert "NestedLoop" not in plan(grown) and "Cartesian" not in plan(grown)
+    assert got(grown) == brute(pts)
+    if not seed:
+        assert got(grow_tree(emst(table(spark, old)).edges, table(spark, old), table(spark, new), held_points=10)) == brute(pts)
