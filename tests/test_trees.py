@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from sparkspan import queries
 from sparkspan.functions import metrics
 from sparkspan.functions.geometry import morton, morton_wide
-from sparkspan.operators import contract, kernels, layout, radix, search, trees
+from sparkspan.operators import contract, dense, held, kernels, layout, radix, search, trees
 from sparkspan.operators.merge import merge_arrays, pointer_doubling
 from sparkspan.plans import baselines, graphs
 from sparkspan.plans.emst import core_distances, emst
@@ -656,3 +656,18 @@ def test_growing_tree_joins_no_pairs(spark, seed):
     assert got(grown) == brute(pts)
     if not seed:
         assert got(grow_tree(emst(table(spark, old)).edges, table(spark, old), table(spark, new), held_points=10)) == brute(pts)
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_many_axes_are_compared_by_products(spark, seed, monkeypatch):
+    """Clusters of more points than a point keeps neighbours, copies and many ties; no tile is searched."""
+
+    def searched(*_):
+        raise AssertionError("searched tile by tile")
+
+    monkeypatch.setattr(held.Held, "search", searched)
+    rng = np.random.default_rng(seed)
+    x = rng.integers(0, 2 + seed, (150, 6)) / 4 + np.repeat([0, 50, 90], 50)[:, None] * (seed > 0)
+    pts = [(i, *p) for i, p in enumerate(x.tolist())]
+    p = spark.createDataFrame(pts, "pid bigint, " + ", ".join(f"x{i} double" for i in range(6)))
+    assert dense.KEPT < 50 and got(emst(p, tile_rows=16).edges) == brute(pts)
