@@ -1,4 +1,5 @@
 import math
+import threading
 from itertools import combinations
 from pathlib import Path
 
@@ -671,3 +672,19 @@ def test_many_axes_are_compared_by_products(spark, seed, monkeypatch):
     pts = [(i, *p) for i, p in enumerate(x.tolist())]
     p = spark.createDataFrame(pts, "pid bigint, " + ", ".join(f"x{i} double" for i in range(6)))
     assert dense.KEPT < 50 and got(emst(p, tile_rows=16).edges) == brute(pts)
+
+
+def test_agreement_runs_methods_side_by_side(spark, monkeypatch):
+    """Every method has begun before any of them ends, and an edge that one lacks counts."""
+    begun = threading.Barrier(4, timeout=20)
+
+    def made(name):
+        def run(spark, sf):
+            begun.wait()
+            return spark.createDataFrame([(1, 2), (2, 3)][: 1 + (name != "prim_tree")], "lo bigint, hi bigint")
+
+        return run
+
+    for name in ("emst", "delaunay", "dual_tree", "prim_tree"):
+        monkeypatch.setitem(queries.Q, f"{name}_road2d", made(name))
+    assert sorted(map(tuple, queries.Q["method_agreement"](spark, SF).collect())) == [("delaunay", 0), ("dual_tree", 0), ("prim_tree", 1)]
