@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from sparkspan import queries
 from sparkspan.functions import metrics
 from sparkspan.functions.geometry import morton, morton_wide
-from sparkspan.operators import contract, dense, held, kernels, layout, radix, search, trees
+from sparkspan.operators import contract, dense, held, kdtree, kernels, layout, radix, search, trees
 from sparkspan.operators.merge import merge_arrays, pointer_doubling
 from sparkspan.plans import baselines, graphs
 from sparkspan.plans.emst import core_distances, emst
@@ -618,6 +618,32 @@ def test_one_task_takes_a_place_once(spark, method, monkeypatch):
     assert got(method(table(spark, copies))) == brute(copies) and sizes == [3]
 
 
+@pytest.mark.parametrize("seed", range(6))
+def test_chambers_hold_the_tree(seed):
+    """In one to three axes, with many ties and on a few lines: what each point keeps of its row has all edges of the tree."""
+    rng = np.random.default_rng(seed)
+    x = rng.integers(0, 7 if seed % 2 else 400, (300, 1 + seed % 3))
+    x[:, -1] *= 90 if seed > 2 else 1
+    x = np.unique(x, axis=0)
+    pid = np.sort(rng.permutation(9999)[: len(x)])
+    tree = kdtree.KdTree(x, leaf=4)
+    i, j, d2 = (np.concatenate(c) for c in zip(*(e for b in range(tree.blocks) for e in tree.edges(b)), strict=True))
+    rim = kdtree.Rim(pid[np.minimum(i, j)], pid[np.maximum(i, j)], d2.astype(np.int64))
+    assert sorted(kdtree.grow(rim)) == sorted(kernels.prim(x, pid)) and (seed != 4 or len(rim.d2) < 3 * len(x))
+
+
+def test_prim_of_many_places_makes_no_whole_rows(spark, monkeypatch):
+    """No task takes all distances of 5,000 places, a third of which have copies."""
+
+    def whole(*_):
+        raise AssertionError("one task for all rows")
+
+    rng = np.random.default_rng(1)
+    p = table(spark, [(i, *map(int, q)) for i, q in enumerate(np.resize(np.stack([rng.integers(0, 10**6, 5000), 10_000 * rng.integers(0, 25, 5000)], 1), (6500, 2)))])
+    monkeypatch.setattr(baselines, "per_group", whole)
+    assert got(baselines.emst_prim(p)) == got(emst(p).edges)
+
+
 @pytest.mark.parametrize("label", ["noskip", "nobounds", "plain", "pointfrontier", "prefix"])
 def test_options_search_a_held_layout(spark, label, monkeypatch):
     """The query of each option searches what its tasks hold, nothing by joins."""
