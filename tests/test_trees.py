@@ -644,6 +644,23 @@ def test_prim_of_many_places_makes_no_whole_rows(spark, monkeypatch):
     assert got(baselines.emst_prim(p)) == got(emst(p).edges)
 
 
+def test_prim_over_a_tree_of_many_places(spark, monkeypatch):
+    """No task asks a tree point by point for 5,000 places; a joined point asks again when its nearest has joined."""
+
+    def pointwise(*_):
+        raise AssertionError("asked point by point")
+
+    rng = np.random.default_rng(2)
+    pts = [(i, *p) for i, p in enumerate(rng.integers(0, 10**6, (5000, 2)).tolist())]
+    monkeypatch.setattr(baselines, "per_group", pointwise)
+    assert got(baselines.emst_prim_tree(table(spark, pts))) == got(emst(table(spark, pts)).edges)
+    x, stats = np.array([[0], [10], [25], [11]]), {}
+    tree = kdtree.KdTree(x)
+    i, j, d2 = (np.concatenate(c) for c in zip(*tree.edges(0), strict=True))
+    rim = kdtree.Rim(np.minimum(i, j), np.maximum(i, j), d2.astype(np.int64))
+    assert sorted(kdtree.grow_nearest(rim, stats)) == [(0, 1, 100, 100), (1, 3, 1, 1), (2, 3, 196, 196)] and stats == {"asked_again": 0}
+
+
 @pytest.mark.parametrize("label", ["noskip", "nobounds", "plain", "pointfrontier", "prefix"])
 def test_options_search_a_held_layout(spark, label, monkeypatch):
     """The query of each option searches what its tasks hold, nothing by joins."""
