@@ -632,6 +632,15 @@ def test_chambers_hold_the_tree(seed):
     assert sorted(kdtree.grow(rim)) == sorted(kernels.prim(x, pid)) and (seed != 4 or len(rim.d2) < 3 * len(x))
 
 
+def test_chambers_meet_few_leaves_on_lines():
+    """Leaves that hold parts of two lines, or a bound that points on the own line do not lower, made it over a hundred."""
+    rng = np.random.default_rng(3)
+    x = np.unique(np.stack([rng.integers(0, 10**6, 50_000), 10_000 * rng.integers(0, 5, 50_000)], 1), axis=0)
+    tree = kdtree.KdTree(x)
+    leaves = np.arange(len(tree.ends) - 1)
+    assert len(tree._near_leaves(leaves)[0]) < 50 * len(leaves)
+
+
 def test_prim_of_many_places_makes_no_whole_rows(spark, monkeypatch):
     """No task takes all distances of 5,000 places, a third of which have copies."""
 
