@@ -653,6 +653,18 @@ def test_prim_of_many_places_makes_no_whole_rows(spark, monkeypatch):
     assert got(baselines.emst_prim(p)) == got(emst(p).edges)
 
 
+def test_cube_of_edges_takes_no_whole_rows(spark, monkeypatch):
+    """Both workloads' Prim arms, above the sites of one task, leave the rows to all tasks."""
+
+    def whole(*_):
+        raise AssertionError("one task for all rows")
+
+    monkeypatch.setattr(baselines, "ONE_TASK", 5)
+    monkeypatch.setattr(baselines, "per_group", whole)
+    rows = {(r[0], r[1]): r[2] for r in queries.Q["edges_per_workload_cube"](spark, SF).collect()}
+    assert rows["customer", "prim"] == rows["customer", "reference"] == 149 and rows["supplier", "prim"] == 9 and rows[None, None] == 316
+
+
 def test_prim_over_a_tree_of_many_places(spark, monkeypatch):
     """No task asks a tree point by point for 5,000 places; a joined point asks again when its nearest has joined."""
 
